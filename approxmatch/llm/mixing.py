@@ -204,7 +204,7 @@ def mixed_documents(docs: DataFrame, levels: int = SHARD_LEVELS, with_shards: bo
     position_key, by which a writer partitions and sorts."""
     names = docs.columns
     copies = mix(docs, levels).where("copies > 0").groupBy("doc_id", "source", "size").agg(F.sum("copies").alias("n"), F.count(F.lit(1)).alias("twins"), F.flatten(F.collect_list("shards")).alias("shards"))
-    rows = docs.select(F.struct(*names).alias("row"), F.col("doc_id").alias("k"), F.col("source").alias("so"), word_count(F.col("text")).alias("sz"))
+    rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"), F.col("doc_id").alias("k"), F.col("source").alias("so"), word_count(F.col("text")).alias("sz"))
     # Rows alike in doc_id, source and size share the copies of their group: the twin-th takes every twins-th.
     rows = rows.join(copies, rows["k"].eqNullSafe(copies["doc_id"]) & rows["so"].eqNullSafe(copies["source"]) & (rows["sz"] == copies["size"]))
     alone = rows.where("twins = 1").withColumn("twin", F.lit(1))

@@ -158,3 +158,70 @@ def span_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.nd
     sums = np.zeros(len(data) + 1, U)
     np.cumsum(_BYTE[data] * up[: len(data)], out=sums[1:])
     return mix((sums[ends] - sums[starts]) * down[starts] + (ends - starts).astype(U) * U(0xD6E8FEB86659FD93))
+
+
+class KeyTable:
+    """Positions of uint64 keys, by open addressing on whole vectors; at most a quarter of the slots are in use."""
+
+    def __init__(self, keys: np.ndarray):
+        self.bits = max(4, int(len(keys) * 4).bit_length())
+        size = 1 << self.bits
+        self.slots = np.full(size, -1, np.int32)
+        self.keys = np.ascontiguousarray(keys, dtype=U)
+        left, at = np.arange(len(keys), dtype=np.int32), self._home(self.keys)
+        while len(left):
+            empty = self.slots[at] < 0
+            self.slots[at[empty]] = left[empty]  # of several, one stays
+            go = self.slots[at] != left
+            left, at = left[go], (at[go] + 1) & (size - 1)
+
+    def _home(self, keys: np.ndarray) -> np.ndarray:
+        return ((keys * U(0x9E3779B97F4A7C15)) >> U(64 - self.bits)).astype(np.int64)
+
+    def find(self, keys: np.ndarray) -> np.ndarray:
+        """The position of each key, -1 without one."""
+        if not len(self.keys):
+            return np.full(len(keys), -1, np.int32)
+        at = self._home(keys)
+        out = self.slots[at]
+        wrong = np.flatnonzero((out >= 0) & (self.keys[out] != keys))
+        at = at[wrong]
+        while len(wrong):
+            at = (at + 1) & ((1 << self.bits) - 1)
+            got = self.slots[at]
+            out[wrong] = got
+            go = (got >= 0) & (self.keys[got] != keys[wrong])
+            wrong, at = wrong[go], at[go]
+        return out
+
+
+class Tally:
+    """Counts of uint64 keys within a task; memory follows the different keys."""
+
+    def __init__(self, most: int = 4_000_000):
+        self.keys, self.counts = np.zeros(0, U), np.zeros(0, np.int64)
+        self.waiting: list[np.ndarray] = []
+        self.held, self.most = 0, most
+
+    def add(self, keys: np.ndarray) -> None:
+        self.waiting.append(keys)
+        self.held += len(keys)
+        if self.held >= self.most:
+            self.settle()
+
+    def settle(self) -> None:
+        if self.held:
+            k, n = np.unique(np.concatenate(self.waiting), return_counts=True)
+            self.waiting, self.held = [], 0
+            if len(self.keys):
+                every = np.concatenate([self.keys, k])
+                order = np.argsort(every, kind="stable")
+                every, n = every[order], np.concatenate([self.counts, n])[order]
+                first = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]]))
+                k, n = every[first], np.add.reduceat(n, first)
+            self.keys, self.counts = k, n
+
+    def batches(self, names: tuple[str, str] = ("k", "n"), most: int = 100_000) -> Iterator[pa.RecordBatch]:
+        self.settle()
+        for i in range(0, len(self.keys), most):
+            yield pa.RecordBatch.from_arrays([pa.array(self.keys[i : i + most].view(np.int64)), pa.array(self.counts[i : i + most])], list(names))
