@@ -38,7 +38,7 @@ def jaro_of(a: str, b: str) -> float:
     if not k:
         return 0.0
     theirs = [c for c, u in zip(b, used, strict=True) if u]
-    swapped = sum(x != y for x, y in zip(mine, theirs, strict=True)) / 2
+    swapped = sum(x != y for x, y in zip(mine, theirs, strict=True)) // 2
     return (k / n + k / m + (k - swapped) / k) / 3
 
 

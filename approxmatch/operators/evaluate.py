@@ -9,9 +9,11 @@ from __future__ import annotations
 import time
 from collections.abc import Callable
 
+import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
+from pyspark.sql.types import DoubleType
 
 from ..functions import weights
 from .index import TokenIndex
@@ -57,12 +59,12 @@ def mean_max_f1(ranked: DataFrame, truth: DataFrame, queries: DataFrame) -> Data
     return max_f1(ranked, truth, queries).agg(F.avg("f1").alias("mean_max_f1"))
 
 
-@F.pandas_udf("double")
+@F.pandas_udf(DoubleType())
 def average_precision_udf(rel: pd.Series, rank: pd.Series) -> float:
     """Grouped-aggregate twin of average_precision, over returned tuples only."""
     order = rel.iloc[rank.argsort()].to_numpy()
     total = order.sum()
-    return float(((order.cumsum() / (pd.RangeIndex(1, len(order) + 1))) * order).sum() / total) if total else 0.0
+    return float((order.cumsum() / np.arange(1, len(order) + 1) * order).sum() / total) if total else 0.0
 
 
 def ranks_of(ranked: DataFrame, tids: list[int]) -> DataFrame:
