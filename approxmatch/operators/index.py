@@ -13,7 +13,7 @@ from collections.abc import Iterable
 from dataclasses import asdict, dataclass, replace
 from functools import cached_property
 
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import text, weights
@@ -189,11 +189,11 @@ def query_tokens(index: TokenIndex, queries: Queries) -> DataFrame:
     rows = sized(queries.frame.withColumn("bag", text.token_bag(index.spec.tokens(F.col("s")))))
     terms = rows.select("qid", F.explode("bag").alias("x")).select("qid", "x.token", F.col("x.tf").alias("qtf"))
     known = index.stats.join(broadcast_up_to(terms.select("token").distinct(), queries.rows), "token", "left_semi")
-    terms = terms.join(known, "token", "left")
+    terms = terms.join(broadcast_up_to(known, queries.rows), "token", "left")
     if index.dropped is not None:
         terms = terms.join(F.broadcast(index.dropped), "token", "left_anti")  # few: see TokenIndex.pruned
-    sums = terms.groupBy("qid").agg(F.count(F.lit(1)).alias("qlen"), F.sum("qtf").cast("long").alias("qdl"))
-    return terms.join(sums, "qid")
+    own = Window.partitionBy("qid")
+    return terms.withColumn("qlen", F.count(F.lit(1)).over(own)).withColumn("qdl", F.sum("qtf").over(own).cast("long"))
 
 
 def sample_queries(rel: DataFrame, n: int, seed: int = 42) -> DataFrame:
