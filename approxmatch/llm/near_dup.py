@@ -9,12 +9,12 @@ in round 128 + j every element goes to bin j. A bin keeps the least (round, valu
 full, so every coordinate is filled, and later rounds could not change one. Large sets need two or three rounds.
 
 Candidates. 32 bands of 4 coordinates: classes at the similarity of 0.75 share a band with probability
-1 - (1 - 0.75^4)^32 > 0.999994. Each class is first compared with one centre, the least class among its bands;
-then with the least class of each band whose component differs. What is then still in another component than the
-largest of its band (a stray) is compared with every member of the band in another component. Pairs inside a
-component need no comparison, so the work follows the classes that aren't linked yet, not the squares of groups.
-From the second step on, pairs are compared only if at least half of the 128 coordinates agree (at the
-similarity of 0.75 that is missed with probability below 1e-9) and if their sizes allow the similarity.
+1 - (1 - 0.75^4)^32 > 0.999994. Each class is first compared with one centre (the class that stands in the largest
+bands), then with the centre of each band whose component differs, there only if at least half of the 128
+coordinates agree (at the similarity of 0.75 that is missed with probability below 1e-9). A class that is then in
+another component than most of some band (a stray) meets the other classes of undecided bands by the exact prefix
+and position filters over rare elements (`prefix_pairs`). Pairs inside a component need no comparison, and a
+group's members are never all paired.
 
 Links. A pair counts if 100 * intersection >= 75 * union on the full sets. Components come from alternating
 large-star and small-star rounds on tables, with nothing collected.
@@ -30,7 +30,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .shared import U, chunks, keep, lowered, mix, seeds, span_hashes, word_spans
@@ -223,13 +223,19 @@ def components(links: DataFrame) -> DataFrame:
 def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """All links that are needed between classes (node, size, bands, marks): (a, b), a < b, each verified."""
     rows = classes.select("node", F.explode("bands").alias("band"))
-    met = rows.groupBy("band").agg(F.min("node").alias("centre"), F.max("node").alias("last")).where("centre < last").select("band", "centre")
+    met = rows.groupBy("band").agg(F.min("node").alias("first"), F.max("node").alias("last"), F.count(F.lit(1)).alias("n")).where("first < last").select("band", "n")
     members = keep(rows.join(met, "band"))
-    near = members.select("node").distinct()
-    about = keep(classes.join(near, "node", "left_semi").select("node", "size", "marks"))
-    sets = keep(full_sets(docs.join(near, docs["doc_id"] == near["node"], "left_semi")))
-
-    tried = keep(members.groupBy("node").agg(F.min("centre").alias("a")).where("a < node").select("a", F.col("node").alias("b")))
+    # Of a group's copies the ones nearest to its middle stand in most and largest bands: they are the centres.
+    weight = members.groupBy("node").agg(F.sum("n").alias("w"))
+    about = keep(classes.join(weight, "node").select("node", "size", "marks", "w"))
+    middle = members.select("band", "node").join(about.select("node", "w"), "node")
+    rank = F.struct("w", (-F.col("node")).alias("m"))
+    centres = keep(middle.groupBy("band").agg(F.max(rank).alias("x")).select("band", (-F.col("x.m")).alias("centre"), F.col("x.w").alias("cw")))
+    spokes = keep(members.select("band", "node").join(centres, "band").where("centre <> node").select("band", "node", "centre", "cw"))
+    sets = keep(full_sets(docs.join(about.select("node"), docs["doc_id"] == F.col("node"), "left_semi")))
+
+    best = spokes.groupBy("node").agg(F.max(F.struct("cw", (-F.col("centre")).alias("m"))).alias("x")).select("node", (-F.col("x.m")).alias("centre"))
+    tried = keep(best.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct())
     links = keep(verified(tried, sets, percent))
     own = keep(components(links))
 
@@ -238,13 +244,13 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) ->
         return table.join(mine, key, "left").withColumn(name, F.coalesce(name, key))
 
     def compared(pairs: DataFrame) -> DataFrame:
-        """New links among pairs (a, b) of different components that weren't tried before."""
+        """New pairs (a, b) that weren't tried before and whose sketches agree."""
         new = pairs.distinct().join(tried, ["a", "b"], "left_anti")
         for side in ("a", "b"):
             new = new.join(about.select(F.col("node").alias(side), F.col("size").alias(f"size_{side}"), F.col("marks").alias(f"marks_{side}")), side)
         return keep(agreement(new.where(may_reach(F.col("size_a"), F.col("size_b"), percent))))
 
-    stars = placed(placed(members.where("centre < node").select(F.col("centre").alias("a"), F.col("node").alias("b")).distinct(), "a", "ca"), "b", "cb")
+    stars = placed(placed(spokes.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct(), "a", "ca"), "b", "cb")
     candidates = compared(stars.where("ca <> cb").select("a", "b"))
     links = keep(links.unionByName(verified(candidates, sets, percent)))
     tried = keep(tried.unionByName(candidates))
@@ -253,14 +259,36 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) ->
     with_own = keep(placed(members.select("band", "node"), "node", "component"))
     parts = with_own.groupBy("band", "component").agg(F.count(F.lit(1)).alias("n"))
     mixed = parts.groupBy("band").agg(F.count(F.lit(1)).alias("parts"), F.sum("n").alias("all"), F.max_by("component", F.struct("n", F.col("component"))).alias("main")).where("parts > 1 and all > 2").select("band", "main")
-    open_bands = keep(with_own.join(mixed, "band"))
-    strays = open_bands.where("component <> main").select("band", F.col("node").alias("x"), F.col("component").alias("cx"))
-    others = open_bands.select("band", F.col("node").alias("y"), F.col("component").alias("cy"), "main")
-    pairs = strays.join(others, "band").where((F.col("cx") != F.col("cy")) & ((F.col("cy") == F.col("main")) | (F.col("x") < F.col("y"))))
-    candidates = compared(pairs.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
+    undecided = with_own.join(mixed, "band").groupBy("node").agg(F.max("component").alias("component"), F.max(F.col("component") != F.col("main")).alias("stray"))
+    undecided = keep(undecided.join(about.select("node", "size"), "node"))
+    candidates = keep(prefix_pairs(undecided, sets, percent).join(tried, ["a", "b"], "left_anti"))
     return links.unionByName(verified(candidates, sets, percent))
 
 
+def prefix_pairs(nodes: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
+    """(a, b): pairs of a stray and another node (node, size, component, stray) of different components that can
+    reach the similarity, by the exact prefix and position filters of set-similarity joins.
+
+    Elements are ordered from the rarest. Sets that reach the similarity share an element within the first
+    n - ceil(t n) + 1 of the larger and the first n - ceil(2 t n / (1 + t)) + 1 of the smaller one, and behind the
+    first shared one, at the places i and j, 1 + least(n - i, m - j) elements can be shared at most. A copy whose own
+    changes already fill its prefix shares none, so that it is cleared without meeting the others of its group."""
+    t, both = percent, 100 + percent
+    each = sets.join(nodes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("node"), F.explode("hashes").alias("h"))
+    often = each.groupBy("h").agg(F.count(F.lit(1)).alias("df"))
+    placed = each.join(often, "h").withColumn("place", F.row_number().over(Window.partitionBy("node").orderBy("df", "h")))
+    placed = placed.join(nodes, "node").where((F.col("df") > 1) & (F.col("place") <= F.col("size") - F.ceil(F.col("size") * t / 100.0 - 1e-9) + 1))
+    placed = keep(placed.withColumn("short", F.col("size") - F.ceil(F.col("size") * 2 * t / float(both) - 1e-9) + 1).select("node", "h", "place", "size", "component", "stray", "short"))
+    x = placed.where("stray").select("h", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "size", "component", "short")))
+    y = placed.select("h", *(F.col(c).alias(f"y_{c}") for c in ("node", "place", "size", "component", "short", "stray")))
+    smaller = (F.col("x_size") < F.col("y_size")) | ((F.col("x_size") == F.col("y_size")) & (F.col("x_node") < F.col("y_node")))
+    within = F.when(smaller, F.col("x_place") <= F.col("x_short")).otherwise(F.col("y_place") <= F.col("y_short"))
+    reach = (F.least(F.col("x_size") - F.col("x_place"), F.col("y_size") - F.col("y_place")) + 1) * both >= (F.col("x_size") + F.col("y_size")) * t
+    once = ~F.col("y_stray") | (F.col("x_node") < F.col("y_node"))
+    met = x.join(y, (x["h"] == y["h"]) & (F.col("x_component") != F.col("y_component")) & once & within & reach & may_reach(F.col("x_size"), F.col("y_size"), percent))
+    return met.select(F.least("x_node", "y_node").alias("a"), F.greatest("x_node", "y_node").alias("b")).distinct()
+
+
 def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """doc_id, n_shingles, component_id, kept, one row per row of docs."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
