@@ -46,7 +46,8 @@ def op7_line_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = documents(spark, sf_dir)
-    return toxicity.scored(docs, toxicity.train(docs, labels(spark, sf_dir)))
+    out = toxicity.scored(docs, toxicity.train(docs, labels(spark, sf_dir)))
+    return out.select("doc_id", "p_low_quality", "p_toxic", F.col("rejected").alias("toxic"), (~F.col("rejected")).alias("kept"))
 
 
 def op9_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
