@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import byte_bpe, line_dedup, media_gif, mixing, near_dup, pii, quality, suffix_tree_lm, toxicity, url_filter
+from . import byte_bpe, line_dedup, media_gif, mixing, near_dup, pii, quality, quality_sql, suffix_tree_lm, toxicity, url_filter
 from .shared import documents
 
 
@@ -28,7 +28,7 @@ def op3_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op4_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return quality.judge(documents(spark, sf_dir), labels(spark, sf_dir))
+    return quality.judge(documents(spark, sf_dir), labels(spark, sf_dir)).withColumn("rejected_by", F.array_join("rejected_by", ","))
 
 
 def op5_suffix_tree_lm(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -144,4 +144,4 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
 
 
 def oracle_sql() -> dict[str, str]:
-    return {"op3_near_dup": OP3_SQL, "op7_line_dedup": OP7_SQL, "op10_url_filter": OP10_SQL}
+    return {"op3_near_dup": OP3_SQL, "op4_quality_rules": quality_sql.sql(), "op7_line_dedup": OP7_SQL, "op10_url_filter": OP10_SQL}
