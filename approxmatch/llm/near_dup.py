@@ -232,7 +232,8 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) ->
     rank = F.struct("w", (-F.col("node")).alias("m"))
     centres = keep(middle.groupBy("band").agg(F.max(rank).alias("x")).select("band", (-F.col("x.m")).alias("centre"), F.col("x.w").alias("cw")))
     spokes = keep(members.select("band", "node").join(centres, "band").where("centre <> node").select("band", "node", "centre", "cw"))
-    sets = keep(full_sets(docs.join(about.select("node"), docs["doc_id"] == F.col("node"), "left_semi")))
+    # The list of candidates grows with the data: it is never broadcast, however short it happens to be.
+    sets = keep(full_sets(docs.join(about.select("node").hint("merge"), docs["doc_id"] == F.col("node"), "left_semi")))
 
     best = spokes.groupBy("node").agg(F.max(F.struct("cw", (-F.col("centre")).alias("m"))).alias("x")).select("node", (-F.col("x.m")).alias("centre"))
     tried = keep(best.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct())
