@@ -198,7 +198,7 @@ class KeyTable:
 class Tally:
     """Counts of uint64 keys within a task; memory follows the different keys."""
 
-    def __init__(self, most: int = 4_000_000):
+    def __init__(self, most: int = 1_500_000):
         self.keys, self.counts = np.zeros(0, U), np.zeros(0, np.int64)
         self.waiting: list[np.ndarray] = []
         self.held, self.most = 0, most
