@@ -169,15 +169,23 @@ def term_counts(docs: DataFrame) -> DataFrame:
     return docs.select("text").mapInArrow(run, "t long, df long").groupBy("t").agg(F.sum("df").alias("df"))
 
 
+def different_texts(marked: DataFrame, docs: DataFrame) -> DataFrame:
+    """text, one row for each different text. Only texts with copies are dealt by their hash."""
+    copied = keep(marked.groupBy("text_id").agg(F.count(F.lit(1)).alias("rows")).where("rows > 1").select("text_id"))
+    copied = F.broadcast(copied) if copied.count() <= 1_000_000 else copied
+    texts = docs.select("text", F.xxhash64("text").alias("text_id"))
+    alone = texts.join(copied, "text_id", "left_anti")
+    return alone.unionByName(texts.join(copied, "text_id", "left_semi").dropDuplicates(["text_id"])).select("text")
+
+
 def disclosing(marked: DataFrame, docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT) -> DataFrame:
     """e, t, share of the pairs that disclose. Texts count once: copies are kept apart by the hash of the text."""
     pairs = marked.select("text_id", F.explode("near").alias("x")).select("text_id", "x.e", "x.t")
     met = pairs.distinct().groupBy("e", "t").agg(F.count(F.lit(1)).alias("n"))
     met = keep(met.where(F.col("n") >= support))
     entities = pairs.select("text_id", "e").distinct().groupBy("e").agg(F.count(F.lit(1)).alias("de"))
-    total = marked.select(F.count(F.lit(1)).cast("double").alias("total"))
-    # df counts every row that holds the term; copies of a text only raise it, so that shares are never too high.
-    share = met.join(term_counts(docs), "t").join(entities, "e").crossJoin(F.broadcast(total))
+    total = marked.select(F.countDistinct("text_id").cast("double").alias("total"))
+    share = met.join(term_counts(different_texts(marked, docs)), "t").join(entities, "e").crossJoin(F.broadcast(total))
     p = F.least(F.col("n") / F.greatest("df", "n"), F.lit(1.0))
     information = -F.log(F.col("de") / F.col("total"))
     share = share.withColumn("share", F.when(information > 0, (F.log(p) + information) / information).otherwise(F.lit(0.0)))

@@ -414,6 +414,17 @@ def test_terms_that_disclose(spark):
     assert "bluebird" not in clean[0] and "[email]" in clean[0] and clean[100] == rows[8][1]
 
 
+def test_copies_of_a_text_leave_the_disclosure_of_its_terms(spark):
+    """A term that never stands without its entity discloses it, however often one of its texts is copied."""
+    rows = [(i, f"filler{i}\nproject bluebird contact ann@corp.example now{i}") for i in range(4)]
+    rows += [(100 + i, f"other{i} words about nothing") for i in range(60)]
+    rows += [(1000 + i, rows[0][1]) for i in range(300)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    got = {r.doc_id: r.spans for r in pii.digests(d).collect()}
+    a = rows[0][1].index("bluebird")
+    assert all(f"term:{a}:{a + 8}" in got[i] for i in (0, 1, 2, 3, 1000, 1299))
+
+
 # ---- urls -----------------------------------------------------------------------------------------------------------------------------------
 
 
