@@ -4,13 +4,15 @@ Base spans come from patterns per kind, leftmost and non-overlapping, checked an
 over the bytes of a text in linear time: an address is looked for at each "@", a number at the start of its digits.
 
 Information-theoretic part. Each base span's value is a protected entity. Terms (runs of letters and digits of at
-least MIN_TERM characters) within NEAR terms on its line, outside all spans, may disclose it. Over the whole corpus a
-term t and an entity e meet in n(t, e) documents, t stands in df(t) documents, e in df(e), of N. The information that
-t gives about e is the pointwise mutual information log(p(e | t) / p(e)); as a share of the information of e itself,
--log p(e), it is 1 if t never stands without e. Terms with a share of at least DISCLOSE, met with e in at least
-SUPPORT documents of different texts, are spans of the kind "term" where they stand near e; from REMOVE on they are
-removed by `sanitised`, below it generalised to their shape. Counts are over different texts, so that copies of one
-text don't make evidence.
+least MIN_TERM characters) of the same text, outside all spans, may disclose it. Over the whole corpus a term t and an
+entity e meet in n(t, e) documents, t stands outside the spans of df(t) documents, e in df(e), of N. The information
+that t gives about e is the pointwise mutual information log(p(e | t) / p(e)); as a share of the information of e
+itself, -log p(e), it is 1 if t never stands without e. Terms with a share of at least DISCLOSE, met with e in at least
+SUPPORT documents of different texts, are spans of the kind "term" wherever they stand outside base spans, in texts
+without e too; from REMOVE on they are removed by `sanitised`, below it generalised to their shape. Counts are over
+different texts, so that copies of one text don't make evidence.
+A share of DISCLOSE needs df(t) <= df(e) ** DISCLOSE * N ** (1 - DISCLOSE), as n(t, e) <= df(e): terms above this and
+terms or entities of fewer than SUPPORT texts are left out before pairs are made, which loses none.
 
 Defined cases: a null text is empty and has no spans; repeated rows get equal results; offsets are code points, end
 exclusive; texts of any length; an empty table gives an empty result; other columns aren't read.
@@ -26,15 +28,15 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import Tally, chunks, keep, lowered, mix, span_hashes
+from .shared import KeyTable, Tally, chunks, keep, lowered, mix, span_hashes
 from .toxicity import letter_spans
 
 KINDS = ("email", "ip", "card", "phone")
-NEAR = 6
 MIN_TERM = 4
 SUPPORT = 3
 DISCLOSE = 0.8
 REMOVE = 0.95
+MOST_TERMS = 2_000_000
 
 _DOMAIN = re.compile(rb"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _LOCAL = np.zeros(256, bool)
@@ -92,59 +94,63 @@ def entity(kind: int, value: bytes) -> bytes:
     return b"%d:" % kind + (value.lower() if kind == 0 else value if kind == 1 else bytes(c for c in value if 48 <= c <= 57))
 
 
+def _terms(data: np.ndarray, at: np.ndarray, spans: list[list[tuple[int, int, int]]], points: np.ndarray) -> tuple[np.ndarray, ...]:
+    """Start, end (in bytes), row and hash of each term outside the rows' spans; points: characters before each byte."""
+    low = lowered(data)
+    starts, ends, row = letter_spans(low, at)
+    here = points[ends] - points[starts] >= MIN_TERM
+    edges = np.array([(at[i] + a, at[i] + b) for i, s in enumerate(spans) for _, a, b in s], np.int64).reshape(-1, 2)
+    if len(edges):
+        depth = np.zeros(len(data) + 1, np.int64)
+        np.add.at(depth, edges[:, 0], 1)
+        np.add.at(depth, edges[:, 1], -1)
+        covered = np.concatenate([[0], np.cumsum(np.cumsum(depth[:-1]) > 0)])
+        here &= covered[ends] == covered[starts]
+    starts, ends, row = starts[here], ends[here], row[here]
+    with np.errstate(over="ignore"):
+        return starts, ends, row, span_hashes(low, starts, ends)
+
+
+def _scan(column: pa.Array) -> Iterator[tuple]:
+    """start, end, text as bytes, offsets, base spans of each row, characters before each byte, and _terms."""
+    for start, end, data, at in chunks(column):
+        whole = data.tobytes()
+        spans = [base_spans(whole[a:b]) for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+        points = np.concatenate([[0], np.cumsum((data & 0xC0) != 0x80)])
+        yield start, end, whole, at, spans, points, _terms(data, at, spans, points)
+
+
+def _different(row: np.ndarray, h: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The different hashes of each row."""
+    order = np.lexsort((h, row))
+    row, h = row[order], h[order]
+    first = np.concatenate([[True], (h[1:] != h[:-1]) | (row[1:] != row[:-1])]) if len(h) else np.zeros(0, bool)
+    return row[first], h[first]
+
+
+def _lists(row: np.ndarray, values: pa.Array, n: int) -> pa.Array:
+    """values, sorted by row, as one list a row."""
+    return pa.ListArray.from_arrays(pa.array(np.searchsorted(row, np.arange(n + 1)), pa.int32()), values)
+
+
 def found(docs: DataFrame) -> DataFrame:
-    """row, doc_id, text_id (a hash), n_email, n_ip, n_card, n_phone, base (spans as text), near: what may
-    disclose (entity, term, start, end)."""
-    schema = "row long, doc_id long, text_id long, n_email long, n_ip long, n_card long, n_phone long, base string, near array<struct<e:long,t:long,a:int,b:int>>"
-    names = [x.split()[0] for x in schema.split(", ")]
-    near_type = pa.list_(pa.struct([("e", pa.int64()), ("t", pa.int64()), ("a", pa.int32()), ("b", pa.int32())]))
+    """text_id (a hash), entities, terms: the different ones, as hashes; terms only where entities are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for start, end, data, at in chunks(batch[2]):
-                whole = data.tobytes()
-                spans = [base_spans(whole[a:b]) for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
-                near: list[list] = [[] for _ in spans]
-                base = [""] * len(spans)
-                counts = np.zeros((len(spans), 4), np.int64)
-                for i, s in enumerate(spans):
-                    if s:
-                        part = data[at[i] : at[i + 1]]
-                        points = np.concatenate([[0], np.cumsum((part & 0xC0) != 0x80)])
-                        base[i] = ",".join(f"{KINDS[k]}:{points[a]}:{points[b]}" for k, a, b in s)
-                        counts[i] = np.bincount([k for k, _, _ in s], minlength=4)
-                        near[i] = _around(whole[at[i] : at[i + 1]], part, s, points)
+            for start, end, whole, at, spans, _, (_, _, row, h) in _scan(batch[0]):
                 n = end - start
-                yield pa.RecordBatch.from_arrays([*(batch[k].slice(start, n) for k in (0, 1, 3)), *(pa.array(c) for c in counts.T), pa.array(base), pa.array(near, near_type)], names)
-
-    rows = docs.select(F.monotonically_increasing_id().alias("row"), F.col("doc_id").cast("long").alias("doc_id"), "text", F.xxhash64("text").alias("text_id"))
-    return rows.mapInArrow(run, schema)
+                raw = [(i, entity(k, whole[at[i] + a : at[i] + b])) for i, s in enumerate(spans) for k, a, b in s]
+                edges = np.concatenate([[0], np.cumsum([len(x) for _, x in raw])]).astype(np.int64)
+                with np.errstate(over="ignore"):
+                    e = mix(span_hashes(np.frombuffer(b"".join(x for _, x in raw), np.uint8), edges[:-1], edges[1:]))
+                owner, e = _different(np.array([i for i, _ in raw], np.int64), e)
+                private = np.zeros(n, bool)
+                private[owner] = True
+                row, h = _different(row[private[row]], h[private[row]])
+                yield pa.RecordBatch.from_arrays([batch[1].slice(start, n), _lists(owner, pa.array(e.view(np.int64)), n), _lists(row, pa.array(h.view(np.int64)), n)], ["text_id", "entities", "terms"])
 
-
-def _around(text: bytes, data: np.ndarray, spans: list[tuple[int, int, int]], points: np.ndarray) -> list[dict]:
-    low = lowered(data)
-    starts, ends, _ = letter_spans(low, np.array([0, len(data)]))
-    free = np.ones(len(starts), bool)
-    for _, a, b in spans:
-        free[np.searchsorted(ends, a, "right") : np.searchsorted(starts, b)] = False
-    starts, ends = starts[free], ends[free]
-    out = []
-    for kind, a, b in spans:
-        line = text.rfind(b"\n", 0, a) + 1, (text.find(b"\n", b) + len(text) + 1) % (len(text) + 1)
-        at = int(np.searchsorted(starts, a))
-        lo, hi = max(at - NEAR, int(np.searchsorted(starts, line[0]))), min(at + NEAR, int(np.searchsorted(starts, line[1])))
-        if lo >= hi:
-            continue
-        with np.errstate(over="ignore"):
-            raw = np.frombuffer(entity(kind, text[a:b]), np.uint8)
-            e = int(mix(span_hashes(raw, np.array([0]), np.array([len(raw)]))).view(np.int64)[0])
-            s, t = starts[lo:hi], ends[lo:hi]
-            window = low[s[0] : t[-1]]
-            h = span_hashes(window, s - s[0], t - s[0]).view(np.int64)
-        for x, y, z in zip(points[s].tolist(), points[t].tolist(), h.tolist(), strict=True):
-            if y - x >= MIN_TERM:
-                out.append({"e": e, "t": z, "a": x, "b": y})
-    return out
+    return docs.select("text", F.xxhash64("text").alias("text_id")).mapInArrow(run, "text_id long, entities array<long>, terms array<long>")
 
 
 def term_counts(docs: DataFrame) -> DataFrame:
@@ -153,17 +159,9 @@ def term_counts(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         tally = Tally()
         for b in batches:
-            for _, _, data, at in chunks(b[0]):
-                low = lowered(data)
-                starts, ends, row = letter_spans(low, at)
-                long = ends - starts >= MIN_TERM
-                starts, ends, row = starts[long], ends[long], row[long]
-                with np.errstate(over="ignore"):
-                    h = span_hashes(low, starts, ends)
-                order = np.lexsort((h, row))
-                h, row = h[order], row[order]
+            for *_, (_, _, row, h) in _scan(b[0]):
                 if len(h):
-                    tally.add(h[np.concatenate([[True], (h[1:] != h[:-1]) | (row[1:] != row[:-1])])])
+                    tally.add(_different(row, h)[1])
         yield from tally.batches(("t", "df"))
 
     return docs.select("text").mapInArrow(run, "t long, df long").groupBy("t").agg(F.sum("df").alias("df"))
@@ -179,28 +177,64 @@ def different_texts(marked: DataFrame, docs: DataFrame) -> DataFrame:
 
 
 def disclosing(marked: DataFrame, docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT) -> DataFrame:
-    """e, t, share of the pairs that disclose. Texts count once: copies are kept apart by the hash of the text."""
-    pairs = marked.select("text_id", F.explode("near").alias("x")).select("text_id", "x.e", "x.t")
-    met = pairs.distinct().groupBy("e", "t").agg(F.count(F.lit(1)).alias("n"))
-    met = keep(met.where(F.col("n") >= support))
-    entities = pairs.select("text_id", "e").distinct().groupBy("e").agg(F.count(F.lit(1)).alias("de"))
-    total = marked.select(F.countDistinct("text_id").cast("double").alias("total"))
-    share = met.join(term_counts(different_texts(marked, docs)), "t").join(entities, "e").crossJoin(F.broadcast(total))
-    p = F.least(F.col("n") / F.greatest("df", "n"), F.lit(1.0))
-    information = -F.log(F.col("de") / F.col("total"))
-    share = share.withColumn("share", F.when(information > 0, (F.log(p) + information) / information).otherwise(F.lit(0.0)))
-    return share.where(F.col("share") >= disclose).select("e", "t", "share")
-
-
-def spans_of(docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT) -> DataFrame:
-    """row, doc_id, text_id, counts of base spans, base, terms (array of (a, b, share), by place)."""
-    docs = docs.select("doc_id", F.coalesce("text", F.lit("")).alias("text"))
-    marked = keep(found(docs))
-    pairs = keep(disclosing(marked, docs, disclose, support))
-    hits = marked.select("row", F.explode("near").alias("x")).select("row", "x.*").join(pairs, ["e", "t"])
-    terms = hits.groupBy("row", "a", "b").agg(F.max("share").alias("share")).groupBy("row").agg(F.array_sort(F.collect_list(F.struct("a", "b", "share"))).alias("terms"))
-    # The number of terms of a row is bounded by 2 * NEAR for each base span of its text.
-    return marked.drop("near").join(terms, "row", "left")
+    """t, share: the terms that disclose, with their largest share. Texts count once: copies are known by the hash."""
+    total = float(marked.select(F.countDistinct("text_id")).first()[0])
+    texts = keep(marked.where(F.size("entities") > 0).dropDuplicates(["text_id"]))
+    held = texts.select("text_id", F.explode("entities").alias("e"))
+    entities = held.groupBy("e").agg(F.count(F.lit(1)).alias("de")).where((F.col("de") >= support) & (F.col("de") < total))
+    entities = keep(entities.withColumn("most", F.pow(F.col("de").cast("double"), F.lit(disclose)) * total ** (1 - disclose) * (1 + 1e-9)))
+    most = entities.agg(F.max("most")).first()[0] or 0.0
+    counts = term_counts(different_texts(marked, docs)).where((F.col("df") >= support) & (F.col("df") <= most))
+    terms = texts.select("text_id", F.explode("terms").alias("t")).join(counts, "t")
+    pairs = held.join(entities, "e").join(terms, "text_id").where(F.col("df") <= F.col("most"))
+    met = pairs.groupBy("e", "t").agg(F.count(F.lit(1)).alias("n"), F.max("df").alias("df"), F.max("de").alias("de")).where(F.col("n") >= support)
+    information = -F.log(F.col("de") / F.lit(total))
+    share = met.withColumn("share", (F.log(F.col("n") / F.col("df")) + information) / information)
+    return share.where(F.col("share") >= disclose).groupBy("t").agg(F.max("share").alias("share"))
+
+
+def spans_of(docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT, most_terms: int = MOST_TERMS) -> DataFrame:
+    """doc_id, text_id, counts of base spans, base, terms (array of (a, b, share), by place). Up to most_terms
+    disclosing terms travel to the tasks; more are joined by hash to every term of the texts."""
+    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
+    pairs = keep(disclosing(keep(found(docs)), docs, disclose, support))
+    few = pairs.count() <= most_terms
+    known = pairs.toArrow() if few else None
+    hashes, shares = (known["t"].to_numpy().view(np.uint64), known["share"].to_numpy()) if few and known.num_rows else (np.zeros(0, np.uint64), np.zeros(0))
+    shared = docs.sparkSession.sparkContext.broadcast((few, hashes, shares))
+    term = "a:int,b:int,share:double" if few else "a:int,b:int,t:bigint"
+    schema = f"doc_id long, text_id long, n_email long, n_ip long, n_card long, n_phone long, base string, terms array<struct<{term}>>"
+    names = ["doc_id", "text_id", "n_email", "n_ip", "n_card", "n_phone", "base", "terms"]
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        few, hashes, shares = shared.value
+        table = KeyTable(hashes)
+        for batch in batches:
+            for start, end, _, at, spans, points, (first, last, row, h) in _scan(batch[2]):
+                n = end - start
+                zero = points[at[:-1]].tolist()
+                base = [",".join(f"{KINDS[k]}:{points[at[i] + a] - zero[i]}:{points[at[i] + b] - zero[i]}" for k, a, b in s) for i, s in enumerate(spans)]
+                counts = np.zeros((n, 4), np.int64)
+                for i, s in enumerate(spans):
+                    for k, _, _ in s:
+                        counts[i, k] += 1
+                value = h.view(np.int64)
+                if few:
+                    with np.errstate(over="ignore"):
+                        place = table.find(h)
+                    hit = place >= 0
+                    first, last, row, value = first[hit], last[hit], row[hit], shares[place[hit]]
+                own = points[at[row]]
+                terms = pa.StructArray.from_arrays([pa.array(points[first] - own, pa.int32()), pa.array(points[last] - own, pa.int32()), pa.array(value)], ["a", "b", "share" if few else "t"])
+                yield pa.RecordBatch.from_arrays([batch[0].slice(start, n), batch[1].slice(start, n), *(pa.array(c) for c in counts.T), pa.array(base, pa.string()), _lists(row, terms, n)], names)
+
+    rows = docs.select("doc_id", F.xxhash64("text").alias("text_id"), "text").mapInArrow(run, schema)
+    if few:
+        return rows.withColumn("terms", F.when(F.size("terms") > 0, F.col("terms")))
+    rows = keep(rows.withColumn("row", F.monotonically_increasing_id()))
+    hits = rows.select("row", F.explode("terms").alias("x")).select("row", "x.*").join(pairs, "t")
+    terms = hits.groupBy("row").agg(F.array_sort(F.collect_list(F.struct("a", "b", "share"))).alias("terms"))
+    return rows.drop("terms").join(terms, "row", "left").drop("row")
 
 
 def digests(docs: DataFrame, **options) -> DataFrame:

@@ -425,6 +425,21 @@ def test_copies_of_a_text_leave_the_disclosure_of_its_terms(spark):
     assert all(f"term:{a}:{a + 8}" in got[i] for i in (0, 1, 2, 3, 1000, 1299))
 
 
+def test_terms_disclose_over_whole_texts(spark):
+    """A name two lines above an e-mail counts, and is marked in every text, with or without the e-mail."""
+    rows = [(i, f"née bluebird opens{i}\n" + f"filler{i} " * 20 + f"\n\nwrite to ann@corp.example or bluebird{i}@other.example\nbluebird") for i in range(8)]
+    rows += [(100 + i, f"other{i} words about nothing" + (" bluebird" if i == 7 else "")) for i in range(200)]
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    for most in (pii.MOST_TERMS, 0):
+        got = {r.doc_id: r for r in pii.digests(d, most_terms=most).collect()}
+        for i, t in rows:
+            want = [f"term:{m.start()}:{m.end()}" for m in re.finditer(r"\bbluebird\b", t)]
+            assert [x for x in got[i].spans.split(",") if x in want] == want
+        assert got[107].n_term == 1 and got[106].n_term == 0
+    clean = {r.doc_id: r.text for r in pii.sanitised(d).collect()}
+    assert "bluebird" not in clean[0] + clean[107] and clean[106] == dict(rows)[106]
+
+
 # ---- urls -----------------------------------------------------------------------------------------------------------------------------------
 
 
