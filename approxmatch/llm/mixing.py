@@ -5,8 +5,9 @@
    on the sources' table, sorted by cap / weight: the sources below the level are exactly a prefix of that order.
 2. Blocks. A source's documents fall into blocks by a hash of doc_id (64 documents or more in the mean, 1,024
    blocks at most), and each pass over a source goes through its blocks in a new permutation. A source takes as
-   many whole passes as fit its target, then whole blocks in permuted order while they fit, then, from the one
-   block that doesn't, documents from the largest down that still fit.
+   many whole passes as fit its target, then whole blocks in permuted order while they fit; from the first block
+   that doesn't, documents from the largest down that still fit; then each later block that still fits as a whole;
+   then, from all blocks left, documents from the largest down, until none that is left fits.
 3. Splitting tree. Every block that a source gives is a unit. The units of all sources are split between the two
    halves of the output shards, then each half again, until one shard is left. A split draws the number of units
    of each source from the multivariate hypergeometric law (source after source, by inversion of the exact
@@ -67,6 +68,26 @@ def _key(*parts) -> Column:
     return F.xxhash64(F.lit(SEED), *(F.lit(x) if isinstance(x, str | int) else x for x in parts))
 
 
+def _beside(left: DataFrame, right: DataFrame, on: list[str], how: str = "inner", small: bool = False) -> DataFrame:
+    """left with the columns of right, by keys that may be null."""
+    right = right.select(*(F.col(c).alias(f"_{c}" if c in on else c) for c in right.columns))
+    match = [F.col(c).eqNullSafe(F.col(f"_{c}")) for c in on]
+    both = match[0] if len(on) == 1 else match[0] & match[1]
+    return left.join(F.broadcast(right) if small else right, both, how).drop(*(f"_{c}" for c in on))
+
+
+def _largest_first(by_size: DataFrame, keys: list[str]) -> DataFrame:
+    """keys, size, m: how many documents of each size go into `room`, from the largest size down; by_size has keys,
+    room, size, n."""
+    sizes = by_size.groupBy(*keys, "room").agg(F.reverse(F.array_sort(F.collect_list(F.struct("size", "n")))).alias("sizes"))
+    step = lambda acc, x: let(
+        F.least(x["n"].cast("double"), F.floor((acc["room"] + 0.5) / x["size"]).cast("double")),
+        lambda m: F.struct((acc["room"] - m * x["size"]).alias("room"), F.concat(acc["last"], F.when(m > 0, F.array(F.struct(x["size"].alias("size"), m.cast("long").alias("m")))).otherwise(F.array().cast("array<struct<size:bigint,m:bigint>>"))).alias("last")),
+    )
+    start = F.struct(F.col("room").alias("room"), F.array().cast("array<struct<size:bigint,m:bigint>>").alias("last"))
+    return sizes.select(*keys, F.explode(F.aggregate("sizes", start, step)["last"]).alias("x")).select(*keys, "x.size", "x.m")
+
+
 def plan(sized: DataFrame) -> tuple[DataFrame, DataFrame]:
     """(documents with their block and what is taken of them, units).
 
@@ -94,31 +115,44 @@ def plan(sized: DataFrame) -> tuple[DataFrame, DataFrame]:
     part = part.withColumn("cut", ~F.col("whole") & (F.row_number().over(in_order) == 1) & (F.col("rest") > 0))
     part = keep(part.withColumn("room", F.when(F.col("cut"), F.col("rest") - F.col("through") + F.col("block_size"))))
     # The cut block: documents of one size are alike; take sizes from the largest down as they fit.
+    few = targets.count() <= 100_000
     cuts = part.where("cut").select("source", "block", "room")
-    in_cut = placed.join(
-        F.broadcast(cuts) if targets.count() <= 100_000 else cuts,
-        placed["source"].eqNullSafe(cuts["source"]) & (placed["block"] == cuts["block"]), "inner",
-    ).drop(cuts["source"]).drop(cuts["block"])
+    in_cut = _beside(placed, cuts, ["source", "block"], small=few)
     by_size = in_cut.where("size > 0").groupBy("source", "block", "room", "size").agg(F.count(F.lit(1)).alias("n"))
-    sizes = by_size.groupBy("source", "block", "room").agg(F.reverse(F.array_sort(F.collect_list(F.struct("size", "n")))).alias("sizes"))
-    step = lambda acc, x: let(
-        F.least(x["n"].cast("double"), F.floor((acc["room"] + 0.5) / x["size"]).cast("double")),
-        lambda m: F.struct((acc["room"] - m * x["size"]).alias("room"), F.concat(acc["last"], F.when(m > 0, F.array(F.struct(x["size"].alias("size"), m.cast("long").alias("m")))).otherwise(F.array().cast("array<struct<size:bigint,m:bigint>>"))).alias("last")),
-    )
     # At most one entry per distinct size of a block of a bounded share of the source.
-    chosen = sizes.select("source", "block", F.explode(F.aggregate("sizes", F.struct(F.col("room").alias("room"), F.array().cast("array<struct<size:bigint,m:bigint>>").alias("last")), step)["last"]).alias("x")).select("source", "block", "x.size", "x.m")
+    chosen = keep(_largest_first(by_size, ["source", "block"]))
+    # Later blocks, at most BLOCKS of a source, that fit as a whole into what the cut block leaves.
+    spent = chosen.groupBy("source").agg(F.sum(F.col("size") * F.col("m")).alias("spent"))
+    left = _beside(cuts.select("source", "room"), spent, ["source"], "left", few).select("source", (F.col("room") - F.coalesce("spent", F.lit(0))).alias("room"))
+    later = _beside(part.where("not whole and not cut and block_size > 0").drop("room"), left, ["source"], small=few)
+    key = F.struct("through", _key("order", F.col("source"), F.col("block"), F.col("passes")).alias("key"), "block", "block_size")
+    later = later.groupBy("source", "room").agg(F.array_sort(F.collect_list(key)).alias("blocks"))
+    fits = lambda acc, x: F.when(
+        x["block_size"] <= acc["room"] + 0.5, F.struct((acc["room"] - x["block_size"]).alias("room"), F.concat(acc["got"], F.array(x["block"])).alias("got"))
+    ).otherwise(acc)
+    later = keep(later.withColumn("end", F.aggregate("blocks", F.struct("room", F.array().cast("array<int>").alias("got")), fits)).select("source", F.col("end.room").alias("room"), F.col("end.got").alias("got")))
+    more = later.select("source", F.explode("got").alias("block"), F.lit(True).alias("more"))
+    part = _beside(part.drop("room"), more, ["source", "block"], "left", few)
+    part = keep(part.withColumn("whole", F.col("whole") | F.coalesce("more", F.lit(False))).drop("more"))
+    # Then documents of all blocks left, by the sizes of the source; those of one size in the order of the blocks.
+    over = _beside(part.where("not whole and not cut").select("source", "block", "through"), later.select("source", "room"), ["source"], small=few)
+    in_rest = _beside(placed, over, ["source", "block"], small=targets.count() <= 1_000).where((F.col("size") > 0) & (F.col("size") <= F.col("room") + 0.5))
+    by_block = keep(in_rest.groupBy("source", "block", "through", "room", "size").agg(F.count(F.lit(1)).alias("n")))
+    last = _largest_first(by_block.groupBy("source", "room", "size").agg(F.sum("n").alias("n")), ["source"])
+    last = _beside(by_block, last.withColumnRenamed("size", "s"), ["source"], small=few).where("size = s")
+    before = F.sum("n").over(Window.partitionBy("source", "size").orderBy("through", "block")) - F.col("n")
+    last = last.withColumn("m", F.least(F.col("n"), F.col("m") - before)).where("m > 0").select("source", "block", "size", "m")
+    chosen = keep(chosen.unionByName(last))
+    partly = chosen.select("source", "block").union(cuts.select("source", "block")).distinct().withColumn("partly", F.lit(True))
+    part = keep(_beside(part, partly, ["source", "block"], "left", few).withColumn("cut", F.coalesce("partly", F.lit(False))).drop("partly"))
+    # Rows that share doc_id, source and size are told apart by their place among each other.
+    placed = _beside(placed, part.select("source", "block", "whole", "cut"), ["source", "block"], "left", targets.count() <= 1_000)
     rank = F.row_number().over(Window.partitionBy("source", "block", "size").orderBy(_key("fill", F.col("doc_id")), "doc_id"))
-    filled = in_cut.select("source", "block", "size", "doc_id").withColumn("at", rank)
+    filled = placed.where("cut").select("source", "block", "size", "doc_id").withColumn("at", rank)
     filled = filled.alias("f").join(
         chosen.alias("c"), F.col("f.source").eqNullSafe(F.col("c.source")) & (F.col("f.block") == F.col("c.block")) & (F.col("f.size") == F.col("c.size")) & (F.col("f.at") <= F.col("c.m")), "left_semi"
     )
     extra = keep(filled.groupBy("doc_id", "source", "size").agg(F.count(F.lit(1)).alias("extra")))
-    # Rows that share doc_id, source and size are told apart by their place among each other.
-    whole = part.select("source", "block", "whole", "cut")
-    placed = placed.join(
-        F.broadcast(whole) if targets.count() <= 1_000 else whole,
-        placed["source"].eqNullSafe(whole["source"]) & (placed["block"] == whole["block"]), "left",
-    ).drop(whole["source"]).drop(whole["block"])
     easy = placed.where(~F.coalesce("cut", F.lit(False))).withColumn("copies", F.col("passes") + F.coalesce("whole", F.lit(False)).cast("int"))
     twin = F.row_number().over(Window.partitionBy("doc_id", "source", "size").orderBy(F.lit(0)))
     hard = placed.where("cut").withColumn("twin", twin)

@@ -142,6 +142,24 @@ def test_mixing(docs, rows, empty):
     assert mixing.mix(empty).count() == 0 and mixing.mixed_documents(empty).count() == 0
 
 
+def test_a_long_document_leaves_no_room_that_others_fill(spark):
+    """Sources of many blocks with one very long document: in the end no document that is left fits."""
+    rnd = random.Random(9)
+    rows = []
+    for k in range(6):
+        sizes = [rnd.randrange(1, 40) for _ in range(600)] + [9000]
+        rows += [(k * 10_000 + i, "w " * n, f"s{k}") for i, n in enumerate(sizes)]
+    rows += [(90_000 + i, "w " * 60, "t") for i in range(3000)]
+    got = mixing.mix(spark.createDataFrame(rows, "doc_id long, text string, source string")).collect()
+    assert len(got) == len(rows)
+    for s in {r.source for r in got}:
+        own = [r for r in got if r.source == s]
+        room = own[0].target - sum(r.taken for r in own)
+        passes = min(r.copies for r in own)
+        assert room > -1 and all(r.copies - passes in (0, 1) and len(r.shards) == r.copies for r in own)
+        assert own[0].target == 3 * own[0].source_size or all(r.size > room + 0.4 for r in own if r.copies == passes)
+
+
 def test_tree_keeps_quotas(spark):
     units = spark.range(1000).select(F.when(F.col("id") % 3 == 0, None).otherwise(F.concat(F.lit("s"), (F.col("id") % 3).cast("string"))).alias("source"), F.lit(0).alias("block"), F.lit(0).alias("pass"), F.floor(F.col("id") / 3).cast("int").alias("unit"))
     quotas = mixing.shard_quotas(units, 3).collect()
