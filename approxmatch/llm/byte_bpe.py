@@ -106,15 +106,17 @@ def encode_piece(piece: bytes, v: Vocabulary) -> list[int]:
     """Ids of one piece: the plain form of the method."""
     if piece in v.ranks:
         return [v.ranks[piece]]
-    n, none, pairs = len(piece), 1 << 60, v.pairs
-    width = 1 << max(1, (n - 1).bit_length())
+    n, pairs = len(piece), v.pairs
+    shift = max(1, (n - 1).bit_length())
+    # A key is a rank above a position of `shift` bits; Python integers have no upper end.
+    width, low, none = 1 << shift, (1 << shift) - 1, 1 << 64 + shift
     ids = [v.ranks[piece[i : i + 1]] for i in range(n)]
     after, before = list(range(1, n + 1)), list(range(-1, n - 1))
     tree = [none] * (2 * width)
     for i in range(n - 1):
         r = pairs.get(ids[i] << 32 | ids[i + 1])
         if r is not None:
-            tree[width + i] = r << 24 | i
+            tree[width + i] = r << shift | i
     for k in range(width - 1, 0, -1):
         tree[k] = min(tree[2 * k], tree[2 * k + 1])
 
@@ -131,7 +133,7 @@ def encode_piece(piece: bytes, v: Vocabulary) -> list[int]:
 
     alive = [True] * n
     while tree[1] < none:
-        rank, i = tree[1] >> 24, tree[1] & 0xFFFFFF
+        rank, i = tree[1] >> shift, tree[1] & low
         j = after[i]
         ids[i], alive[j] = rank, False
         after[i] = after[j]
@@ -139,10 +141,10 @@ def encode_piece(piece: bytes, v: Vocabulary) -> list[int]:
             before[after[j]] = i
         put(j, none)
         r = pairs.get(ids[i] << 32 | ids[after[i]]) if after[i] < n else None
-        put(i, none if r is None else r << 24 | i)
+        put(i, none if r is None else r << shift | i)
         if before[i] >= 0:
             r = pairs.get(ids[before[i]] << 32 | ids[i])
-            put(before[i], none if r is None else r << 24 | before[i])
+            put(before[i], none if r is None else r << shift | before[i])
     return [x for x, here in zip(ids, alive, strict=True) if here]
 
 

@@ -333,6 +333,14 @@ def test_bpe_equals_the_library(docs, rows, empty):
     assert byte_bpe.digests(empty, path, pattern).count() == 0
 
 
+def test_a_piece_of_more_than_16_mib():
+    """Only the last two bytes merge, at a position above 2 ** 24."""
+    v = byte_bpe.Vocabulary({bytes([i]): i for i in range(256)} | {b"bc": 256}, r"[a-z]+")
+    n = (1 << 24) + 10
+    got = byte_bpe.encode_piece(b"a" * n + b"bc", v)
+    assert len(got) == n + 1 and got[-1] == 256 and set(got[:-1]) == {97}
+
+
 # ---- lines ------------------------------------------------------------------------------------------------------------------------
 
 
