@@ -214,13 +214,20 @@ class Tally:
             k, n = np.unique(np.concatenate(self.waiting), return_counts=True)
             self.waiting, self.held = [], 0
             if len(self.keys):
-                every = np.concatenate([self.keys, k])
-                order = np.argsort(every, kind="stable")
-                every, n = every[order], np.concatenate([self.counts, n])[order]
-                first = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]]))
-                k, n = every[first], np.add.reduceat(n, first)
+                # both are sorted: known keys gain, new ones are put between
+                at = np.searchsorted(self.keys, k)
+                known = self.keys[np.minimum(at, len(self.keys) - 1)] == k
+                self.counts[at[known]] += n[known]
+                k, n = np.insert(self.keys, at[~known], k[~known]), np.insert(self.counts, at[~known], n[~known])
             self.keys, self.counts = k, n
 
+    def cleared(self) -> tuple[np.ndarray, np.ndarray]:
+        """Keys and counts so far; the tally begins anew."""
+        self.settle()
+        out = self.keys, self.counts
+        self.keys, self.counts = np.zeros(0, U), np.zeros(0, np.int64)
+        return out
+
     def batches(self, names: tuple[str, str] = ("k", "n"), most: int = 100_000) -> Iterator[pa.RecordBatch]:
         self.settle()
         for i in range(0, len(self.keys), most):

@@ -2,50 +2,71 @@
 
 Tokens are the words, A-Z lower-cased, and one end per text. The tree predicts the bytes of the words joined by one
 space, and an end; a text's score is the log10 probability of that byte sequence, which stands for its tokens one
-to one.
-
-Counting. Each predicted byte gives one window of itself and the five bytes before it (zeros before the start).
-Windows and words are counted within a task and then summed over the corpus: no sample, all training texts.
-Growing. A context of up to five bytes is a candidate if it precedes at least the share P_MIN of all bytes, so that
-at most 1 / P_MIN candidates exist at a depth, however large the corpus; only they reach the driver. A context is
-retained if its next-byte distribution diverges from that of its longest suffix in the tree: the count times the
-Kullback-Leibler divergence must exceed `DIVERGENCE` nats for each different next byte (a likelihood-ratio test);
-the suffixes of retained contexts are retained.
+to one. The end is the symbol 0; a NUL in a text is written as 0xFF, which UTF-8 never uses.
+
+Windows. Each predicted byte gives one window: the DEPTH bytes before it (zeros before the start), the nearest first,
+and itself. In this order the windows of one context suffix are neighbours.
+Growing. A context is a candidate if it precedes at least LEAST bytes of the training texts: a count, so that the tree
+grows with the corpus. It is retained if its next-byte distribution diverges from that of the suffix that is one byte
+shorter: the count times the Kullback-Leibler divergence must reach DIVERGENCE nats for each different next byte (a
+likelihood-ratio test). The suffixes of retained contexts are retained; candidates of up to SHALLOW bytes always are.
 Smoothing. A state gives n(s) + t * q(s) over n + t, with n its count, t its number of different next bytes and q
 the distribution of its longest proper suffix; below the empty context stands the uniform distribution.
 Scoring. The longest retained suffix of what was read is the state of each byte.
 
-Words with at least the share FREQUENT of the training tokens (at most 1 / FREQUENT of them) travel to the tasks;
-counts of the others are joined by hash. 64-bit hashes stand for words.
+Spread. No task holds the tree, and the driver only its first levels (contexts of up to SHALLOW bytes, at most
+256 ** (SHALLOW + 1) pairs), which travel to the tasks with the words above the share FREQUENT (at most 1 / FREQUENT).
+
+1. Texts are dealt into chunks of about CHUNK bytes by a hash; a chunk gives its different windows, sorted, with
+   their training counts, as one packed row for each of the PARTS of the tree. A part is a hash of the last SHALLOW + 1
+   context bytes, so that every deeper context lies in one part whole.
+2. The rows of a part are merged, first those of one salt (a group of SALTED chunks), then the salts' results: no task
+   reads the rows of more than SALTED chunks. A part is grown and gives the log probability of each of its windows.
+3. These meet the chunks' rows of each salt, and a chunk gets back one number for each of its windows.
+
+Words of the other shares are joined by hash. 64-bit hashes stand for words.
 
 Defined cases: a null text is empty and has the end only; a null doc_id counts as the text "" in the split; rows
-that repeat a doc_id are scored each; without training texts the base is 0 and the tree uniform; an empty table
-gives an empty result; other columns aren't read.
+that repeat a doc_id are scored each; without training texts the base is 0 and the tree uniform; a text longer than
+CHUNK is scanned block by block; an empty table gives an empty result; other columns aren't read.
 """
 
 from __future__ import annotations
 
 from collections.abc import Iterator
-from dataclasses import dataclass
+from dataclasses import dataclass, field
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import KeyTable, Tally, U, chunks, keep, lowered, span_hashes, word_spans
+from .shared import KeyTable, Tally, U, chunks, keep, lowered, mix, span_hashes, word_spans
 
-DEPTH = 5
-P_MIN = 4e-6
-DIVERGENCE = 0.7
+DEPTH = 6
+SHALLOW = 2
+LEAST = 4
+DIVERGENCE = 2.0
 FREQUENT = 4e-6
+CHUNK = 24_000_000
+PARTS = 512
+SALTED = 256
 END = 0x454E44 | 1 << 63
+_FLUSH = 400_000
 
 
 def held_out(doc_id: Column) -> Column:
     return F.crc32(F.coalesce(doc_id.cast("string"), F.lit("")).cast("binary")) % 7 == 2
 
 
+def normal(data: np.ndarray) -> np.ndarray:
+    """Lower-cased bytes without the symbol of the end."""
+    data = lowered(data)
+    data[data == 0] = 255
+    return data
+
+
 def byte_streams(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray]:
     """(stream, edges): for each row `depth` zeros, its words joined by single spaces, and a zero."""
     starts, ends, row = word_spans(data, at)
@@ -68,197 +89,363 @@ def byte_streams(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> tuple[
 
 
 def windows(stream: np.ndarray, edges: np.ndarray, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray]:
-    """(codes, rows) of the windows of depth + 1 bytes that end at a predicted byte; the last byte is lowest."""
-    wide = stream.astype(U)
-    n = len(wide) - depth
+    """(codes, rows) of the predicted bytes: the `depth` bytes before, the nearest highest, then the byte itself."""
+    n = len(stream) - depth
     code = np.zeros(max(n, 0), U)
-    for j in range(depth + 1):
-        code <<= U(8)
-        code |= wide[j : n + j]
+    for j in range(1, depth + 1):
+        code |= stream[depth - j : depth - j + n].astype(U) << U(8 * (depth + 1 - j))
+    code |= stream[depth:].astype(U)
     size = np.diff(edges)
     rows = np.repeat(np.arange(len(size)), size)[depth:]
     inside = np.ones(len(code), bool)
     for k in range(depth):  # windows that end in the next row's zeros
-        at = edges[1:-1] + k - depth
-        inside[at] = False
+        inside[edges[1:-1] + k - depth] = False
     return code[inside], rows[inside]
 
 
+def pair_codes(codes: np.ndarray, full: int, depth: int) -> np.ndarray:
+    """Windows of `full` context bytes cut to the nearest `depth` ones."""
+    return ((codes >> U(8 * (full - depth + 1))) << U(8)) | (codes & U(255))
+
+
+def summed(keys: np.ndarray, counts: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Different keys, sorted, with the sum of their counts."""
+    if not len(keys):
+        return keys, counts
+    order = np.argsort(keys, kind="stable")
+    keys, counts = keys[order], counts[order]
+    first = np.flatnonzero(np.concatenate([[True], keys[1:] != keys[:-1]]))
+    return keys[first], np.add.reduceat(counts, first)
+
+
+def planes(values: np.ndarray) -> bytes:
+    """64-bit numbers by byte planes: the high ones are zeros, which compress to nothing."""
+    return np.ascontiguousarray(values.view(np.uint8).reshape(-1, 8).T).tobytes()
+
+
+def from_planes(raw: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(8, -1).T).view(U).ravel()
+
+
+def packed(keys: np.ndarray) -> bytes:
+    """Sorted keys as planes of their differences."""
+    return planes(np.diff(keys, prepend=U(0)))
+
+
+def unpacked(raw: bytes) -> np.ndarray:
+    return np.cumsum(from_planes(raw), dtype=U)
+
+
 def gathered(docs: DataFrame) -> DataFrame:
-    """kind (0 window, 1 word), k, n: counts over the texts of docs; the ends are words."""
+    """kind, k, n over docs (text, held): counts of shallow windows (0) and words (1; the ends are words) in the
+    training texts, and the bytes of all texts (2)."""
+
+    def rows(kind: int, k: np.ndarray, n: np.ndarray) -> Iterator[pa.RecordBatch]:
+        for i in range(0, len(k), 100_000):
+            part = k[i : i + 100_000].view(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(np.full(len(part), kind, np.int8)), pa.array(part), pa.array(n[i : i + 100_000])], ["kind", "k", "n"])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        seen, words, ends = Tally(), Tally(), 0
+        seen, words, ends, size = Tally(), Tally(), 0, 0
         for b in batches:
-            for start, end, data, at in chunks(b[0]):
-                data = lowered(data)
+            size += sum(len(data) for _, _, data, _ in chunks(b[0]))
+            for start, end, data, at in chunks(b[0].filter(pc.invert(b[1]))):
+                data = normal(data)
                 with np.errstate(over="ignore"):
-                    seen.add(windows(*byte_streams(data, at))[0])
+                    seen.add(windows(*byte_streams(data, at, SHALLOW), SHALLOW)[0])
                     spans = word_spans(data, at)
                     words.add(span_hashes(data, *spans[:2]))
                 ends += end - start
-        for kind, tally in ((0, seen), (1, words)):
-            for out in tally.batches():
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(out.num_rows, kind, np.int8)), *out.columns], ["kind", "k", "n"])
-        if ends:
-            yield pa.RecordBatch.from_arrays([pa.array([1], pa.int8()), pa.array(np.array([END], U).view(np.int64)), pa.array([ends])], ["kind", "k", "n"])
+                if len(words.keys) > _FLUSH:  # sums follow in any case: what a task holds stays bounded
+                    yield from rows(1, *words.cleared())
+        yield from rows(0, *seen.cleared())
+        yield from rows(1, *words.cleared())
+        yield from rows(1, np.array([END], U), np.array([ends]))
+        yield from rows(2, np.zeros(1, U), np.array([size]))
+
+    counts = docs.select(F.coalesce("text", F.lit("")).alias("text"), "held").mapInArrow(run, "kind tinyint, k long, n long")
+    return counts.where("n > 0").groupBy("kind", "k").agg(F.sum("n").alias("n"))
+
+
+@dataclass
+class Level:
+    """Contexts, log10 of their escape; pairs (context and byte), log10 of their probability. All sorted."""
+
+    contexts: np.ndarray
+    escapes: np.ndarray
+    pairs: np.ndarray
+    logs: np.ndarray
+    counts: np.ndarray  # training bytes behind each context
+    tables: tuple[KeyTable, KeyTable] | None = None
 
-    counts = docs.select("text").mapInArrow(run, "kind tinyint, k long, n long")
-    return counts.groupBy("kind", "k").agg(F.sum("n").alias("n"))
+    def prepared(self) -> tuple[KeyTable, KeyTable]:
+        if self.tables is None:
+            self.tables = KeyTable(self.pairs), KeyTable(self.contexts)
+        return self.tables
 
 
 @dataclass
 class Tree:
-    """levels[d]: contexts of d bytes, log10 of their escape, pairs (context and byte) and log10 of their
-    probability; the empty context is level 0."""
-
-    contexts: list[np.ndarray]
-    escapes: list[np.ndarray]
-    pairs: list[np.ndarray]
-    logs: list[np.ndarray]
-
-    def prepare(self) -> Tree:
-        self.context_tables = [KeyTable(x) for x in self.contexts]
-        self.pair_tables = [KeyTable(x) for x in self.pairs]
-        return self
-
-    def score(self, codes: np.ndarray) -> np.ndarray:
-        """log10 probability of the last byte of each window."""
-        depth = len(self.contexts) - 1
-        out = np.zeros(len(codes))
-        left = np.arange(len(codes))
-        for d in range(depth, -1, -1):
-            if not len(left):
-                return out
-            key = codes[left] & U((1 << 8 * (d + 1)) - 1)
-            at = self.pair_tables[d].find(key)
+    levels: dict[int, Level] = field(default_factory=dict)
+
+    def score(self, codes: np.ndarray, full: int) -> np.ndarray:
+        """log10 probability of the last byte of each window of `full` context bytes."""
+        out, left = np.zeros(len(codes)), np.arange(len(codes))
+        for d in sorted((d for d in self.levels if d <= full), reverse=True):
+            level = self.levels[d]
+            pairs, contexts = level.prepared()
+            key = pair_codes(codes[left], full, d)
+            at = pairs.find(key)
             hit = at >= 0
-            out[left[hit]] += self.logs[d][at[hit]]
+            out[left[hit]] += level.logs[at[hit]]
             left, key = left[~hit], key[~hit]
-            at = self.context_tables[d].find(key >> U(8))
+            at = contexts.find(key >> U(8))
             known = at >= 0
-            out[left[known]] += self.escapes[d][at[known]]
-        out[left] += np.log10(1 / 256)
+            out[left[known]] += level.escapes[at[known]]
+        out[left] -= np.log10(256)
         return out
 
 
-def candidates(counts: DataFrame, total: int, p_min: float = P_MIN, depth: int = DEPTH) -> list[tuple[np.ndarray, np.ndarray]]:
-    """For each depth the sorted (pairs, counts) of the contexts with at least the share p_min."""
-    out = []
-    for d in range(depth + 1):
-        pairs = counts.withColumn("k", F.col("k").bitwiseAND(F.lit((1 << 8 * (d + 1)) - 1))).groupBy("k").agg(F.sum("n").alias("n")) if d < depth else counts
-        pairs = pairs.withColumn("c", F.shiftrightunsigned("k", 8))
-        often = pairs.groupBy("c").agg(F.sum("n").alias("m")).where(F.col("m") >= p_min * total).select("c")
-        table = pairs.join(often, "c", "left_semi").select("k", "n").toArrow()
-        k, n = table["k"].to_numpy().view(U) if table.num_rows else np.zeros(0, U), table["n"].to_numpy().astype(np.int64)
-        order = np.argsort(k)
-        out.append((k[order], n[order]))
-    return out
-
-
-def grow(levels: list[tuple[np.ndarray, np.ndarray]], divergence: float = DIVERGENCE) -> Tree:
-    """The tree of candidate counts by depth."""
-    depth = len(levels) - 1
-    mask = lambda d: U((1 << 8 * d) - 1)
-
-    def grouped(d: int) -> tuple[np.ndarray, ...]:
-        k, n = levels[d]
+def grow(codes: np.ndarray, counts: np.ndarray, full: int, depths: range, below: Tree | None = None, ratios: tuple[np.ndarray, np.ndarray] | None = None, least: int = LEAST, divergence: float = DIVERGENCE) -> tuple[Tree, tuple[np.ndarray, np.ndarray]]:
+    """The levels `depths` of the tree of sorted windows (with all windows of each of these contexts), on top of
+    `below`; and (pairs, share in their context) of the deepest candidates, which a further call takes as `ratios`."""
+    seen = counts > 0
+    codes, counts = codes[seen], counts[seen]
+    parts, kept = {}, {}
+    for d in depths:
+        k, n = (codes, counts) if d == full else summed(pair_codes(codes, full, d), counts)
         c = k >> U(8)
         first = np.flatnonzero(np.concatenate([[True], c[1:] != c[:-1]])) if len(k) else np.zeros(0, np.int64)
         size = np.diff(np.append(first, len(k)))
-        return k, n, c[first], np.add.reduceat(n, first) if len(k) else n, size
-
-    # p of every candidate pair given its candidate suffixes, from the empty context on
-    parts = [grouped(d) for d in range(depth + 1)]
-    kept: list[np.ndarray] = [np.ones(len(parts[0][2]), bool)]
-    plain: list[np.ndarray] = []
-    for d, (k, n, c, m, size) in enumerate(parts):
-        plain.append(n / np.repeat(m, size) if len(k) else np.zeros(0))
-        if d:
-            below = KeyTable(parts[d - 1][0])
-            at = below.find(k & mask(d))
-            parent = np.where(at >= 0, plain[d - 1][at] if len(plain[d - 1]) else 1.0, 1.0)
-            gain = n * np.log(plain[d] / parent)
-            kept.append(np.add.reduceat(gain, np.cumsum(size) - size) >= divergence * size if len(c) else np.zeros(0, bool))
-    for d in range(depth, 1, -1):  # suffixes of what stays
-        table = KeyTable(parts[d - 1][2])
-        at = table.find(parts[d][2][kept[d]] & mask(d - 1))
-        kept[d - 1][at[at >= 0]] = True
-    tree = Tree([], [], [], [])
-    for d, (k, n, c, m, size) in enumerate(parts):
-        stays = np.repeat(kept[d], size)
-        c, m, t, k, n = c[kept[d]], m[kept[d]], size[kept[d]], k[stays], n[stays]
-        if d:
-            shorter = Tree(tree.contexts, tree.escapes, tree.pairs, tree.logs).prepare()
-            q = 10 ** shorter.score(k & mask(d))
+        m = np.add.reduceat(n, first) if len(k) else n
+        enough = m >= least
+        wide = np.repeat(enough, size)
+        k, n, c, m, size = k[wide], n[wide], c[first][enough], m[enough], size[enough]
+        share = n / np.repeat(m, size)
+        if d > SHALLOW:
+            shorter = ((k >> U(16)) << U(8)) | (k & U(255))  # its context has at least this one's count
+            gain = n * np.log(share / ratios[1][KeyTable(ratios[0]).find(shorter)])
+            kept[d] = np.add.reduceat(gain, np.cumsum(size) - size) >= divergence * size if len(c) else np.zeros(0, bool)
         else:
-            q = np.full(len(k), 1 / 256)
-        tree.contexts.append(c)
-        tree.escapes.append(np.log10(t / (m + t)))
-        tree.pairs.append(k)
-        tree.logs.append(np.log10((n + np.repeat(t, t) * q) / np.repeat(m + t, t)))
-    return tree
+            kept[d] = np.ones(len(c), bool)
+        parts[d], ratios = (k, n, c, m, size), (k, share)
+    for d in reversed(depths[1:]):  # suffixes of what stays
+        if d > SHALLOW + 1:
+            kept[d - 1][KeyTable(parts[d - 1][2]).find(np.unique(parts[d][2][kept[d]] >> U(8)))] = True
+    tree = Tree(dict(below.levels) if below else {})
+    for d in depths:
+        k, n, c, m, size = parts[d]
+        wide = np.repeat(kept[d], size)
+        c, m, t, k, n = c[kept[d]], m[kept[d]], size[kept[d]], k[wide], n[wide]
+        q = 10 ** tree.score(k, d)
+        tree.levels[d] = Level(c, np.log10(t / (m + t)), k, np.log10((n + np.repeat(t, t) * q) / np.repeat(m + t, t)), m)
+    return tree, ratios
+
+
+def merged(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    return summed(np.concatenate([unpacked(x) for x in table["keys"].to_pylist()]), np.concatenate([from_planes(x) for x in table["counts"].to_pylist()]).view(np.int64))
+
+
+def chunk_windows(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
+    """Different windows of a chunk's texts, sorted, and their counts in the training texts."""
+    seen = {False: Tally(), True: Tally()}
+    for held, tally in seen.items():
+        for _, _, data, at in chunks(table["text"].filter(pc.equal(table["held"], held))):
+            tally.add(windows(*byte_streams(normal(data), at))[0])
+        tally.settle()
+    return summed(np.concatenate([t.keys for t in seen.values()]), np.concatenate([seen[False].counts, seen[True].counts * 0]))
+
+
+def in_parts(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """(order, part of each run, edges of the runs): sorted windows by part, in their order within it."""
+    with np.errstate(over="ignore"):
+        part = (mix(keys >> U(8 * (DEPTH - SHALLOW))) % U(parts)).astype(np.uint16)
+    order = np.argsort(part, kind="stable")
+    part = part[order]
+    first = np.flatnonzero(np.concatenate([[True], part[1:] != part[:-1]])) if len(part) else np.zeros(0, np.int64)
+    return order, part[first], np.append(first, len(part))
 
 
-def scores(docs: DataFrame) -> DataFrame:
-    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs."""
-    docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    spark = docs.sparkSession
-    counts = keep(gathered(docs.where(~held_out(F.col("doc_id")))))
+def dealt(docs: DataFrame, n_chunks: int, parts: int, salted: int) -> DataFrame:
+    """chunk, part, salt, keys, counts of docs (with text, held, chunk)."""
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        with np.errstate(over="ignore"):
+            keys, counts = chunk_windows(table)
+        order, part, edge = in_parts(keys, parts)
+        keys, counts = keys[order], counts[order]
+        cut = list(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True))
+        chunk = key[0].as_py()
+        return pa.table({
+            "chunk": pa.array([chunk] * len(cut), pa.int64()), "part": pa.array(part.astype(np.int32)), "salt": pa.array([chunk // salted] * len(cut), pa.int32()),
+            "keys": pa.array([packed(keys[a:b]) for a, b in cut], pa.binary()), "counts": pa.array([planes(counts[a:b]) for a, b in cut], pa.binary()),
+        })
+
+    return docs.groupBy("chunk").applyInArrow(run, "chunk long, part int, salt int, keys binary, counts binary")
+
+
+def part_counts(rows: DataFrame) -> DataFrame:
+    """part, keys, counts: the rows of each part and salt merged."""
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        keys, counts = merged(table)
+        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "keys": pa.array([packed(keys)], pa.binary()), "counts": pa.array([planes(counts)], pa.binary())})
+
+    return rows.groupBy("part", "salt").applyInArrow(run, "part int, keys binary, counts binary")
+
+
+def part_logs(counts: DataFrame, shared, least: int, divergence: float) -> DataFrame:
+    """part, keys, logs: the log10 probability of every window of the part, by its own subtree."""
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        first, ratios = shared.value
+        keys, n = merged(table)
+        with np.errstate(over="ignore"):
+            tree, _ = grow(keys, n, DEPTH, range(SHALLOW + 1, DEPTH + 1), first, ratios, least, divergence)
+            logs = tree.score(keys, DEPTH)
+        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "keys": pa.array([packed(keys)], pa.binary()), "logs": pa.array([logs.astype(np.float32).tobytes()], pa.binary())})
+
+    return counts.groupBy("part").applyInArrow(run, "part int, keys binary, logs binary")
+
+
+def chunk_logs(rows: DataFrame, logs: DataFrame) -> DataFrame:
+    """chunk, part, logs: for the windows of each row of `rows`, in their order."""
+
+    def run(key: tuple, asked: pa.Table, known: pa.Table) -> pa.Table:
+        out = []
+        if asked.num_rows:
+            keys, values = unpacked(known["keys"][0].as_py()), np.frombuffer(known["logs"][0].as_py(), np.float32)
+            out = [values[np.searchsorted(keys, unpacked(x))].tobytes() for x in asked["keys"].to_pylist()]
+        return pa.table({"chunk": asked["chunk"].cast(pa.int64()), "part": asked["part"].cast(pa.int32()), "logs": pa.array(out, pa.binary())})
+
+    # All columns of rows, as in `part_counts`: both read one exchange.
+    return rows.groupBy("part", "salt").cogroup(logs.groupBy("part", "salt")).applyInArrow(run, "chunk long, part int, logs binary")
+
+
+@dataclass
+class Counted:
+    """What the driver knows of a corpus: bounded numbers only."""
+
+    words: DataFrame  # h, c
+    tokens: int
+    different: int
+    size: int
+    tree: Tree
+    ratios: tuple[np.ndarray, np.ndarray]
+
+
+def counted(docs: DataFrame, least: int = LEAST) -> Counted:
+    counts = keep(gathered(docs))
     sums = {r["kind"]: (r["n"], r["v"]) for r in counts.groupBy("kind").agg(F.sum("n").alias("n"), F.count(F.lit(1)).alias("v")).collect()}
-    total, different = sums.get(1, (0, 0))
-    tree = grow(candidates(counts.where("kind = 0").select("k", "n"), sums.get(0, (0, 0))[0]))
+    table = counts.where("kind = 0").select("k", "n").toArrow()  # at most 256 ** (SHALLOW + 1) rows
+    codes, n = summed(table["k"].to_numpy().view(U), table["n"].to_numpy()) if table.num_rows else (np.zeros(0, U), np.zeros(0, np.int64))
+    with np.errstate(over="ignore"):
+        tree, ratios = grow(codes, n, SHALLOW, range(SHALLOW + 1), least=least)
     words = counts.where("kind = 1").select(F.col("k").alias("h"), F.col("n").alias("c"))
+    return Counted(words, *sums.get(1, (0, 0)), sums.get(2, (0, 0))[0], tree, ratios)
+
+
+def prepared(docs: DataFrame) -> DataFrame:
+    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"), held_out(F.col("doc_id").cast("long")).alias("held"))
+
+
+def in_chunks(docs: DataFrame, size: int, chunk: int) -> tuple[DataFrame, int]:
+    """docs with u and chunk (by a hash of the row, so that a task that is run again deals alike), and their number."""
+    n = max(1, round(size / chunk))
+    return docs.withColumn("u", F.monotonically_increasing_id()).withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n))), n
+
+
+def states(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE, parts: int = PARTS, salted: int = SALTED, chunk: int = CHUNK) -> DataFrame:
+    """context (bytes, the nearest last), n, kinds (different next bytes): the retained contexts of docs' training
+    texts that are longer than SHALLOW."""
+    docs = prepared(docs)
+    known = counted(docs, least)
+    rows, n = in_chunks(docs, known.size, chunk)
+    shared = docs.sparkSession.sparkContext.broadcast((known.tree, known.ratios))
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        with np.errstate(over="ignore"):
+            tree, _ = grow(*merged(table), DEPTH, range(SHALLOW + 1, DEPTH + 1), *shared.value, least, divergence)
+        context, count, kinds = [], [], []
+        for d in range(SHALLOW + 1, DEPTH + 1):
+            level = tree.levels[d]
+            context += [int(c).to_bytes(d, "big")[::-1] for c in level.contexts]
+            count.append(level.counts)
+            kinds.append(np.diff(np.searchsorted(level.pairs >> U(8), np.append(level.contexts, U(1 << 8 * d)))) if len(level.contexts) else np.zeros(0, np.int64))
+        return pa.table({"context": pa.array(context, pa.binary()), "n": pa.array(np.concatenate(count), pa.int64()), "kinds": pa.array(np.concatenate(kinds), pa.int64())})
+
+    return part_counts(dealt(rows, n, parts, salted)).groupBy("part").applyInArrow(run, "context binary, n long, kinds long")
+
+
+def scores(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE, parts: int = PARTS, salted: int = SALTED, chunk: int = CHUNK) -> DataFrame:
+    """doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score of every row of docs."""
+    docs = prepared(docs)
+    spark = docs.sparkSession
+    known = counted(docs, least)
+    total, words = known.tokens, known.words
     often = words.where(F.col("c") >= F.greatest(F.lit(FREQUENT * total), F.lit(1))).toArrow()
-    hashes, known = (often["h"].to_numpy().view(U), often["c"].to_numpy()) if often.num_rows else (np.zeros(0, U), np.zeros(0, np.int64))
-    shared = spark.sparkContext.broadcast((tree, hashes, known, np.log10(total + different + 1)))
+    hashes, times = (often["h"].to_numpy().view(U), often["c"].to_numpy()) if often.num_rows else (np.zeros(0, U), np.zeros(0, np.int64))
+    below = float(np.log10(total + known.different + 1))
+    shallow = spark.sparkContext.broadcast((known.tree, known.ratios))
+    frequent = spark.sparkContext.broadcast((hashes, np.log10(times + 1) - below))
+    rows, n_chunks = in_chunks(docs, known.size, chunk)
+    asked = dealt(rows, n_chunks, parts, salted)
+    logs = part_logs(part_counts(asked), shallow, least, divergence).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit((n_chunks - 1) // salted))))
+    back = chunk_logs(asked, logs)
     names = ["u", "h", "tf", "doc_id", "n_tokens", "n_known", "base", "score"]
 
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        model, hashes, known, below = shared.value
-        model.prepare()
-        table, logs = KeyTable(hashes), np.log10(known + 1) - below
-        end_at = int(table.find(np.array([END], U))[0])
-        for b in batches:
-            for start, end, data, at in chunks(b[2]):
-                n = end - start
-                data = lowered(data)
-                with np.errstate(over="ignore"):
-                    codes, rows = windows(*byte_streams(data, at))
-                    score = np.bincount(rows, weights=model.score(codes), minlength=n)
-                    starts, ends, row = word_spans(data, at)
-                    h = span_hashes(data, starts, ends)
-                    found = table.find(h)
-                count = np.bincount(row, minlength=n) + 1
-                hit = found >= 0
-                base = np.bincount(row[hit], weights=logs[found[hit]], minlength=n)
-                met = np.bincount(row[hit], minlength=n)
-                if end_at >= 0:
-                    base, met = base + logs[end_at], met + 1
-                # the other words: different ones of each row with their number
-                rare, where = h[~hit], row[~hit]
-                if end_at < 0:
-                    rare, where = np.concatenate([rare, np.full(n, END, U)]), np.concatenate([where, np.arange(n)])
-                order = np.lexsort((rare, where))
-                rare, where = rare[order], where[order]
-                first = np.flatnonzero(np.concatenate([[True], (rare[1:] != rare[:-1]) | (where[1:] != where[:-1])])) if len(rare) else np.zeros(0, np.int64)
-                tf = np.diff(np.append(first, len(rare)))
-                u = b[0].slice(start, n)
-                ids = u.to_numpy()
-                m = len(first)
-                own = span_own(ids)
-                yield pa.RecordBatch.from_arrays(
-                    [
-                        pa.array(np.concatenate([ids[where[first]], ids])), pa.array(np.concatenate([rare[first].view(np.int64), own])),
-                        pa.array(np.concatenate([tf, np.zeros(n, np.int64)])), pa.concat_arrays([pa.nulls(m, pa.int64()), b[1].slice(start, n)]),
-                        *(pa.concat_arrays([pa.nulls(m, kind), pa.array(x, kind)]) for x, kind in ((count, pa.int64()), (met, pa.int64()), (base, pa.float64()), (score, pa.float64()))),
-                    ],
-                    names,
-                )
-
-    rows = docs.select(F.monotonically_increasing_id().alias("u"), "doc_id", "text").mapInArrow(run, "u long, h long, tf long, doc_id long, n_tokens long, n_known long, base double, score double")
-    joined = rows.join(words, "h", "left")
-    rare = F.when(F.col("tf") > 0, F.col("tf") * (F.log10(F.coalesce("c", F.lit(0)) + 1.0) - float(np.log10(total + different + 1))))
+    def run(key: tuple, texts: pa.Table, logs: pa.Table) -> pa.Table:
+        hashes, gains = frequent.value
+        words = KeyTable(hashes)
+        end_at = int(words.find(np.array([END], U))[0])
+        out = [pa.table([pa.array([], pa.float64() if c in ("base", "score") else pa.int64()) for c in names], names)]
+        if texts.num_rows:
+            with np.errstate(over="ignore"):
+                codes, _ = chunk_windows(texts)
+                order, part, _ = in_parts(codes, parts)
+                mine = dict(zip(logs["part"].to_pylist(), logs["logs"].to_pylist(), strict=True))
+                values = np.empty(len(codes))
+                values[order] = np.concatenate([np.frombuffer(mine[p], np.float32) for p in part.tolist()])
+                table = KeyTable(codes)
+        done = 0
+        for start, end, data, at in chunks(texts["text"]):
+            n = end - start
+            data = normal(data)
+            with np.errstate(over="ignore"):
+                code, of = windows(*byte_streams(data, at))
+                score = np.bincount(of, weights=values[table.find(code)], minlength=n)
+                starts, ends, row = word_spans(data, at)
+                h = span_hashes(data, starts, ends)
+                found = words.find(h)
+            count = np.bincount(row, minlength=n) + 1
+            hit = found >= 0
+            base = np.bincount(row[hit], weights=gains[found[hit]], minlength=n)
+            met = np.bincount(row[hit], minlength=n)
+            if end_at >= 0:
+                base, met = base + gains[end_at], met + 1
+            # the other words: different ones of each row with their number
+            rare, where = h[~hit], row[~hit]
+            if end_at < 0:
+                rare, where = np.concatenate([rare, np.full(n, END, U)]), np.concatenate([where, np.arange(n)])
+            order = np.lexsort((rare, where))
+            rare, where = rare[order], where[order]
+            first = np.flatnonzero(np.concatenate([[True], (rare[1:] != rare[:-1]) | (where[1:] != where[:-1])])) if len(rare) else np.zeros(0, np.int64)
+            tf = np.diff(np.append(first, len(rare)))
+            ids, m = texts["u"].slice(done, n).to_numpy(), len(first)
+            out.append(pa.table(
+                [
+                    pa.array(np.concatenate([ids[where[first]], ids])), pa.array(np.concatenate([rare[first].view(np.int64), span_own(ids)])),
+                    pa.array(np.concatenate([tf, np.zeros(n, np.int64)])), pa.concat_arrays([pa.nulls(m, pa.int64()), texts["doc_id"].slice(done, n).combine_chunks()]),
+                    *(pa.concat_arrays([pa.nulls(m, kind), pa.array(x, kind)]) for x, kind in ((count, pa.int64()), (met, pa.int64()), (base, pa.float64()), (score, pa.float64()))),
+                ],
+                names,
+            ))
+            done += n
+        return pa.concat_tables(out)
+
+    scored = rows.groupBy("chunk").cogroup(back.groupBy("chunk")).applyInArrow(run, "u long, h long, tf long, doc_id long, n_tokens long, n_known long, base double, score double")
+    joined = scored.join(words, "h", "left")
+    rare = F.when(F.col("tf") > 0, F.col("tf") * (F.log10(F.coalesce("c", F.lit(0)) + 1.0) - below))
     out = joined.groupBy("u").agg(
         F.max("doc_id").alias("doc_id"), F.max("n_tokens").alias("n_tokens"),
         (F.max("n_known") + F.sum(F.when(F.col("c") > 0, F.col("tf")).otherwise(F.lit(0)))).alias("n_known"),

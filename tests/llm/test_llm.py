@@ -287,24 +287,78 @@ def test_suffix_tree(docs, rows, empty):
     assert suffix_tree_lm.scores(empty).count() == 0
 
 
+def brute_tree_scores(texts, train, least, divergence, depth=suffix_tree_lm.DEPTH, shallow=suffix_tree_lm.SHALLOW):
+    """Score of each text, and the retained contexts, from dictionaries of every context of the training texts."""
+    stream = [b" ".join(re.split(rb"[\x20\x09-\x0D]+", t.translate(LOW).encode().strip(b" \t\n\v\f\r"))).replace(b"\0", b"\xff") + b"\0" for t in texts]
+    seen = [{} for _ in range(depth + 1)]
+    for s, use in zip(stream, train, strict=True):
+        padded = bytes(depth) + s
+        for i in range(depth, len(padded)) if use else []:
+            for d in range(depth + 1):
+                seen[d].setdefault(padded[i - d : i], Counter())[padded[i]] += 1
+    kept = [{c for c, n in level.items() if n.total() >= least} for level in seen]
+    for d in range(shallow + 1, depth + 1):
+        def gain(c, d=d):
+            n, up = seen[d][c], seen[d - 1][c[1:]]
+            return sum(k * math.log(k / n.total() / (up[x] / up.total())) for x, k in n.items()) - divergence * len(n)
+
+        kept[d] = {c for c in kept[d] if gain(c) >= 0}
+    for d in range(depth, shallow + 1, -1):
+        kept[d - 1] |= {c[1:] for c in kept[d]}
+
+    def probability(c, x):
+        while c not in kept[len(c)] and c:
+            c = c[1:]
+        if c not in kept[len(c)]:
+            return 1 / 256
+        n = seen[len(c)][c]
+        q = probability(c[1:], x) if c else 1 / 256
+        return (n[x] + len(n) * q) / (n.total() + len(n))
+
+    out = []
+    for s in stream:
+        padded = bytes(depth) + s
+        out.append(sum(math.log10(probability(padded[i - depth : i], padded[i])) for i in range(depth, len(padded))))
+    return out, {c: seen[len(c)][c] for level in kept[shallow + 1 :] for c in level}
+
+
+def test_tree_equals_brute_force(spark, rows):
+    """Scores and retained contexts, however the texts and the tree are spread; NUL is no end; repeated rows."""
+    import zlib
+
+    data = [(i, t) for i, t, *_ in rows if t is not None] + [(500, "a nul \0 b"), (501, "\0"), (502, "\0\0 the")] * 2
+    data += [(600 + k, f"the gear of the ring number {k % 7} " * 4) for k in range(40)]
+    train = [zlib.crc32(("" if i is None else str(i)).encode()) % 7 != 2 for i, _ in data]
+    d = spark.createDataFrame(data, "doc_id long, text string").repartition(3)
+    for least, divergence, options in ((4, 2.0, {}), (2, 0.5, {"parts": 5, "salted": 2, "chunk": 3000})):
+        want, kept = brute_tree_scores([t for _, t in data], train, least, divergence)
+        got = suffix_tree_lm.scores(d, least, divergence, **options).collect()
+        assert len(got) == len(data) and not all(train)
+        key = lambda x: (x[0] if x[0] is not None else -1, x[1])
+        for (i, x), (j, y) in zip(sorted(((i, w) for (i, _), w in zip(data, want, strict=True)), key=key), sorted(((r.doc_id, r.score) for r in got), key=key), strict=True):
+            assert i == j and y == pytest.approx(x, rel=1e-6, abs=1e-4)
+        found = {bytes(r.context): (r.n, r.kinds) for r in suffix_tree_lm.states(d, least, divergence, **options).collect()}
+        assert found == {c: (n.total(), len(n)) for c, n in kept.items()} and any(len(c) == suffix_tree_lm.DEPTH for c in found)
+
+
 def test_tree_is_a_distribution():
     """Next-byte probabilities add up to one in every state, and streams stand for tokens."""
     data = b"the gear of the ring\n the  old ring" * 20
     at = np.array([0, 300, 300, len(data)])
-    stream, edges = suffix_tree_lm.byte_streams(np.frombuffer(data, np.uint8), at)
-    codes, rows = suffix_tree_lm.windows(stream, edges)
+    full = suffix_tree_lm.DEPTH
+    codes, rows = suffix_tree_lm.windows(*suffix_tree_lm.byte_streams(np.frombuffer(data, np.uint8), at))
     for k in range(3):
         part = data[at[k] : at[k + 1]]
-        want = b" ".join(part.split()) + b"\0"
-        assert (codes[rows == k] & np.uint64(255)).astype(np.uint8).tobytes() == want
-    levels = []
-    for d in range(suffix_tree_lm.DEPTH + 1):
-        k, n = np.unique(codes & np.uint64((1 << 8 * (d + 1)) - 1), return_counts=True)
-        levels.append((k, n))
-    tree = suffix_tree_lm.grow(levels).prepare()
-    for context in (0, *map(int, tree.contexts[2][:3]), *map(int, tree.contexts[-1][:3])):
-        p = tree.score(np.array([context << 8 | s for s in range(256)], np.uint64))
-        assert (10**p).sum() == pytest.approx(1.0, abs=1e-9)
+        assert (codes[rows == k] & np.uint64(255)).astype(np.uint8).tobytes() == b" ".join(part.split()) + b"\0"
+    keys, counts = np.unique(codes, return_counts=True)
+    tree, _ = suffix_tree_lm.grow(keys, counts, full, range(full + 1))
+    assert len(tree.levels[full].contexts)
+    for d in (0, 1, 3, full):
+        for c in map(int, tree.levels[d].contexts[:3]):
+            p = tree.score(np.array([c << 8 * (full - d + 1) | s for s in range(256)], np.uint64), full)
+            assert (10**p).sum() == pytest.approx(1.0, abs=1e-9)
+    raw = np.sort(np.random.default_rng(1).integers(0, 2**56, 1000).astype(np.uint64))
+    assert (suffix_tree_lm.unpacked(suffix_tree_lm.packed(raw)) == raw).all() and len(suffix_tree_lm.unpacked(b"")) == 0
 
 
 # ---- BPE -----------------------------------------------------------------------------------------------------------------------
