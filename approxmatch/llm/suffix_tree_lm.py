@@ -15,7 +15,7 @@ the distribution of its longest proper suffix; below the empty context stands th
 Scoring. The longest retained suffix of what was read is the state of each byte.
 
 Spread. No task holds the tree, and the driver only its first levels (contexts of up to SHALLOW bytes, at most
-256 ** (SHALLOW + 1) pairs), which travel to the tasks with the words above the share FREQUENT (at most 1 / FREQUENT).
+256 ** (SHALLOW + 1) pairs), which travel to the tasks.
 
 1. Texts are dealt into chunks of about CHUNK bytes by a hash; a chunk gives its different windows, sorted, with
    their training counts, as one packed row for each of the PARTS of the tree. A part is a hash of the last SHALLOW + 1
@@ -24,7 +24,7 @@ Spread. No task holds the tree, and the driver only its first levels (contexts o
    reads the rows of more than SALTED chunks. A part is grown and gives the log probability of each of its windows.
 3. These meet the chunks' rows of each salt, and a chunk gets back one number for each of its windows.
 
-Words of the other shares are joined by hash. 64-bit hashes stand for words.
+Words (64-bit hashes) go the same way: a chunk asks for its different ones, and gets their training counts.
 
 Defined cases: a null text is empty and has the end only; a null doc_id counts as the text "" in the split; rows
 that repeat a doc_id are scored each; without training texts the base is 0 and the tree uniform; a text longer than
@@ -48,9 +48,9 @@ DEPTH = 6
 SHALLOW = 2
 LEAST = 4
 DIVERGENCE = 2.0
-FREQUENT = 4e-6
 CHUNK = 24_000_000
 PARTS = 512
+WORD_BITS = 8  # words are dealt by the highest bits of their hash
 SALTED = 256
 END = 0x454E44 | 1 << 63
 _FLUSH = 400_000
@@ -266,34 +266,59 @@ def in_parts(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.n
     return order, part[first], np.append(first, len(part))
 
 
-def dealt(docs: DataFrame, n_chunks: int, parts: int, salted: int) -> DataFrame:
-    """chunk, part, salt, keys, counts of docs (with text, held, chunk)."""
+def chunk_words(table: pa.Table) -> np.ndarray:
+    """Different words of a chunk's texts and the end, as sorted hashes."""
+    seen = Tally()
+    for _, _, data, at in chunks(table["text"]):
+        data = normal(data)
+        seen.add(span_hashes(data, *word_spans(data, at)[:2]))
+    seen.add(np.array([END], U))
+    return seen.cleared()[0]
+
+
+def dealt(docs: DataFrame, parts: int, salted: int) -> DataFrame:
+    """chunk, part, salt, keys, counts of docs (with text, held, chunk); parts from `parts` on hold words, uncounted."""
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
         with np.errstate(over="ignore"):
             keys, counts = chunk_windows(table)
+            words = chunk_words(table)
         order, part, edge = in_parts(keys, parts)
         keys, counts = keys[order], counts[order]
         cut = list(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True))
+        rows = [(p, packed(keys[a:b]), planes(counts[a:b])) for p, (a, b) in zip(part.tolist(), cut, strict=True)]
+        edge = np.searchsorted(words >> U(64 - WORD_BITS), np.arange((1 << WORD_BITS) + 1))
+        rows += [(parts + p, packed(words[a:b]), b"") for p, (a, b) in enumerate(zip(edge[:-1].tolist(), edge[1:].tolist(), strict=True)) if a < b]
         chunk = key[0].as_py()
         return pa.table({
-            "chunk": pa.array([chunk] * len(cut), pa.int64()), "part": pa.array(part.astype(np.int32)), "salt": pa.array([chunk // salted] * len(cut), pa.int32()),
-            "keys": pa.array([packed(keys[a:b]) for a, b in cut], pa.binary()), "counts": pa.array([planes(counts[a:b]) for a, b in cut], pa.binary()),
+            "chunk": pa.array([chunk] * len(rows), pa.int64()), "part": pa.array([r[0] for r in rows], pa.int32()), "salt": pa.array([chunk // salted] * len(rows), pa.int32()),
+            "keys": pa.array([r[1] for r in rows], pa.binary()), "counts": pa.array([r[2] for r in rows], pa.binary()),
         })
 
     return docs.groupBy("chunk").applyInArrow(run, "chunk long, part int, salt int, keys binary, counts binary")
 
 
-def part_counts(rows: DataFrame) -> DataFrame:
-    """part, keys, counts: the rows of each part and salt merged."""
+def part_counts(rows: DataFrame, parts: int) -> DataFrame:
+    """part, keys, counts: the rows of each part of the tree and salt merged."""
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
-        keys, counts = merged(table)
-        return pa.table({"part": pa.array([key[0].as_py()], pa.int32()), "keys": pa.array([packed(keys)], pa.binary()), "counts": pa.array([planes(counts)], pa.binary())})
+        some = [] if key[0].as_py() >= parts else [merged(table)]
+        return pa.table({"part": pa.array([key[0].as_py()] * len(some), pa.int32()), "keys": pa.array([packed(k) for k, _ in some], pa.binary()), "counts": pa.array([planes(n) for _, n in some], pa.binary())})
 
     return rows.groupBy("part", "salt").applyInArrow(run, "part int, keys binary, counts binary")
 
 
+def word_parts(words: DataFrame, parts: int) -> DataFrame:
+    """part, keys, logs: the words of each part and (here as they are) their counts."""
+
+    def run(key: tuple, table: pa.Table) -> pa.Table:
+        keys, counts = summed(table["h"].to_numpy().view(U), table["c"].to_numpy())
+        return pa.table({"part": pa.array([parts + key[0].as_py()], pa.int32()), "keys": pa.array([packed(keys)], pa.binary()), "logs": pa.array([planes(counts)], pa.binary())})
+
+    rows = words.withColumn("part", F.shiftrightunsigned("h", 64 - WORD_BITS).cast("int"))
+    return rows.groupBy("part").applyInArrow(run, "part int, keys binary, logs binary")
+
+
 def part_logs(counts: DataFrame, shared, least: int, divergence: float) -> DataFrame:
     """part, keys, logs: the log10 probability of every window of the part, by its own subtree."""
 
@@ -308,14 +333,24 @@ def part_logs(counts: DataFrame, shared, least: int, divergence: float) -> DataF
     return counts.groupBy("part").applyInArrow(run, "part int, keys binary, logs binary")
 
 
-def chunk_logs(rows: DataFrame, logs: DataFrame) -> DataFrame:
-    """chunk, part, logs: for the windows of each row of `rows`, in their order."""
+def chunk_logs(rows: DataFrame, logs: DataFrame, parts: int) -> DataFrame:
+    """chunk, part, logs: for the windows or words of each row of `rows`, in their order."""
 
     def run(key: tuple, asked: pa.Table, known: pa.Table) -> pa.Table:
         out = []
         if asked.num_rows:
-            keys, values = unpacked(known["keys"][0].as_py()), np.frombuffer(known["logs"][0].as_py(), np.float32)
-            out = [values[np.searchsorted(keys, unpacked(x))].tobytes() for x in asked["keys"].to_pylist()]
+            words = key[0].as_py() >= parts
+            keys, values = np.zeros(0, U), np.zeros(0, np.int64)  # words that no training text has
+            if known.num_rows:
+                keys, raw = unpacked(known["keys"][0].as_py()), known["logs"][0].as_py()
+                values = from_planes(raw).view(np.int64) if words else np.frombuffer(raw, np.float32)
+            for x in asked["keys"].to_pylist():
+                x = unpacked(x)
+                at = np.minimum(np.searchsorted(keys, x), max(len(keys) - 1, 0))
+                if words:
+                    out.append(planes(np.where(keys[at] == x, values[at], 0) if len(keys) else np.zeros(len(x), np.int64)))
+                else:
+                    out.append(values[at].tobytes())
         return pa.table({"chunk": asked["chunk"].cast(pa.int64()), "part": asked["part"].cast(pa.int32()), "logs": pa.array(out, pa.binary())})
 
     # All columns of rows, as in `part_counts`: both read one exchange.
@@ -352,7 +387,7 @@ def prepared(docs: DataFrame) -> DataFrame:
 def in_chunks(docs: DataFrame, size: int, chunk: int) -> tuple[DataFrame, int]:
     """docs with u and chunk (by a hash of the row, so that a task that is run again deals alike), and their number."""
     n = max(1, round(size / chunk))
-    return docs.withColumn("u", F.monotonically_increasing_id()).withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n))), n
+    return docs.withColumn("chunk", F.pmod(F.xxhash64("doc_id", "text"), F.lit(n))), n
 
 
 def states(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE, parts: int = PARTS, salted: int = SALTED, chunk: int = CHUNK) -> DataFrame:
@@ -360,7 +395,7 @@ def states(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE,
     texts that are longer than SHALLOW."""
     docs = prepared(docs)
     known = counted(docs, least)
-    rows, n = in_chunks(docs, known.size, chunk)
+    rows, _ = in_chunks(docs, known.size, chunk)
     shared = docs.sparkSession.sparkContext.broadcast((known.tree, known.ratios))
 
     def run(key: tuple, table: pa.Table) -> pa.Table:
@@ -374,7 +409,7 @@ def states(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE,
             kinds.append(np.diff(np.searchsorted(level.pairs >> U(8), np.append(level.contexts, U(1 << 8 * d)))) if len(level.contexts) else np.zeros(0, np.int64))
         return pa.table({"context": pa.array(context, pa.binary()), "n": pa.array(np.concatenate(count), pa.int64()), "kinds": pa.array(np.concatenate(kinds), pa.int64())})
 
-    return part_counts(dealt(rows, n, parts, salted)).groupBy("part").applyInArrow(run, "context binary, n long, kinds long")
+    return part_counts(dealt(rows, parts, salted), parts).groupBy("part").applyInArrow(run, "context binary, n long, kinds long")
 
 
 def scores(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE, parts: int = PARTS, salted: int = SALTED, chunk: int = CHUNK) -> DataFrame:
@@ -382,31 +417,30 @@ def scores(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE,
     docs = prepared(docs)
     spark = docs.sparkSession
     known = counted(docs, least)
-    total, words = known.tokens, known.words
-    often = words.where(F.col("c") >= F.greatest(F.lit(FREQUENT * total), F.lit(1))).toArrow()
-    hashes, times = (often["h"].to_numpy().view(U), often["c"].to_numpy()) if often.num_rows else (np.zeros(0, U), np.zeros(0, np.int64))
+    total = known.tokens
     below = float(np.log10(total + known.different + 1))
     shallow = spark.sparkContext.broadcast((known.tree, known.ratios))
-    frequent = spark.sparkContext.broadcast((hashes, np.log10(times + 1) - below))
     rows, n_chunks = in_chunks(docs, known.size, chunk)
-    asked = dealt(rows, n_chunks, parts, salted)
-    logs = part_logs(part_counts(asked), shallow, least, divergence).withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit((n_chunks - 1) // salted))))
-    back = chunk_logs(asked, logs)
-    names = ["u", "h", "tf", "doc_id", "n_tokens", "n_known", "base", "score"]
+    asked = dealt(rows, parts, salted)
+    logs = part_logs(part_counts(asked, parts), shallow, least, divergence).unionByName(word_parts(known.words, parts))
+    logs = logs.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit((n_chunks - 1) // salted))))
+    back = chunk_logs(asked, logs, parts)
+    names = ["doc_id", "n_tokens", "n_known", "base", "score"]
+    kinds = [pa.int64(), pa.int64(), pa.int64(), pa.float64(), pa.float64()]
 
     def run(key: tuple, texts: pa.Table, logs: pa.Table) -> pa.Table:
-        hashes, gains = frequent.value
-        words = KeyTable(hashes)
-        end_at = int(words.find(np.array([END], U))[0])
-        out = [pa.table([pa.array([], pa.float64() if c in ("base", "score") else pa.int64()) for c in names], names)]
+        out = [pa.table([pa.array([], k) for k in kinds], names)]
         if texts.num_rows:
+            mine = dict(zip(logs["part"].to_pylist(), logs["logs"].to_pylist(), strict=True))
             with np.errstate(over="ignore"):
                 codes, _ = chunk_windows(texts)
                 order, part, _ = in_parts(codes, parts)
-                mine = dict(zip(logs["part"].to_pylist(), logs["logs"].to_pylist(), strict=True))
                 values = np.empty(len(codes))
                 values[order] = np.concatenate([np.frombuffer(mine[p], np.float32) for p in part.tolist()])
-                table = KeyTable(codes)
+                table, words = KeyTable(codes), KeyTable(chunk_words(texts))
+            times = np.concatenate([from_planes(mine[p]).view(np.int64) for p in sorted(p for p in mine if p >= parts)])
+            gains, seen = np.log10(times + 1) - below, times > 0
+            end_at = int(words.find(np.array([END], U))[0])
         done = 0
         for start, end, data, at in chunks(texts["text"]):
             n = end - start
@@ -415,48 +449,14 @@ def scores(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE,
                 code, of = windows(*byte_streams(data, at))
                 score = np.bincount(of, weights=values[table.find(code)], minlength=n)
                 starts, ends, row = word_spans(data, at)
-                h = span_hashes(data, starts, ends)
-                found = words.find(h)
+                found = words.find(span_hashes(data, starts, ends))
             count = np.bincount(row, minlength=n) + 1
-            hit = found >= 0
-            base = np.bincount(row[hit], weights=gains[found[hit]], minlength=n)
-            met = np.bincount(row[hit], minlength=n)
-            if end_at >= 0:
-                base, met = base + gains[end_at], met + 1
-            # the other words: different ones of each row with their number
-            rare, where = h[~hit], row[~hit]
-            if end_at < 0:
-                rare, where = np.concatenate([rare, np.full(n, END, U)]), np.concatenate([where, np.arange(n)])
-            order = np.lexsort((rare, where))
-            rare, where = rare[order], where[order]
-            first = np.flatnonzero(np.concatenate([[True], (rare[1:] != rare[:-1]) | (where[1:] != where[:-1])])) if len(rare) else np.zeros(0, np.int64)
-            tf = np.diff(np.append(first, len(rare)))
-            ids, m = texts["u"].slice(done, n).to_numpy(), len(first)
-            out.append(pa.table(
-                [
-                    pa.array(np.concatenate([ids[where[first]], ids])), pa.array(np.concatenate([rare[first].view(np.int64), span_own(ids)])),
-                    pa.array(np.concatenate([tf, np.zeros(n, np.int64)])), pa.concat_arrays([pa.nulls(m, pa.int64()), texts["doc_id"].slice(done, n).combine_chunks()]),
-                    *(pa.concat_arrays([pa.nulls(m, kind), pa.array(x, kind)]) for x, kind in ((count, pa.int64()), (met, pa.int64()), (base, pa.float64()), (score, pa.float64()))),
-                ],
-                names,
-            ))
+            met = np.bincount(row, weights=seen[found], minlength=n).astype(np.int64) + int(seen[end_at])
+            base = np.bincount(row, weights=gains[found], minlength=n) + gains[end_at]
+            ids = texts["doc_id"].slice(done, n).combine_chunks()
+            out.append(pa.table([ids, *(pa.array(x, k) for x, k in zip((count, met, base, score), kinds[1:], strict=True))], names))
             done += n
         return pa.concat_tables(out)
 
-    scored = rows.groupBy("chunk").cogroup(back.groupBy("chunk")).applyInArrow(run, "u long, h long, tf long, doc_id long, n_tokens long, n_known long, base double, score double")
-    joined = scored.join(words, "h", "left")
-    rare = F.when(F.col("tf") > 0, F.col("tf") * (F.log10(F.coalesce("c", F.lit(0)) + 1.0) - below))
-    out = joined.groupBy("u").agg(
-        F.max("doc_id").alias("doc_id"), F.max("n_tokens").alias("n_tokens"),
-        (F.max("n_known") + F.sum(F.when(F.col("c") > 0, F.col("tf")).otherwise(F.lit(0)))).alias("n_known"),
-        (F.max("base") + F.coalesce(F.sum(rare), F.lit(0.0))).alias("base_score"), F.max("score").alias("score"),
-    )
-    return out.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), "base_score", "score")
-
-
-def span_own(ids: np.ndarray) -> np.ndarray:
-    """Keys for the rows that hold a document's own figures: spread, and met with no word but by a hash's chance
-    (which adds nothing, their tf being 0)."""
-    with np.errstate(over="ignore"):
-        x = ids.astype(np.int64).view(U) * U(0x9E3779B97F4A7C15)
-        return (x ^ (x >> U(32))).view(np.int64)
+    scored = rows.groupBy("chunk").cogroup(back.groupBy("chunk")).applyInArrow(run, "doc_id long, n_tokens long, n_known long, base double, score double")
+    return scored.select("doc_id", held_out(F.col("doc_id")).alias("held_out"), "n_tokens", "n_known", F.lit(total).cast("long").alias("train_tokens"), F.col("base").alias("base_score"), "score")
