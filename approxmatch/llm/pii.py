@@ -3,16 +3,21 @@
 Base spans come from patterns per kind, leftmost and non-overlapping, checked and never retried. The patterns run
 over the bytes of a text in linear time: an address is looked for at each "@", a number at the start of its digits.
 
-Information-theoretic part. Each base span's value is a protected entity. Terms (runs of letters and digits of at
-least MIN_TERM characters) of the same text, outside all spans, may disclose it. Over the whole corpus a term t and an
-entity e meet in n(t, e) documents, t stands outside the spans of df(t) documents, e in df(e), of N. The information
-that t gives about e is the pointwise mutual information log(p(e | t) / p(e)); as a share of the information of e
-itself, -log p(e), it is 1 if t never stands without e. Terms with a share of at least DISCLOSE, met with e in at least
-SUPPORT documents of different texts, are spans of the kind "term" wherever they stand outside base spans, in texts
-without e too; from REMOVE on they are removed by `sanitised`, below it generalised to their shape. Counts are over
-different texts, so that copies of one text don't make evidence.
-A share of DISCLOSE needs df(t) <= df(e) ** DISCLOSE * N ** (1 - DISCLOSE), as n(t, e) <= df(e): terms above this and
-terms or entities of fewer than SUPPORT texts are left out before pairs are made, which loses none.
+Information-theoretic part. Protected entities are what the base spans tell, at four levels: a span's value, its group
+(an address's domain, a network, a card's issuer, a number's area: see `group`), its kind, and that there is personal
+data at all. Terms (runs of letters and digits of at least MIN_TERM characters) of the same text, outside all spans,
+may disclose them. Over the whole corpus a term t and an entity e meet in n(t, e) texts, t stands outside the spans
+of df(t) texts, e in df(e), of N. The information that t gives about e is the pointwise mutual information
+log(p(e | t) / p(e)); as a share of the information of e itself, -log p(e), it is 1 if t never stands without e.
+A term discloses e if the share is at least DISCLOSE and no chance: were t independent of e, n(t, e) or more meetings
+would have a probability of at most exp(-df(t) KL(n / df(t), p(e))), which must not exceed ERROR over the number of
+all pairs of a term and an entity. Such terms are spans of the kind "term" wherever they stand outside base spans, in
+texts without e too; from REMOVE on they are removed by `sanitised`, below it generalised to their shape.
+Counts are over different texts, so that copies of one text don't make evidence.
+
+Kinds are counted with the terms, within tasks. Pairs are made only of values and groups, and of those that can pass:
+the test needs df(e) * -log p(e) >= L, its bound, and df(t) >= L / log N; the share needs
+df(t) <= df(e) ** DISCLOSE * N ** (1 - DISCLOSE), as n(t, e) <= df(e). None that passes is lost.
 
 Defined cases: a null text is empty and has no spans; repeated rows get equal results; offsets are code points, end
 exclusive; texts of any length; an empty table gives an empty result; other columns aren't read.
@@ -32,11 +37,13 @@ from .shared import KeyTable, Tally, chunks, keep, lowered, mix, span_hashes
 from .toxicity import letter_spans
 
 KINDS = ("email", "ip", "card", "phone")
+ANY = len(KINDS)  # the kind of all
 MIN_TERM = 4
-SUPPORT = 3
+ERROR = 0.05
 DISCLOSE = 0.8
 REMOVE = 0.95
 MOST_TERMS = 2_000_000
+FLUSH = 400_000
 
 _DOMAIN = re.compile(rb"[A-Za-z0-9-]+(?:\.[A-Za-z0-9-]+)+")
 _LOCAL = np.zeros(256, bool)
@@ -94,6 +101,12 @@ def entity(kind: int, value: bytes) -> bytes:
     return b"%d:" % kind + (value.lower() if kind == 0 else value if kind == 1 else bytes(c for c in value if 48 <= c <= 57))
 
 
+def group(kind: int, value: bytes) -> bytes:
+    """What entities share: the domain, the first two numbers of an address, six digits of a card, four of a phone."""
+    own = entity(kind, value)[2:]
+    return b"%d~" % kind + (own.split(b"@", 1)[1] if kind == 0 else b".".join(own.split(b".")[:2]) if kind == 1 else own[: 6 if kind == 2 else 4])
+
+
 def _terms(data: np.ndarray, at: np.ndarray, spans: list[list[tuple[int, int, int]]], points: np.ndarray) -> tuple[np.ndarray, ...]:
     """Start, end (in bytes), row and hash of each term outside the rows' spans; points: characters before each byte."""
     low = lowered(data)
@@ -134,37 +147,65 @@ def _lists(row: np.ndarray, values: pa.Array, n: int) -> pa.Array:
 
 
 def found(docs: DataFrame) -> DataFrame:
-    """text_id (a hash), entities, terms: the different ones, as hashes; terms only where entities are."""
+    """text_id (a hash), kinds (a bit each), entities (values and groups) and terms: the different ones, as hashes;
+    terms only where entities are."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for start, end, whole, at, spans, _, (_, _, row, h) in _scan(batch[0]):
                 n = end - start
-                raw = [(i, entity(k, whole[at[i] + a : at[i] + b])) for i, s in enumerate(spans) for k, a, b in s]
+                raw = [(i, f(k, whole[at[i] + a : at[i] + b])) for i, s in enumerate(spans) for k, a, b in s for f in (entity, group)]
                 edges = np.concatenate([[0], np.cumsum([len(x) for _, x in raw])]).astype(np.int64)
                 with np.errstate(over="ignore"):
                     e = mix(span_hashes(np.frombuffer(b"".join(x for _, x in raw), np.uint8), edges[:-1], edges[1:]))
                 owner, e = _different(np.array([i for i, _ in raw], np.int64), e)
-                private = np.zeros(n, bool)
-                private[owner] = True
-                row, h = _different(row[private[row]], h[private[row]])
-                yield pa.RecordBatch.from_arrays([batch[1].slice(start, n), _lists(owner, pa.array(e.view(np.int64)), n), _lists(row, pa.array(h.view(np.int64)), n)], ["text_id", "entities", "terms"])
+                kinds = _kinds(spans)
+                private = row[kinds[row] > 0], h[kinds[row] > 0]
+                row, h = _different(*private)
+                yield pa.RecordBatch.from_arrays([batch[1].slice(start, n), pa.array(kinds), _lists(owner, pa.array(e.view(np.int64)), n), _lists(row, pa.array(h.view(np.int64)), n)], ["text_id", "kinds", "entities", "terms"])
+
+    return docs.select("text", F.xxhash64("text").alias("text_id")).mapInArrow(run, "text_id long, kinds int, entities array<long>, terms array<long>")
 
-    return docs.select("text", F.xxhash64("text").alias("text_id")).mapInArrow(run, "text_id long, entities array<long>, terms array<long>")
+
+def _kinds(spans: list[list[tuple[int, int, int]]]) -> np.ndarray:
+    return np.array([sum({1 << k for k, _, _ in s}) | bool(s) << ANY for s in spans], np.int32)
 
 
 def term_counts(docs: DataFrame) -> DataFrame:
-    """t, df: in how many different texts each term stands (of rows that are different texts)."""
+    """t, df, and n0 .. n4: in how many different texts each term stands, and how many of them hold each kind and any
+    (of rows that are different texts)."""
+    each = [f"n{k}" for k in range(ANY + 1)]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tally = Tally()
-        for b in batches:
-            for *_, (_, _, row, h) in _scan(b[0]):
-                if len(h):
-                    tally.add(_different(row, h)[1])
-        yield from tally.batches(("t", "df"))
+        tallies = [Tally() for _ in range(ANY + 2)]  # the last one: all texts
+
+        def rows() -> Iterator[pa.RecordBatch]:
+            keys, df = tallies[-1].cleared()
+            table = KeyTable(keys)
+            columns = []
+            for tally in tallies[:-1]:
+                k, n = tally.cleared()
+                column = np.zeros(len(keys), np.int64)
+                column[table.find(k)] = n
+                columns.append(column)
+            for i in range(0, len(keys), 100_000):
+                yield pa.RecordBatch.from_arrays([pa.array(c[i : i + 100_000]) for c in (keys.view(np.int64), df, *columns)], ["t", "df", *each])
 
-    return docs.select("text").mapInArrow(run, "t long, df long").groupBy("t").agg(F.sum("df").alias("df"))
+        for b in batches:
+            for _, _, _, _, spans, _, (_, _, row, h) in _scan(b[0]):
+                row, h = _different(row, h)
+                tallies[-1].add(h)
+                kinds = _kinds(spans)
+                for k in range(ANY + 1):
+                    mine = h[kinds[row] >> k & 1 > 0]
+                    if len(mine):
+                        tallies[k].add(mine)
+            if len(tallies[-1].keys) > FLUSH:  # sums follow in any case: what a task holds stays bounded
+                yield from rows()
+        yield from rows()
+
+    counts = docs.select("text").mapInArrow(run, "t long, df long, " + ", ".join(f"{c} long" for c in each))
+    return counts.groupBy("t").agg(*(F.sum(c).alias(c) for c in ("df", *each)))
 
 
 def different_texts(marked: DataFrame, docs: DataFrame) -> DataFrame:
@@ -176,28 +217,37 @@ def different_texts(marked: DataFrame, docs: DataFrame) -> DataFrame:
     return alone.unionByName(texts.join(copied, "text_id", "left_semi").dropDuplicates(["text_id"])).select("text")
 
 
-def disclosing(marked: DataFrame, docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT) -> DataFrame:
+def disclosing(marked: DataFrame, docs: DataFrame, disclose: float = DISCLOSE, error: float = ERROR) -> DataFrame:
     """t, share: the terms that disclose, with their largest share. Texts count once: copies are known by the hash."""
     total = float(marked.select(F.countDistinct("text_id")).first()[0])
-    texts = keep(marked.where(F.size("entities") > 0).dropDuplicates(["text_id"]))
+    texts = keep(marked.where("kinds > 0").dropDuplicates(["text_id"]))
     held = texts.select("text_id", F.explode("entities").alias("e"))
-    entities = held.groupBy("e").agg(F.count(F.lit(1)).alias("de")).where((F.col("de") >= support) & (F.col("de") < total))
-    entities = keep(entities.withColumn("most", F.pow(F.col("de").cast("double"), F.lit(disclose)) * total ** (1 - disclose) * (1 + 1e-9)))
+    entities = keep(held.groupBy("e").agg(F.count(F.lit(1)).alias("de")))
+    counts = keep(term_counts(different_texts(marked, docs)))
+    in_kind = texts.agg(*(F.coalesce(F.sum(F.shiftright("kinds", k).bitwiseAND(1)), F.lit(0)).alias(f"n{k}") for k in range(ANY + 1))).first()
+    pairs = (entities.count() + ANY + 1) * counts.count()
+    bound = float(np.log(max(pairs, 1) / error))
+    p, q = F.col("de") / F.lit(total), F.col("n") / F.col("df")
+    information = -F.log(p)
+    # entities that can pass, and terms that can with any of them
+    entities = keep(entities.where((F.col("de") < total) & (F.col("de") * information >= bound)).withColumn("most", F.pow(F.col("de").cast("double"), F.lit(disclose)) * total ** (1 - disclose) * (1 + 1e-9)))
     most = entities.agg(F.max("most")).first()[0] or 0.0
-    counts = term_counts(different_texts(marked, docs)).where((F.col("df") >= support) & (F.col("df") <= most))
-    terms = texts.select("text_id", F.explode("terms").alias("t")).join(counts, "t")
+    able = counts.where((F.col("df") >= bound / np.log(max(total, 2.0))) & (F.col("df") <= most)).select("t", "df")
+    terms = texts.select("text_id", F.explode("terms").alias("t")).join(able, "t")
     pairs = held.join(entities, "e").join(terms, "text_id").where(F.col("df") <= F.col("most"))
-    met = pairs.groupBy("e", "t").agg(F.count(F.lit(1)).alias("n"), F.max("df").alias("df"), F.max("de").alias("de")).where(F.col("n") >= support)
-    information = -F.log(F.col("de") / F.lit(total))
-    share = met.withColumn("share", (F.log(F.col("n") / F.col("df")) + information) / information)
+    met = pairs.groupBy("e", "t").agg(F.count(F.lit(1)).alias("n"), F.max("df").alias("df"), F.max("de").alias("de")).select("t", "n", "df", "de")
+    kinds = F.explode(F.array(*(F.struct(F.col(f"n{k}").alias("n"), F.lit(in_kind[k]).cast("long").alias("de")) for k in range(ANY + 1))))
+    met = met.unionByName(counts.select("t", "df", kinds.alias("x")).select("t", "x.n", "df", "x.de")).where((F.col("n") > 0) & (F.col("de") < total) & (q > p))
+    chance = F.col("df") * (q * F.log(q / p) + F.when(q < 1, (1 - q) * F.log((1 - q) / (1 - p))).otherwise(F.lit(0.0)))
+    share = met.where(chance >= bound).withColumn("share", F.least((F.log(q) + information) / information, F.lit(1.0)))
     return share.where(F.col("share") >= disclose).groupBy("t").agg(F.max("share").alias("share"))
 
 
-def spans_of(docs: DataFrame, disclose: float = DISCLOSE, support: int = SUPPORT, most_terms: int = MOST_TERMS) -> DataFrame:
+def spans_of(docs: DataFrame, disclose: float = DISCLOSE, error: float = ERROR, most_terms: int = MOST_TERMS) -> DataFrame:
     """doc_id, text_id, counts of base spans, base, terms (array of (a, b, share), by place). Up to most_terms
     disclosing terms travel to the tasks; more are joined by hash to every term of the texts."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    pairs = keep(disclosing(keep(found(docs)), docs, disclose, support))
+    pairs = keep(disclosing(keep(found(docs)), docs, disclose, error))
     few = pairs.count() <= most_terms
     known = pairs.toArrow() if few else None
     hashes, shares = (known["t"].to_numpy().view(np.uint64), known["share"].to_numpy()) if few and known.num_rows else (np.zeros(0, np.uint64), np.zeros(0))
@@ -280,6 +330,3 @@ def sanitised(docs: DataFrame, remove: float = REMOVE, **options) -> DataFrame:
             yield pa.RecordBatch.from_arrays([b[0], pa.array(out, pa.string())], ["doc_id", "text"])
 
     return texts.select("doc_id", "text", "base", "terms").mapInArrow(run, "doc_id long, text string")
-
-
-

@@ -520,6 +520,74 @@ def test_terms_disclose_over_whole_texts(spark):
     assert "bluebird" not in clean[0] + clean[107] and clean[106] == dict(rows)[106]
 
 
+def brute_terms(texts, disclose, error):
+    """Disclosing terms with their largest share, from every pair of a term and an entity of every level."""
+    different = sorted(set(texts))
+    holds, stands = {}, {}
+    for i, t in enumerate(different):
+        raw = t.encode()
+        spans = pii.base_spans(raw)
+        for k, a, b in spans:
+            for e in (pii.entity(k, raw[a:b]), pii.group(k, raw[a:b]), k, "any"):
+                holds.setdefault(e, set()).add(i)
+        for m in re.finditer(rb"[0-9A-Za-z\x80-\xff]+", raw):
+            if len(m[0].decode()) >= pii.MIN_TERM and not any(a < m.end() and m.start() < b for _, a, b in spans):
+                stands.setdefault(m[0].decode().translate(LOW), set()).add(i)
+    for k in (*range(4), "any"):
+        holds.setdefault(k, set())
+    n, bound, out = len(different), math.log(max(len(holds) * len(stands), 1) / error), {}
+    for e, own in holds.items():
+        for t, at in stands.items():
+            p, q = len(own) / n, len(at & own) / len(at)
+            if own and p < 1 and q > p:
+                chance = len(at) * (q * math.log(q / p) + ((1 - q) * math.log((1 - q) / (1 - p)) if q < 1 else 0))
+                share = 1 + math.log(q) / -math.log(p)
+                if chance >= bound and share >= disclose:
+                    out[t] = max(out.get(t, 0), share)
+    return out
+
+
+def test_disclosing_terms_equal_brute_force(spark):
+    """Random corpora with terms tied to a value, a domain, a kind and to any personal data, more or less closely."""
+    for seed in range(3):
+        rnd = random.Random(seed)
+        texts = []
+        for i in range(400):
+            w = [f"word{rnd.randrange(300)}" for _ in range(rnd.randrange(3, 25))] + ["née"] * rnd.randrange(2)
+            if i % 9 == 0:
+                w += [f"u{i}@{rnd.choice(['a', 'b'])}.example.com"] + ["secretly"] * (rnd.random() < 0.9)
+                w += ["alpha"] if w[-2].endswith("@a.example.com") or w[-1].endswith("@a.example.com") else []
+            if i % 13 == 0:
+                w += [f"10.1.{i % 7}.{i % 200}", "Address", "secretly"] if rnd.random() < 0.8 else ["10.1.0.1"]
+            if i % 40 == 1:
+                w += ["+1 (555) 123-4567", "Phone"]
+            rnd.shuffle(w)
+            texts.append(" ".join(w))
+        texts += texts[:60]
+        d = spark.createDataFrame([(i, t) for i, t in enumerate(texts)], "doc_id long, text string").repartition(3)
+        for disclose, error in ((0.8, 0.05), (0.5, 0.5)):
+            want = brute_terms(texts, disclose, error)
+            assert want
+            got = pii.disclosing(pii.found(d), d, disclose, error)
+            assert sorted(r.share for r in got.collect()) == pytest.approx(sorted(want.values()))
+            low = {r.doc_id: r for r in pii.digests(d, disclose=disclose, error=error).collect()}
+            for i, t in enumerate(texts):
+                marked = {t[int(a) : int(b)].translate(LOW) for k, a, b in (x.split(":") for x in low[i].spans.split(",") if x) if k == "term"}
+                outside = t
+                for r in pii.base_spans(t.encode())[::-1]:
+                    outside = outside.replace(t.encode()[r[1] : r[2]].decode(), " ")
+                assert marked == want.keys() & set(re.findall(r"[0-9A-Za-zé]+", outside.translate(LOW)))
+
+
+def test_sanitising_removes_or_generalises(spark):
+    """A term that never stands without a kind goes; one that sometimes does keeps its shape."""
+    rows = [(i, f"common{i} Ref7x sometimes +1 (555) 123-{4000 + i}") for i in range(40)]
+    rows += [(100 + i, f"common{i} words of no note{i}") for i in range(400)] + [(900 + i, f"sometimes other words {i}") for i in range(12)]
+    clean = {r.doc_id: r.text for r in pii.sanitised(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+    assert clean[3] == "common3  [x] [phone]"
+    assert clean[105] == "common5 words of no note5" and clean[901].startswith("[x] other words")
+
+
 # ---- urls -----------------------------------------------------------------------------------------------------------------------------------
 
 
