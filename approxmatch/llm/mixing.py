@@ -8,18 +8,21 @@
    many whole passes as fit its target, then whole blocks in permuted order while they fit; from the first block
    that doesn't, documents from the largest down that still fit; then each later block that still fits as a whole;
    then, from all blocks left, documents from the largest down, until none that is left fits.
-3. Splitting tree. Every block that a source gives is a unit. The units of all sources are split between the two
-   halves of the output shards, then each half again, until one shard is left. A split draws the number of units
-   of each source from the multivariate hypergeometric law (source after source, by inversion of the exact
-   probabilities within eight standard deviations), so every shard gets its exact size and the quotas of the
+3. Splitting tree. Every block that a source gives is a unit: the source's quota. The units of all sources are split
+   between the two halves of the output shards, then each half again, until one shard is left. A split draws the
+   number of units of each source from the multivariate hypergeometric law (source after source, by inversion of the
+   exact probabilities within eight standard deviations), so every shard gets its exact size and the quotas of the
    sources add up exactly. A shard takes the next units of each source's permuted sequence: the draws are disjoint.
-4. Within a shard, order is by a hash of the copy (`position_key`): a local shuffle.
+   There are as many shards, a power of two, as leave UNITS_A_SHARD units to each.
+4. Within a shard, order is by a hash of the copy (`position_key`): a local shuffle. What is taken of a document is
+   what the shards draw of it.
 
 All randomness is a hash of the seed and of keys, so that reruns and retried tasks agree.
 
 Defined cases: a null text has size 0; a null source is a source of its own, last; documents without words are
-never taken; rows that repeat a doc_id are documents of their own; an empty table gives an empty result; other
-columns pass through untouched by `mixed_documents`.
+never taken; rows that repeat a doc_id are documents of their own, told apart by a hash of the text, and rows equal
+in all of these are interchangeable; a text of any length is one document, taken whole or not at all; an empty table
+gives an empty result; other columns pass through untouched by `mixed_documents`, whatever their names.
 """
 
 from __future__ import annotations
@@ -33,13 +36,13 @@ WEIGHTS = (5.0, 2.0, 1.0)
 MOST = 3
 BLOCKS = 1024
 DOCS_A_BLOCK = 64
-SHARD_LEVELS = 4
+UNITS_A_SHARD = 64
 SEED = 17
 
 
 def sized_documents(docs: DataFrame) -> DataFrame:
-    """doc_id, source, size: all that the plan needs of a document."""
-    return docs.select(F.col("doc_id"), F.col("source"), word_count(F.col("text")).alias("size"))
+    """doc_id, source, size, own (a hash of the text): all that the plan needs of a document."""
+    return docs.select(F.col("doc_id"), F.col("source"), word_count(F.col("text")).alias("size"), F.xxhash64("text").alias("own"))
 
 
 def source_targets(sized: DataFrame, weights: tuple[float, ...] = WEIGHTS, most: int = MOST) -> DataFrame:
@@ -89,9 +92,9 @@ def _largest_first(by_size: DataFrame, keys: list[str]) -> DataFrame:
 
 
 def plan(sized: DataFrame) -> tuple[DataFrame, DataFrame]:
-    """(documents with their block and what is taken of them, units).
+    """(documents with their block and the number of passes that hold them, units).
 
-    documents: doc_id, source, size, source_size, target, block, copies, taken.
+    documents: doc_id, source, size, own, source_size, target, block, copies.
     units: source, pass, block, unit (its place in the source's sequence), one row for every block and pass used.
     """
     targets = keep(source_targets(sized))
@@ -145,26 +148,26 @@ def plan(sized: DataFrame) -> tuple[DataFrame, DataFrame]:
     chosen = keep(chosen.unionByName(last))
     partly = chosen.select("source", "block").union(cuts.select("source", "block")).distinct().withColumn("partly", F.lit(True))
     part = keep(_beside(part, partly, ["source", "block"], "left", few).withColumn("cut", F.coalesce("partly", F.lit(False))).drop("partly"))
-    # Rows that share doc_id, source and size are told apart by their place among each other.
+    # Rows equal in doc_id, source, size and text are told apart by their place among each other.
     placed = _beside(placed, part.select("source", "block", "whole", "cut"), ["source", "block"], "left", targets.count() <= 1_000)
-    rank = F.row_number().over(Window.partitionBy("source", "block", "size").orderBy(_key("fill", F.col("doc_id")), "doc_id"))
-    filled = placed.where("cut").select("source", "block", "size", "doc_id").withColumn("at", rank)
+    rank = F.row_number().over(Window.partitionBy("source", "block", "size").orderBy(_key("fill", F.col("doc_id")), "doc_id", "own"))
+    filled = placed.where("cut").select("source", "block", "size", "doc_id", "own").withColumn("at", rank)
     filled = filled.alias("f").join(
         chosen.alias("c"), F.col("f.source").eqNullSafe(F.col("c.source")) & (F.col("f.block") == F.col("c.block")) & (F.col("f.size") == F.col("c.size")) & (F.col("f.at") <= F.col("c.m")), "left_semi"
     )
-    extra = keep(filled.groupBy("doc_id", "source", "size").agg(F.count(F.lit(1)).alias("extra")))
+    extra = keep(filled.groupBy("doc_id", "source", "size", "own").agg(F.count(F.lit(1)).alias("extra")))
     easy = placed.where(~F.coalesce("cut", F.lit(False))).withColumn("copies", F.col("passes") + F.coalesce("whole", F.lit(False)).cast("int"))
-    twin = F.row_number().over(Window.partitionBy("doc_id", "source", "size").orderBy(F.lit(0)))
+    twin = F.row_number().over(Window.partitionBy("doc_id", "source", "size", "own").orderBy(F.lit(0)))
     hard = placed.where("cut").withColumn("twin", twin)
-    hard = hard.alias("p").join(extra.alias("e"), F.col("p.doc_id").eqNullSafe(F.col("e.doc_id")) & F.col("p.source").eqNullSafe(F.col("e.source")) & (F.col("p.size") == F.col("e.size")), "left").select("p.*", "extra")
+    hard = hard.alias("p").join(extra.alias("e"), F.col("p.doc_id").eqNullSafe(F.col("e.doc_id")) & F.col("p.source").eqNullSafe(F.col("e.source")) & (F.col("p.size") == F.col("e.size")) & (F.col("p.own") == F.col("e.own")), "left").select("p.*", "extra")
     hard = hard.withColumn("copies", F.col("passes") + (F.col("twin") <= F.coalesce("extra", F.lit(0))).cast("int"))
-    columns = ["doc_id", "source", "size", "source_size", "target", "block", "copies"]
-    taken = easy.select(columns).unionByName(hard.select(columns))
-    taken = taken.withColumn("copies", F.when(F.col("size") > 0, F.col("copies")).otherwise(F.lit(0))).withColumn("taken", F.col("copies") * F.col("size"))
+    columns = ["doc_id", "source", "size", "own", "source_size", "target", "block", "copies"]
+    placed = easy.select(columns).unionByName(hard.select(columns))
+    placed = placed.withColumn("copies", F.when(F.col("size") > 0, F.col("copies")).otherwise(F.lit(0)))
     used = part.withColumn("turns", F.col("passes") + (F.col("whole") | F.col("cut")).cast("int")).where("turns > 0 and block_size > 0")
     units = used.select("source", "block", F.explode(F.sequence(F.lit(0), F.col("turns") - 1)).alias("pass"))
     place = F.row_number().over(Window.partitionBy("source").orderBy("pass", _key("order", F.col("source"), F.col("block"), F.col("pass")), "block")) - 1
-    return taken, units.withColumn("unit", place)
+    return placed, units.withColumn("unit", place)
 
 
 def _hypergeometric(population: Column, good: Column, draws: Column, u: Column) -> Column:
@@ -191,7 +194,11 @@ def _hypergeometric(population: Column, good: Column, draws: Column, u: Column)
     return let(low, lambda lo: let(high, lambda hi: draw(lo, hi)))
 
 
-def shard_quotas(units: DataFrame, levels: int = SHARD_LEVELS) -> DataFrame:
+def tree_levels(units: DataFrame) -> int:
+    return max(0, (units.count() // UNITS_A_SHARD).bit_length() - 1)
+
+
+def shard_quotas(units: DataFrame, levels: int) -> DataFrame:
     """shard, source, quota, first: units [first, first + quota) of the source's sequence go to the shard."""
     counts = units.groupBy("source").agg(F.count(F.lit(1)).cast("double").alias("q"))
     node = counts.groupBy().agg(F.array_sort(F.collect_list(F.struct(F.coalesce("source", F.lit("")).alias("key"), F.col("source").isNull().alias("none"), F.col("source").alias("source"), F.col("q")))).alias("s")).select(F.lit(0).alias("node"), F.lit(1 << levels).alias("width"), "s")
@@ -216,7 +223,7 @@ def shard_quotas(units: DataFrame, levels: int = SHARD_LEVELS) -> DataFrame:
     return flat.withColumn("first", before)
 
 
-def shard_units(units: DataFrame, levels: int = SHARD_LEVELS) -> DataFrame:
+def shard_units(units: DataFrame, levels: int) -> DataFrame:
     """units with their shard."""
     quotas = shard_quotas(units, levels).groupBy("source").agg(F.array_sort(F.collect_list(F.struct("first", "quota", "shard"))).alias("cuts"))
     joined = units.alias("u").join(quotas.alias("q"), F.col("u.source").eqNullSafe(F.col("q.source")), "left").select("u.*", "cuts")
@@ -224,26 +231,35 @@ def shard_units(units: DataFrame, levels: int = SHARD_LEVELS) -> DataFrame:
     return joined.withColumn("shard", inside[0]["shard"]).drop("cuts")
 
 
-def mix(docs: DataFrame, levels: int = SHARD_LEVELS) -> DataFrame:
-    """doc_id, source, size, source_size, target, copies, taken, shards (of the copies, in pass order)."""
-    taken, units = plan(keep(sized_documents(docs)))
-    shards = shard_units(units, levels).groupBy("source", "block").agg(F.transform(F.array_sort(F.collect_list(F.struct("pass", "shard"))), lambda x: x["shard"]).alias("all_shards"))
-    out = taken.alias("t").join(shards.alias("s"), F.col("t.source").eqNullSafe(F.col("s.source")) & (F.col("t.block") == F.col("s.block")), "left")
-    own = F.when(F.col("copies") > 0, F.slice("all_shards", F.lit(1), F.greatest(F.col("copies"), F.lit(1)))).otherwise(F.array().cast("array<int>"))
-    return out.select("t.doc_id", "t.source", "size", "source_size", "target", "copies", "taken", own.alias("shards"))
-
-
-def mixed_documents(docs: DataFrame, levels: int = SHARD_LEVELS, with_shards: bool = False) -> DataFrame:
-    """The mix itself: each document once per copy taken, the columns of `docs`; with_shards adds shard and
-    position_key, by which a writer partitions and sorts."""
+def mix(docs: DataFrame, levels: int | None = None) -> DataFrame:
+    """doc_id, source, size, own, source_size, target, copies, taken, shards and position_keys (of the copies that the
+    shards draw, in the order of the passes). `levels` halvings give 2 ** levels shards."""
+    placed, units = plan(keep(sized_documents(docs)))
+    units = keep(units)
+    drawn = shard_units(units, tree_levels(units) if levels is None else levels).groupBy("source", "block").agg(F.array_sort(F.collect_list(F.struct("pass", "shard"))).alias("drawn"))
+    out = placed.alias("t").join(drawn.alias("s"), F.col("t.source").eqNullSafe(F.col("s.source")) & (F.col("t.block") == F.col("s.block")), "left")
+    # A document is in the first `copies` passes of its block; of those, the shards hold the drawn ones.
+    own = F.filter(F.coalesce("drawn", F.array().cast("array<struct<pass:int,shard:int>>")), lambda x: x["pass"] < F.col("copies"))
+    out = out.select("t.doc_id", "t.source", "size", "own", "source_size", "target", own.alias("drawn"))
+    keys = F.transform("drawn", lambda x: _key("shuffle", x["shard"], F.col("doc_id"), F.col("own"), x["pass"]))
+    n = F.size("drawn")
+    return out.select("doc_id", "source", "size", "own", "source_size", "target", n.alias("copies"), (n * F.col("size")).alias("taken"), F.transform("drawn", lambda x: x["shard"]).alias("shards"), keys.alias("position_keys"))
+
+
+def mixed_documents(docs: DataFrame, levels: int | None = None, with_shards: bool = False) -> DataFrame:
+    """The mix itself: each document once per copy taken, the columns of `docs`, shard by shard and shuffled within
+    each; with_shards adds shard and position_key."""
     names = docs.columns
-    copies = mix(docs, levels).where("copies > 0").groupBy("doc_id", "source", "size").agg(F.sum("copies").alias("n"), F.count(F.lit(1)).alias("twins"), F.flatten(F.collect_list("shards")).alias("shards"))
-    rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"), F.col("doc_id").alias("k"), F.col("source").alias("so"), word_count(F.col("text")).alias("sz"))
-    # Rows alike in doc_id, source and size share the copies of their group: the twin-th takes every twins-th.
-    rows = rows.join(copies, rows["k"].eqNullSafe(copies["doc_id"]) & rows["so"].eqNullSafe(copies["source"]) & (rows["sz"] == copies["size"]))
+    keys = ["doc_id", "source", "size", "own"]
+    places = F.flatten(F.collect_list(F.arrays_zip("shards", "position_keys")))
+    copies = mix(docs, levels).where("copies > 0").groupBy(*keys).agg(F.count(F.lit(1)).alias("twins"), places.alias("places"))
+    rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"), F.col("doc_id").alias("k"), F.col("source").alias("so"), word_count(F.col("text")).alias("sz"), F.xxhash64("text").alias("ow"))
+    # Rows alike in all of these share the copies of their group: the twin-th takes every twins-th.
+    rows = rows.join(copies, rows["k"].eqNullSafe(copies["doc_id"]) & rows["so"].eqNullSafe(copies["source"]) & (rows["sz"] == copies["size"]) & (rows["ow"] == copies["own"]))
     alone = rows.where("twins = 1").withColumn("twin", F.lit(1))
-    several = rows.where("twins > 1").withColumn("twin", F.row_number().over(Window.partitionBy("k", "so", "sz").orderBy(F.lit(0))))
+    several = rows.where("twins > 1").withColumn("twin", F.row_number().over(Window.partitionBy("k", "so", "sz", "ow").orderBy(F.lit(0))))
     rows = alone.unionByName(several)
-    out = rows.select("row", "k", F.posexplode("shards").alias("turn", "shard"), "twin", "twins").where(F.col("turn") % F.col("twins") == F.col("twin") - 1)
-    extra = ["shard", _key("shuffle", F.col("shard"), F.col("k"), F.col("turn")).alias("position_key")] if with_shards else []
-    return out.select("row.*", *extra)
+    out = rows.select("row", F.posexplode("places").alias("turn", "place"), "twin", "twins").where(F.col("turn") % F.col("twins") == F.col("twin") - 1)
+    out = out.select("row", F.col("place.shards").alias("shard"), F.col("place.position_keys").alias("position_key"))
+    out = out.repartitionByRange("shard", "position_key").sortWithinPartitions("shard", "position_key")
+    return out.select("row.*", *(["shard", "position_key"] if with_shards else []))

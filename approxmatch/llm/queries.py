@@ -20,7 +20,7 @@ def op1_gif_media(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return mixing.mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "shards")
+    return mixing.mix(documents(spark, sf_dir)).select("doc_id", "size", "source_size", "target", "taken", "shards", "position_keys")
 
 
 def op3_near_dup(spark: SparkSession, sf_dir: str) -> DataFrame:
