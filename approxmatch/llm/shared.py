@@ -135,12 +135,16 @@ def lowered(data: np.ndarray) -> np.ndarray:
     return _LOWER[data]
 
 
+def word_bytes(data: np.ndarray) -> np.ndarray:
+    return ~_DELIM[data]
+
+
 def word_spans(data: np.ndarray, at: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Start, end and row of each word, in order. A row's end also ends its last word."""
     if not len(data):
         none = np.zeros(0, np.int64)
         return none, none, none
-    inside = ~_DELIM[data]
+    inside = word_bytes(data)
     edge = np.zeros(len(data) + 1, bool)
     edge[at] = True
     before = np.concatenate([[False], inside[:-1]])
@@ -211,7 +215,9 @@ class Tally:
 
     def settle(self) -> None:
         if self.held:
-            k, n = np.unique(np.concatenate(self.waiting), return_counts=True)
+            every = np.sort(np.concatenate(self.waiting))
+            first = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]]))
+            k, n = every[first], np.diff(np.append(first, len(every)))
             self.waiting, self.held = [], 0
             if len(self.keys):
                 # both are sorted: known keys gain, new ones are put between

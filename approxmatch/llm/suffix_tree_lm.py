@@ -42,13 +42,13 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import KeyTable, Tally, U, chunks, keep, lowered, mix, span_hashes, word_spans
+from .shared import KeyTable, Tally, U, chunks, keep, lowered, mix, span_hashes, word_bytes, word_spans
 
 DEPTH = 6
 SHALLOW = 2
 LEAST = 4
 DIVERGENCE = 2.0
-CHUNK = 24_000_000
+CHUNK = 16_000_000
 PARTS = 512
 WORD_BITS = 8  # words are dealt by the highest bits of their hash
 SALTED = 256
@@ -76,15 +76,15 @@ def byte_streams(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> tuple[
     edges = np.concatenate([[0], np.cumsum(depth + size + np.maximum(count - 1, 0) + 1)])
     out = np.zeros(edges[-1], np.uint8)
     if len(starts):
-        length = ends - starts
-        first = np.concatenate([[True], row[1:] != row[:-1]])
-        # where each word begins: after its row's zeros, the words before it in the row, and a space for each
-        total = np.cumsum(length + 1) - (length + 1)
-        begins = total - np.repeat(total[first], np.diff(np.append(np.flatnonzero(first), len(row)))) + edges[row] + depth
-        source = np.repeat(starts - np.cumsum(length) + length, length) + np.arange(length.sum())
-        target = np.repeat(begins - np.cumsum(length) + length, length) + np.arange(length.sum())
-        out[target] = data[source]
-        out[begins[~first] - 1] = 0x20
+        again = np.concatenate([[False], row[1:] == row[:-1]])
+        blanks = starts[again] - 1  # the last one before each further word of a row
+        kept, data = word_bytes(data), data.copy()
+        kept[blanks], data[blanks] = True, 0x20
+        free = np.ones(len(out), bool)
+        free[edges[1:] - 1] = False
+        for k in range(depth):
+            free[edges[:-1] + k] = False
+        out[free] = data[kept]
     return out, edges
 
 
