@@ -8,13 +8,17 @@ trained on the whole sample.
 
 The classifier is trained on a bounded sample: of each value of the last category at most SAMPLE labelled documents,
 the first by a hash of doc_id. Its features are chosen by their G statistic, at most FEATURES of those that occur in
-MIN_DOCS sampled documents. Classes weigh as among all labels. A document is toxic if the last probability is above
-the least threshold of at least 0.5 whose out-of-fold precision reaches PRECISION.
+MIN_DOCS sampled documents; they are counted as a table, and only the sample's chosen features reach the driver: at
+most 2 * SAMPLE lists of FEATURES numbers. The models of a category (one a fold, and one of all) are fitted as tasks.
+Classes weigh as among all labels. A document is toxic if the last probability is at least the threshold: the least one
+from 0.5 on whose out-of-fold precision reaches PRECISION, or, if none does, the least of those of the highest precision.
 
 Defined cases: a null text has no features; words are runs of ASCII letters and digits and of bytes from 0x80, A-Z
-lower-cased; labels that are null or whose document is missing don't count; with no label of a value (or none at all)
-a category's probability is the share of its labels (0 without labels), and nothing is rejected; repeated labels
-count once each; an empty table gives an empty result; other columns aren't read, and `filtered` passes them on.
+lower-cased, and a long text's features are all different ones of it; labels that are null or whose document is missing
+don't count; with no label of a value (or none at all) a category's probability is the share of its labels (0 without
+labels), and nothing is rejected; repeated labels and repeated rows count once each, and equal texts get equal results;
+of labels with one hash the smaller doc_id comes first into the sample, of features with one statistic the smaller
+hash; an empty table gives an empty result; other columns aren't read, and `filtered` passes them on.
 """
 
 from __future__ import annotations
@@ -27,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U, chunks, lowered, mix, seeds, span_hashes
+from .shared import U, chunks, keep, lowered, mix, seeds, span_hashes
 
 SAMPLE = 4000
 FOLDS = 4
@@ -152,67 +156,87 @@ def sampled(labels: DataFrame, columns: list[str], last: str, value: int, most:
     return marked.where(is_last).orderBy(*order).limit(most).unionByName(marked.where(~is_last).orderBy(*order).limit(most))
 
 
+def chosen_features(rows: DataFrame, categories, shares: dict[str, float], n: int) -> np.ndarray:
+    """The hashed features with the largest G statistic over any category."""
+    on = [F.sum((F.col(c) == v).cast("long")).alias(f"on_{name}") for name, c, v in categories]
+    counts = rows.select(*{c for _, c, _ in categories}, F.explode("features").alias("f")).groupBy("f").agg(F.count(F.lit(1)).alias("present"), *on).where(F.col("present") >= MIN_DOCS)
+
+    def g(name: str) -> Column:
+        hit, p = F.col(f"on_{name}").cast("double"), shares[name]
+        part = lambda x, q: F.when((x > 0) & F.lit(q > 0), x * F.log(x / (F.col("present") * max(q, 1e-300)))).otherwise(F.lit(0.0))
+        return part(hit, p) + part(F.col("present") - hit, 1 - p)
+
+    best = F.round(F.greatest(F.lit(0.0), *(g(name) for name, _, _ in categories)), 9)
+    return counts.select("f", best.alias("g")).where("g > 3").orderBy(F.desc("g"), "f").limit(FEATURES).toArrow()["f"].to_numpy().astype(np.int64)
+
+
+def fitted(docs: DataFrame, cols: np.ndarray, rows: np.ndarray, size: int, earlier: np.ndarray, y: np.ndarray, weight: np.ndarray, fold: np.ndarray) -> list[Linear]:
+    """The model without each fold, and the model of all, one task each."""
+    shared = docs.sparkSession.sparkContext.broadcast((cols, rows, size, earlier, y, weight, fold))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        cols, rows, size, earlier, y, weight, fold = shared.value
+        for b in batches:
+            for k in b[0].to_pylist():
+                inside = fold != k  # the last number is no fold's
+                renamed, use = np.cumsum(inside) - 1, inside[rows]
+                m = fit(cols[use], renamed[rows[use]], size, earlier[inside], y[inside], weight[inside])
+                yield pa.RecordBatch.from_arrays([pa.array([k], pa.int64()), pa.array([m.bias]), pa.array([m.weights.tobytes()], pa.binary()), pa.array([m.before.tobytes()], pa.binary())], ["k", "bias", "weights", "before"])
+
+    out = docs.sparkSession.range(0, FOLDS + 1, 1, FOLDS + 1).mapInArrow(run, "k long, bias double, weights binary, before binary").collect()
+    shared.unpersist()
+    return [Linear(r["bias"], np.frombuffer(bytes(r["weights"])), np.frombuffer(bytes(r["before"]))) for r in sorted(out, key=lambda r: r["k"])]
+
+
+def best_threshold(p: np.ndarray, y: np.ndarray, weight: np.ndarray) -> float:
+    """The least of the thresholds that reach PRECISION, else the least of the highest precision; 2 without any."""
+    best, found = -1.0, 2.0
+    for c in np.arange(0.5, 0.99, 0.02):
+        over = p >= c
+        if over.any():
+            precision = float((weight * y)[over].sum() / weight[over].sum())
+            if precision >= PRECISION:
+                return float(c)
+            if precision > best:
+                best, found = precision, float(c)
+    return found
+
+
 def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, most: int = SAMPLE) -> Chain:
     columns = sorted({c for _, c, _ in categories})
     _, last, value = categories[-1]
     names = tuple(name for name, _, _ in categories)
     sample = sampled(labels, columns, last, value, most)
     # The sample has at most 2 * SAMPLE rows of three numbers: its size is a parameter, not the data's.
-    rows = feature_lists(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id"), *columns).toArrow()
-    n = rows.num_rows
+    rows = keep(feature_lists(docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text").join(F.broadcast(sample), "doc_id"), *columns))
+    marked = labels.where("doc_id is not null").dropna(subset=columns)
+    of = rows.agg(F.count(F.lit(1)).alias("n"), *(F.avg((F.col(c) == v).cast("double")).alias(f"p_{name}") for name, c, v in categories)).first()
     places = np.full(1 << BITS, -1, np.int32)
-    if not n:
+    if not of["n"]:
         return Chain(names, places, [Linear(-40.0, np.zeros(0), np.zeros(k)) for k in range(len(categories))], 2.0)
-    order = np.lexsort((np.array([len(x) for x in rows["features"].to_pylist()]), rows["doc_id"].to_numpy()))
-    rows = rows.take(pa.array(order))  # tasks end in any order
-    ids = rows["doc_id"].to_numpy()
-    lists = rows["features"].combine_chunks()
+    chosen = chosen_features(rows, categories, {name: of[f"p_{name}"] for name in names}, of["n"])
+    places[chosen] = np.arange(len(chosen))
+    one = docs.sparkSession.createDataFrame([(chosen.tolist(),)], "chosen array<int>")
+    table = rows.crossJoin(F.broadcast(one)).select("doc_id", *columns, F.array_intersect("features", "chosen").alias("features"), F.size("features").alias("all")).toArrow()
+    table = table.take(pa.array(np.lexsort((table["all"].to_numpy(), table["doc_id"].to_numpy()))))  # tasks end in any order
+    n, ids, lists = table.num_rows, table["doc_id"].to_numpy(), table["features"].combine_chunks()
     f = lists.values.to_numpy()[lists.offsets[0].as_py() : lists.offsets[-1].as_py()].astype(np.int64)
-    r = np.repeat(np.arange(n), np.diff(lists.offsets.to_numpy()))
-    targets = {name: (rows[c].to_numpy() == v).astype(float) for name, c, v in categories}
+    cols, rws = places[f].astype(np.int64), np.repeat(np.arange(n), np.diff(lists.offsets.to_numpy()))
+    targets = {name: (table[c].to_numpy() == v).astype(float) for name, c, v in categories}
     y = targets[names[-1]]
-    marked = labels.where("doc_id is not null").dropna(subset=columns)
     all_last = marked.agg(F.avg((F.col(last) == value).cast("double"))).first()[0] or 0.0
     weight = np.where(y > 0, all_last / max(y.mean(), 1e-9), (1 - all_last) / max(1 - y.mean(), 1e-9))
-    # G statistic of each feature and category; the best of all categories together
-    present = np.bincount(f, minlength=1 << BITS)
-    best = np.zeros(1 << BITS)
-    for t in targets.values():
-        on = np.bincount(f, weights=t[r], minlength=1 << BITS)
-        p = t.mean()
-        a, b = on, present - on
-        with np.errstate(divide="ignore", invalid="ignore"):
-            g = np.where(a > 0, a * np.log(a / (present * p)), 0) + np.where(b > 0, b * np.log(b / (present * (1 - p))), 0)
-        best = np.maximum(best, np.nan_to_num(g))
-    best[present < MIN_DOCS] = 0
-    chosen = np.argsort(-best, kind="stable")[:FEATURES]
-    chosen = chosen[best[chosen] > 3.0]
-    places[chosen] = np.arange(len(chosen))
-    there = places[f] >= 0
-    cols, rws = places[f][there].astype(np.int64), r[there]
     with np.errstate(over="ignore"):
         fold = (mix(ids.view(U)) % U(FOLDS)).astype(np.int64)
-    earlier, models = np.zeros((n, 0)), []
-    held = np.zeros(n)
+    earlier, models, held = np.zeros((n, 0)), [], np.zeros(n)
     for name in names:
-        t, held = targets[name], np.zeros(n)
-        for k in range(FOLDS):
-            inside = fold != k
-            renamed = np.cumsum(inside) - 1
-            use = inside[rws]
-            part = fit(cols[use], renamed[rws[use]], len(chosen), earlier[inside], t[inside], weight[inside])
-            held[~inside] = part.odds(cols, rws, n, earlier)[~inside]
-        models.append(fit(cols, rws, len(chosen), earlier, t, weight))
+        parts = fitted(docs, cols, rws, len(chosen), earlier, targets[name], weight, fold)
+        held = np.zeros(n)
+        for k, part in enumerate(parts[:FOLDS]):
+            held[fold == k] = part.odds(cols, rws, n, earlier)[fold == k]
+        models.append(parts[FOLDS])
         earlier = np.hstack([earlier, held[:, None]])
-    p = sigmoid(held)
-    threshold = 2.0
-    for c in np.arange(0.5, 0.99, 0.02):
-        over = p >= c
-        if over.any() and (weight * y)[over].sum() >= PRECISION * weight[over].sum():
-            threshold = float(c)
-            break
-    if threshold > 1 and 0 < y.sum() < n:
-        threshold = 0.9
+    threshold = best_threshold(sigmoid(held), y, weight) if 0 < y.sum() < n else 2.0
     return Chain(names, places, models, threshold)
 
 

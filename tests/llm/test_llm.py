@@ -427,6 +427,56 @@ def test_line_dedup(docs, rows, empty):
     assert line_dedup.deduplicated(empty).count() == 0
 
 
+def brute_runs(rows):
+    """Of every position the longest run that stands twice; not those inside a longer one. And the lines with a word."""
+    seqs = {i: [(p, x) for p, x in enumerate(t.split("\n")) if WORD.search(x)] for i, t in sorted(set(rows))}
+
+    def same(a, i, b, j):
+        n = 0
+        while i + n < len(a) and j + n < len(b) and a[i + n][1] == b[j + n][1]:
+            n += 1
+        return n
+
+    out = set()
+    for d, a in seqs.items():
+        longest = [max((same(a, i, b, j) for e, b in seqs.items() for j in range(len(b)) if (e, j) != (d, i)), default=0) for i in range(len(a))]
+        out |= {(d, a[i][0], k) for i, k in enumerate(longest) if k and not (i and longest[i - 1] > k)}
+    return out, seqs
+
+
+def test_maximal_runs_equal_brute_force(spark):
+    rnd = random.Random(8)
+    pool = [f"line {c} of words" for c in "abcdefgh"]
+    rows = []
+    for i in range(25):
+        body = [rnd.choice([*pool, "", f"own line {i}"]) for _ in range(rnd.randrange(1, 9))]
+        if i % 4 == 0:
+            body += [f"long {k}" for k in range(rnd.randrange(3, 23))]
+        rows.append((i, "\n".join(body)))
+    rows.append((90, "same\n" * 20))
+    want, seqs = brute_runs(rows)
+    d = spark.createDataFrame([*rows, rows[3], (95, None)], "doc_id long, text string").repartition(3)
+    got = line_dedup.maximal_runs(d).collect()
+    assert {(r.doc_id, r.line, r.lines) for r in got} == want and len(got) == len(want) and max(r.lines for r in got) > 9
+    for r in got:
+        part = lambda i, p, n=r.lines: [x for q, x in seqs[i] if q >= p][:n]
+        assert (r.doc_id, r.line) != (r.other_doc, r.other_line) and part(r.doc_id, r.line) == part(r.other_doc, r.other_line)
+    assert line_dedup.maximal_runs(d.limit(0)).count() == 0
+
+
+def test_places_split_a_line_with_many_continuations(spark):
+    """Places by three steps equal one sort."""
+    rnd = random.Random(4)
+    kinds = {(rnd.randrange(2), 0, rnd.choice([None, rnd.randrange(-(2**63), 2**63), 5 << 56]), rnd.choice([None, rnd.randrange(1 << 20)])): rnd.randrange(1, 9) for _ in range(500)}
+    got = line_dedup._places(spark.createDataFrame([(*k, n) for k, n in kinds.items()], "h long, name long, nh long, nn long, n long")).collect()
+    order = lambda k: (k[0], k[2] is not None, k[2] or 0, k[3] is not None, k[3] or 0)
+    up, want = Counter(), {}
+    for k in sorted(kinds, key=order):
+        want[k] = up[k[0]]
+        up[k[0]] += kinds[k]
+    assert {(r.h, r.name, r.nh, r.nn): r.up for r in got} == want
+
+
 # ---- toxicity ------------------------------------------------------------------------------------------------------------------------
 
 
@@ -457,6 +507,94 @@ def test_toxicity(spark, docs, labels, empty):
     toxicity.train(docs, labels)
 
 
+def brute_features(t):
+    """Hashed words and word beginnings of a text, word by word."""
+    out = set()
+    for w in re.findall(rb"[0-9a-z\x80-\xff]+", (t or "").translate(LOW).encode()):
+        with np.errstate(over="ignore"):
+            one = lambda x: np.uint64(near_dup.span_hashes(np.frombuffer(x, np.uint8), np.array([0]), np.array([len(x)]))[0])
+            out |= {int(one(w) >> np.uint64(44)), int(near_dup.mix(np.array([one(w[:6]) ^ toxicity._SEED]))[0] >> np.uint64(44))}
+    return out
+
+
+def test_chain_equals_brute_force(spark, docs, rows, empty):
+    """Features, their choice, the folds, the chain of odds and the threshold against plain loops."""
+    rnd = random.Random(12)
+    texts = [" ".join([f"w{rnd.randrange(30)}" for _ in range(12)] + (["vile é"] if i % 5 == 0 and rnd.random() < 0.8 else []) + (["poor"] if i % 3 == 0 else [])) for i in range(150)]
+    marks = [(i, int(i % 3 > 0), int(i % 5 == 0)) for i in range(150)]
+    d = spark.createDataFrame(list(enumerate(texts)), "doc_id long, text string").repartition(4)
+    chain = toxicity.train(d, spark.createDataFrame(marks, "doc_id long, quality int, toxic int"))
+    sets = [brute_features(t) for t in texts]
+    y = {"low_quality": [float(q == 0) for _, q, _ in marks], "toxic": [float(x == 1) for *_, x in marks]}
+    present, best = Counter(f for s in sets for f in s), {}
+    for f, k in present.items():
+        for v in y.values():
+            p, a = sum(v) / 150, sum(v[i] for i in range(150) if f in sets[i])
+            g = (a * math.log(a / (k * p)) if a else 0) + ((k - a) * math.log((k - a) / (k * (1 - p))) if k > a else 0)
+            best[f] = max(best.get(f, 0), round(g, 9))
+    chosen = sorted((f for f, k in present.items() if k >= toxicity.MIN_DOCS and best[f] > 3), key=lambda f: (-best[f], f))
+    assert [int(f) for f in np.argsort(np.where(chain.places < 0, 1 << 30, chain.places))[: len(chosen)]] == chosen and (chain.places >= 0).sum() == len(chosen)
+    # out-of-fold odds of the first category are the second's feature: fit again by loops over documents
+    fold = (near_dup.mix(np.arange(150).astype(np.uint64)) % np.uint64(toxicity.FOLDS)).astype(int)
+    at = {f: k for k, f in enumerate(chosen)}
+
+    def model(inside, target, earlier):
+        cols = [at[f] for n, i in enumerate(inside) for f in sets[i] if f in at]
+        rws = [n for n, i in enumerate(inside) for f in sets[i] if f in at]
+        return toxicity.fit(np.array(cols), np.array(rws), len(chosen), np.array([earlier[i] for i in inside]).reshape(len(inside), -1), np.array([target[i] for i in inside]), np.ones(len(inside)))
+
+    def odds(m, i, before):
+        return m.bias + sum(m.weights[at[f]] for f in sets[i] if f in at) + sum(a * b for a, b in zip(before, m.before, strict=True))
+
+    none = [()] * 150
+    held = [odds(model([j for j in range(150) if fold[j] != fold[i]], y["low_quality"], none), i, ()) for i in [int(np.flatnonzero(fold == k)[0]) for k in range(toxicity.FOLDS)]]
+    parts = [model([j for j in range(150) if fold[j] != k], y["low_quality"], none) for k in range(toxicity.FOLDS)]
+    earlier = [(odds(parts[fold[i]], i, ()),) for i in range(150)]
+    assert held == pytest.approx([earlier[int(np.flatnonzero(fold == k)[0])][0] for k in range(toxicity.FOLDS)])
+    first, second = model(range(150), y["low_quality"], none), model(range(150), y["toxic"], earlier)
+    got = {r.doc_id: r for r in toxicity.scored(d, chain).collect()}
+    sigmoid = lambda x: 1 / (1 + math.exp(-x))
+    for i in range(150):
+        o = odds(first, i, ())
+        assert got[i].p_low_quality == pytest.approx(sigmoid(o), abs=1e-6) and got[i].p_toxic == pytest.approx(sigmoid(odds(second, i, (o,))), abs=1e-6)
+        assert got[i].rejected == (got[i].p_toxic >= chain.threshold)
+
+
+def test_fit_reaches_the_optimum():
+    """The loss is within a thousandth of what Newton steps on the dense problem reach."""
+    rnd = np.random.default_rng(3)
+    x = (rnd.random((300, 8)) < 0.3).astype(float)
+    y = (rnd.random(300) < 1 / (1 + np.exp(1 - x @ np.arange(-3, 5)))).astype(float)
+    m = toxicity.fit(*np.nonzero(x)[::-1], 8, np.zeros((300, 0)), y, np.ones(300))
+    ridge, dense, w = toxicity.RIDGE * 10 / 300, np.hstack([x, np.ones((300, 1))]), np.zeros(9)
+    scale = np.append(np.full(8, ridge), 0)
+    loss = lambda v: float(np.mean(np.logaddexp(0, dense @ v) - y * (dense @ v)) + (scale * v * v).sum() / 2)
+    for _ in range(50):
+        p = 1 / (1 + np.exp(-dense @ w))
+        w -= np.linalg.solve((dense * (p * (1 - p))[:, None]).T @ dense / 300 + np.diag(scale), dense.T @ (p - y) / 300 + scale * w)
+    assert loss(w) <= loss(np.append(m.weights, m.bias)) <= loss(w) * 1.001
+
+
+def test_threshold_of_a_precision_or_the_best():
+    p, y = np.array([0.9, 0.8, 0.61, 0.55]), np.array([1.0, 1.0, 0.0, 1.0])
+    assert toxicity.best_threshold(p, y, np.ones(4)) == pytest.approx(0.62)
+    assert toxicity.best_threshold(p, np.array([0.0, 1.0, 1.0, 0.0]), np.ones(4)) == pytest.approx(0.56)  # 2 of 3 is the best
+    assert toxicity.best_threshold(p * 0.1, y, np.ones(4)) == 2.0
+
+
+def test_toxicity_defined_cases(spark, docs, rows, labels, empty):
+    """Null and empty texts, ties, repeated rows and labels, clashing columns, empty tables."""
+    odd = [(1, None, 1, 2), (2, "", 3, 4), (3, "vile words", 5, 6), (3, "vile words", 5, 6), (4, "good words", 7, 8), (None, "vile words", 1, 1)]
+    d = spark.createDataFrame(odd, "doc_id long, text string, quality int, p_toxic int")
+    marks = spark.createDataFrame([(i, 1, i % 2) for i in range(1, 5)] * 3 + [(None, 1, 1)], "doc_id long, quality int, toxic int")
+    chain = toxicity.train(d, marks)
+    got = toxicity.scored(d, chain).collect()
+    assert len(got) == 6 and len({r.p_toxic for r in got if r.doc_id in (3, None)}) == 1 and len({r.p_toxic for r in got if r.doc_id in (1, 2)}) == 1
+    assert toxicity.filtered(d, chain).columns == d.columns
+    assert toxicity.scored(empty, toxicity.train(empty, labels)).count() == 0 and toxicity.filtered(empty, chain).count() == 0
+    assert not any(r.rejected for r in toxicity.scored(d, toxicity.train(d, marks.where("toxic = 0"))).collect())
+
+
 # ---- personal data ----------------------------------------------------------------------------------------------------------------------
 
 
