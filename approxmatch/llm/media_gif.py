@@ -9,8 +9,9 @@ descriptors with or without interlacing, LZW code streams, other extensions skip
 disposal rules 0-3 and transparency and yields the canvas of each timed frame.
 
 Defined cases: a null text is empty; any payload gets zero bytes up to a positive multiple of 64, so that an empty
-text is one row of zeros; equal texts give equal bytes; long texts give more frames; a broken stream raises
-ValueError naming the reason; an empty table gives an empty result; further columns are not read.
+text is one row of zeros; equal texts and repeated rows give equal bytes; long texts give more frames; `decode` raises
+ValueError naming the reason for any broken stream, and `media_frames` gives such a GIF one row with that reason; null
+media give no row; an empty table gives an empty result; further columns are not read, whatever their names.
 """
 
 from __future__ import annotations
@@ -241,6 +242,13 @@ def _deinterlaced(samples: bytes, width: int, height: int) -> bytes:
 
 
 def decode(data: bytes) -> Image:
+    try:
+        return _decode(data)
+    except (IndexError, struct.error) as e:
+        raise ValueError("the stream is cut off") from e
+
+
+def _decode(data: bytes) -> Image:
     if data[:6] not in (b"GIF87a", b"GIF89a"):
         raise ValueError("no GIF header")
     width, height, flags, background, _ = struct.unpack_from("<HHBBB", data, 6)
@@ -266,6 +274,8 @@ def decode(data: bytes) -> Image:
             if own is None:
                 raise ValueError("a frame has no palette")
             stream, end = _blocks(data, at + 1)
+            if not 1 <= data[at] <= 8:
+                raise ValueError(f"{data[at]} bits a code can't be")
             samples, at = lzw_decode(stream, data[at], w * h), end
             if bits & 0x40:
                 samples = _deinterlaced(samples, w, h)
@@ -313,16 +323,23 @@ def frame_rows(data: bytes) -> list[dict]:
 
 
 def media_frames(media: DataFrame, id_column: str = "doc_id", gif_column: str = "media") -> DataFrame:
-    """A GIF column as timed frames: id, frame, start_cs, delay_cs, histogram (8 levels of red, green, blue).
-    Null media give no row."""
+    """A GIF column as timed frames: id, frame, start_cs, delay_cs, histogram (8 levels of red, green, blue), error. A
+    broken GIF is one row with the error alone."""
+    schema = pa.schema([(id_column, pa.int64()), ("frame", pa.int32()), ("start_cs", pa.int64()), ("delay_cs", pa.int64()), ("histogram", pa.list_(pa.int64())), ("error", pa.string())])
+
+    def rows_of(data: bytes) -> list[dict]:
+        try:
+            return [x | {"error": None} for x in frame_rows(data)]
+        except ValueError as e:
+            return [{"frame": None, "start_cs": None, "delay_cs": None, "histogram": None, "error": str(e)}]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            rows = [{id_column: i} | x for i, data in zip(b[0].to_pylist(), b[1].to_pylist(), strict=True) if data is not None for x in frame_rows(data)]
+            rows = [{id_column: i} | x for i, data in zip(b[0].to_pylist(), b[1].to_pylist(), strict=True) if data is not None for x in rows_of(data)]
             if rows:
-                yield pa.RecordBatch.from_pylist(rows, pa.schema([(id_column, pa.int64()), ("frame", pa.int32()), ("start_cs", pa.int64()), ("delay_cs", pa.int64()), ("histogram", pa.list_(pa.int64()))]))
+                yield pa.RecordBatch.from_pylist(rows, schema)
 
-    return media.select(F.col(id_column).cast("long"), gif_column).mapInArrow(run, f"{id_column} long, frame int, start_cs long, delay_cs long, histogram array<long>")
+    return media.select(F.col(id_column).cast("long"), gif_column).mapInArrow(run, f"{id_column} long, frame int, start_cs long, delay_cs long, histogram array<long>, error string")
 
 
 def store_texts(docs: DataFrame) -> DataFrame:
@@ -339,9 +356,11 @@ def store_texts(docs: DataFrame) -> DataFrame:
 
 
 def read_back(stored: DataFrame) -> DataFrame:
-    """The digest of stored media: samples decoded, frames composed, histograms summed over time."""
-    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_frames int, duration_cs long"
+    """The digest of stored media: samples decoded, frames composed and stored with their times and histograms (8 levels
+    of red, green, blue), the feature being their sum over time."""
+    schema = "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, n_frames int, duration_cs long, frames array<struct<start_cs:long,delay_cs:long,histogram:array<long>>>"
     names = [x.split()[0] for x in schema.split(", ")]
+    frame = pa.struct([("start_cs", pa.int64()), ("delay_cs", pa.int64()), ("histogram", pa.list_(pa.int64()))])
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
@@ -349,13 +368,15 @@ def read_back(stored: DataFrame) -> DataFrame:
             for n, data in zip(b[1].to_pylist(), b[2].to_pylist(), strict=True):
                 image = decode(data)
                 payload = b"".join(f.samples for f in image.frames)
-                total, duration = np.zeros((3, 8), np.int64), 0
+                total, duration, frames = np.zeros((3, 8), np.int64), 0, []
                 for delay, canvas in composite(image):
-                    total += colour_histogram(canvas)
+                    seen = colour_histogram(canvas)
+                    frames.append({"start_cs": duration, "delay_cs": delay, "histogram": seen.ravel()})
+                    total += seen
                     duration += delay
                 feature = f"frames={len(image.frames)};cs={duration};hist=" + "/".join(",".join(map(str, row)) for row in total.tolist())
-                rows.append((n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(data), hashlib.sha256(data).hexdigest(), feature, len(image.frames), duration))
-            kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int64()]
+                rows.append((n, len(payload), hashlib.sha256(payload).hexdigest(), zlib.crc32(payload[-WIDTH:]), len(data), hashlib.sha256(data).hexdigest(), feature, len(image.frames), duration, frames))
+            kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32(), pa.int64(), pa.list_(frame)]
             columns = list(zip(*rows, strict=True)) if rows else [[]] * len(kinds)
             yield pa.RecordBatch.from_arrays([b[0], *(pa.array(c, k) for c, k in zip(columns, kinds, strict=True))], names)
 
