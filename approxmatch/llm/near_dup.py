@@ -19,9 +19,10 @@ group's members are never all paired.
 Links. A pair counts if 100 * intersection >= 75 * union on the full sets. Components come from alternating
 large-star and small-star rounds on tables, with nothing collected.
 
-Defined cases: rows that share a doc_id are one document, and their classes are linked; a row without doc_id keeps
-its size, has no component and is kept; texts of any length; an empty table gives an empty result; other columns
-aren't read.
+Defined cases: a null or empty text has an empty set and is kept; rows that share a doc_id are one document, and their
+classes are linked; a row without doc_id keeps its size, has no component and is kept; of equal texts the smallest
+doc_id stays; texts of any length; an empty table gives an empty result; other columns aren't read, and `deduplicated`
+passes them on, whatever their names.
 """
 
 from __future__ import annotations
@@ -165,15 +166,15 @@ def full_sets(docs: DataFrame) -> DataFrame:
     return docs.select("doc_id", "text").mapInArrow(run, "doc_id long, hashes array<long>")
 
 
-def agreement(pairs: DataFrame) -> DataFrame:
-    """Pairs (a, b, marks_a, marks_b) of which at least half of the coordinates agree: a, b."""
+def agreement(pairs: DataFrame, least: int = LEAST_AGREEMENT) -> DataFrame:
+    """Pairs (a, b, marks_a, marks_b) of which at least `least` coordinates agree: a, b."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             n = batch.num_rows
             if n:
                 x, y = (np.frombuffer(b"".join(batch[k].to_pylist()), np.uint8).reshape(n, BINS) for k in (2, 3))
-                good = pa.array((x == y).sum(1) >= LEAST_AGREEMENT)
+                good = pa.array((x == y).sum(1) >= least)
                 yield pa.RecordBatch.from_arrays([batch[0].filter(good), batch[1].filter(good)], ["a", "b"])
 
     return pairs.select("a", "b", "marks_a", "marks_b").mapInArrow(run, "a long, b long")
@@ -220,7 +221,7 @@ def components(links: DataFrame) -> DataFrame:
     return edges.select(F.col("u").alias("node"), F.col("v").alias("component")).unionByName(roots)
 
 
-def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) -> DataFrame:
+def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT, least_agreement: int = LEAST_AGREEMENT) -> DataFrame:
     """All links that are needed between classes (node, size, bands, marks): (a, b), a < b, each verified."""
     rows = classes.select("node", F.explode("bands").alias("band"))
     met = rows.groupBy("band").agg(F.min("node").alias("first"), F.max("node").alias("last"), F.count(F.lit(1)).alias("n")).where("first < last").select("band", "n")
@@ -249,7 +250,7 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) ->
         new = pairs.distinct().join(tried, ["a", "b"], "left_anti")
         for side in ("a", "b"):
             new = new.join(about.select(F.col("node").alias(side), F.col("size").alias(f"size_{side}"), F.col("marks").alias(f"marks_{side}")), side)
-        return keep(agreement(new.where(may_reach(F.col("size_a"), F.col("size_b"), percent))))
+        return keep(agreement(new.where(may_reach(F.col("size_a"), F.col("size_b"), percent)), least_agreement).distinct())
 
     stars = placed(placed(spokes.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct(), "a", "ca"), "b", "cb")
     candidates = compared(stars.where("ca <> cb").select("a", "b"))
@@ -261,23 +262,23 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT) ->
     parts = with_own.groupBy("band", "component").agg(F.count(F.lit(1)).alias("n"))
     mixed = parts.groupBy("band").agg(F.count(F.lit(1)).alias("parts"), F.sum("n").alias("all"), F.max_by("component", F.struct("n", F.col("component"))).alias("main")).where("parts > 1 and all > 2").select("band", "main")
     undecided = with_own.join(mixed, "band").groupBy("node").agg(F.max("component").alias("component"), F.max(F.col("component") != F.col("main")).alias("stray"))
-    undecided = keep(undecided.join(about.select("node", "size"), "node"))
+    undecided = keep(undecided)
     candidates = keep(prefix_pairs(undecided, sets, percent).join(tried, ["a", "b"], "left_anti"))
     return links.unionByName(verified(candidates, sets, percent))
 
 
 def prefix_pairs(nodes: DataFrame, sets: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """(a, b): pairs of a stray and another node (node, size, component, stray) of different components that can
-    reach the similarity, by the exact prefix and position filters of set-similarity joins.
+    """(a, b): pairs of a stray and another node (node, component, stray) of different components that can reach the
+    similarity, by the exact prefix and position filters of set-similarity joins. A node may have several sets.
 
     Elements are ordered from the rarest. Sets that reach the similarity share an element within the first
     n - ceil(t n) + 1 of the larger and the first n - ceil(2 t n / (1 + t)) + 1 of the smaller one, and behind the
     first shared one, at the places i and j, 1 + least(n - i, m - j) elements can be shared at most. A copy whose own
     changes already fill its prefix shares none, so that it is cleared without meeting the others of its group."""
     t, both = percent, 100 + percent
-    each = sets.join(nodes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("node"), F.explode("hashes").alias("h"))
+    each = sets.join(nodes.select(F.col("node").alias("doc_id")), "doc_id", "left_semi").select(F.col("doc_id").alias("node"), F.xxhash64("hashes").alias("own"), F.size("hashes").alias("size"), F.explode("hashes").alias("h"))
     often = each.groupBy("h").agg(F.count(F.lit(1)).alias("df"))
-    placed = each.join(often, "h").withColumn("place", F.row_number().over(Window.partitionBy("node").orderBy("df", "h")))
+    placed = each.join(often, "h").withColumn("place", F.row_number().over(Window.partitionBy("node", "own").orderBy("df", "h")))
     placed = placed.join(nodes, "node").where((F.col("df") > 1) & (F.col("place") <= F.col("size") - F.ceil(F.col("size") * t / 100.0 - 1e-9) + 1))
     placed = keep(placed.withColumn("short", F.col("size") - F.ceil(F.col("size") * 2 * t / float(both) - 1e-9) + 1).select("node", "h", "place", "size", "component", "stray", "short"))
     x = placed.where("stray").select("h", *(F.col(c).alias(f"x_{c}") for c in ("node", "place", "size", "component", "short")))
@@ -290,8 +291,8 @@ def prefix_pairs(nodes: DataFrame, sets: DataFrame, percent: int = PERCENT) -> D
     return met.select(F.least("x_node", "y_node").alias("a"), F.greatest("x_node", "y_node").alias("b")).distinct()
 
 
-def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
-    """doc_id, n_shingles, component_id, kept, one row per row of docs."""
+def near_duplicates(docs: DataFrame, percent: int = PERCENT, least_agreement: int = LEAST_AGREEMENT) -> DataFrame:
+    """doc_id, n_shingles, component_id, kept, one row per row of docs. least_agreement=0 verifies all candidates."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     marked = keep(signatures(docs))
     full = marked.where("n_shingles > 0 and doc_id is not null")
@@ -299,7 +300,7 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     heads = classes.select(F.col("node"), F.col("f1").alias("g1"), F.col("f2").alias("g2")).distinct()
     head = full.join(heads, (full["doc_id"] == heads["node"]) & (full["f1"] == heads["g1"]) & (full["f2"] == heads["g2"]), "left_semi")
     head = head.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "bands", "marks")
-    links = class_links(head, docs, percent)
+    links = class_links(head, docs, percent, least_agreement)
     # A doc_id that stands on rows of several classes links them.
     again = full.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id")
     again = keep(full.select("doc_id", "f1", "f2", "n_shingles").join(again, "doc_id").distinct().join(classes, ["f1", "f2", "n_shingles"]).select("doc_id", "node"))
@@ -315,5 +316,6 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
 
 def deduplicated(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs without the documents whose component has a smaller doc_id."""
-    gone = near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("__gone"), "left_anti")
+    gone = near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("gone")).distinct()
+    rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in docs.columns)).alias("row"), F.col("doc_id").cast("long").alias("own"))
+    return rows.join(gone, F.col("own") == F.col("gone"), "left_anti").select("row.*")
