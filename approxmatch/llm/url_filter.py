@@ -1,10 +1,10 @@
 """URL rules by a sort-merge range join.
 
-A host's canonical key is its labels reversed, each followed by a byte 0x01: every host below a rule's host has a
-key that begins with the rule's, so a rule is the interval [key, key + 0xFF). Host intervals nest or are disjoint.
+A host's canonical key is its labels reversed, each followed by a byte 0x01 (one that a label holds is written as 0x02
+0x02, and 0x02 as 0x02 0x03): every host below a rule's host has a key that begins with the rule's, so a rule is the interval [key, key + 0xFF). Host intervals nest or are disjoint.
 URLs sorted by key meet rules sorted by start, and one sweep keeps the stack of the rules whose interval contains
 the current key; the innermost rule on it whose path begins the URL's path wins (longer hosts first, then longer
-paths, then the rule's own text and `block` before `allow`).
+paths; of a rule with both verdicts `block`). One sweep runs over all batches of a partition.
 
 Rules are a table of rules, not of data. Up to `MOST_RULES` they travel to every task, and URLs are sorted within
 their own partition: no shuffle and no skew. Beyond that, `judge` takes the same decision by equality on each
@@ -12,20 +12,23 @@ host's ancestors, so that nothing large is broadcast.
 
 Defined cases: a null url, or one without "://", has an empty host and path and no rule; the host runs from the
 first "://" to "/", "?", "#" or the end, A-Z lower-cased; the path runs on to "?", "#" or the end and may be empty,
-in which case no rule fits (a rule's path begins with "/"); without a rule the verdict is `default` (allow);
-repeated urls and ties get equal verdicts; an empty table gives an empty result.
+in which case no rule fits (a rule's path begins with "/"); a rule's host is lower-cased in A-Z like a URL's; without a
+rule the verdict is `default` (allow); repeated urls and ties get equal verdicts, null ids stay null; a URL of any
+length is one row; an empty table gives an empty result; other columns aren't read, whatever their names.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Iterable, Iterator
 
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 MOST_RULES = 200_000
-MARK = "\x01"
+MARK, ESCAPE = "\x01", "\x02"
+_UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
+_FOLD = str.maketrans(_UPPER, _LOWER)
 
 #: Fixed: the rules of the query (verdict, host, path).
 RULES = (
@@ -40,32 +43,38 @@ RULES = (
 def host_and_path(url: Column) -> tuple[Column, Column]:
     """Both empty for a null url or one without "://"."""
     after = F.regexp_extract(F.coalesce(url, F.lit("")), r"^(?s:.*?)://((?s:.*))$", 1)
-    host = F.translate(F.regexp_extract(after, r"^([^/?#]*)", 1), "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz")
+    host = F.translate(F.regexp_extract(after, r"^([^/?#]*)", 1), _UPPER, _LOWER)
     return host, F.regexp_extract(after, r"^[^/?#]*([^?#]*)", 1)
 
 
 def canonical_key(host: Column) -> Column:
-    return F.concat(F.array_join(F.reverse(F.split(host, r"\.")), MARK), F.lit(MARK))
+    plain = F.replace(F.replace(host, F.lit(ESCAPE), F.lit(ESCAPE + "\x03")), F.lit(MARK), F.lit(ESCAPE * 2))
+    return F.concat(F.array_join(F.reverse(F.split(plain, r"\.")), MARK), F.lit(MARK))
 
 
 def key_of(host: str) -> str:
-    return MARK.join(reversed(host.split("."))) + MARK
+    return MARK.join(reversed(host.replace(ESCAPE, ESCAPE + "\x03").replace(MARK, ESCAPE * 2).split("."))) + MARK
+
+
+def folded(host: str) -> str:
+    return host.translate(_FOLD)
 
 
 def ordered_rules(rules) -> list[tuple[str, str, str, str]]:
     """(key, path, verdict, text) of different rules, by key and then from the weakest to the strongest."""
-    seen = {(key_of(h.lower()), p, v, h.lower() + p) for v, h, p in rules}
+    seen = {(key_of(folded(h)), p, v, folded(h) + p) for v, h, p in rules}
     best: dict[tuple[str, str], tuple[str, str, str, str]] = {}
     for r in sorted(seen, key=lambda r: (r[2] != "block", r[3])):
         best.setdefault(r[:2], r)
     return sorted(best.values(), key=lambda r: (r[0].encode(), len(r[1]), r[1].encode()))
 
 
-def sweep(keys: list[str], paths: list[str], rules: list[tuple[str, str, str, str]]) -> Iterator[tuple[str, str] | None]:
-    """(text, verdict) of the winning rule of each url, which come in the order of their keys; `rules` as ordered."""
+def sweep(urls: Iterable[tuple[str, str]], rules: list[tuple[str, str, str, str]]) -> Iterator[tuple[str, str] | None]:
+    """(text, verdict) of the winning rule of each url (key, path), which come in the order of their keys; `rules` as
+    ordered."""
     stack: list[tuple[str, list[tuple[str, str, str, str]]]] = []
     at = 0
-    for key, path in zip(keys, paths, strict=True):
+    for key, path in urls:
         raw = key.encode()
         while stack and not key.startswith(stack[-1][0]):
             stack.pop()
@@ -84,14 +93,29 @@ def sweep(keys: list[str], paths: list[str], rules: list[tuple[str, str, str, st
 
 def judge_small(pages: DataFrame, rules, default: str = "allow", id_column: str = "page_id", url_column: str = "url") -> DataFrame:
     table = ordered_rules(rules)
+    names = [id_column, "host", "path", "rule", "verdict"]
     host, path = host_and_path(F.col(url_column))
     parts = pages.select(F.col(id_column).cast("long").alias(id_column), host.alias("host"), path.alias("path"))
     parts = parts.withColumn("key", F.when(F.col("host") == "", F.lit("")).otherwise(canonical_key(F.col("host")))).sortWithinPartitions("key", "path")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            found = list(sweep(b[3].to_pylist(), b[2].to_pylist(), table))
-            yield pa.RecordBatch.from_arrays([b[0], b[1], b[2], pa.array([x and x[0] for x in found], pa.string()), pa.array([x[1] if x else default for x in found], pa.string())], [id_column, "host", "path", "rule", "verdict"])
+        read, keys = [], []
+
+        def each() -> Iterator[tuple[str, str]]:
+            for b in batches:
+                read.append(b)
+                keys.append(b.num_rows)
+                yield from zip(b[3].to_pylist(), b[2].to_pylist(), strict=True)
+
+        # One sweep over the partition; a batch is given out as soon as its last url has its rule.
+        found = []
+        for winner in sweep(each(), table):
+            found.append(winner)
+            while keys and len(found) == keys[0]:
+                b = read.pop(0)
+                keys.pop(0)
+                yield pa.RecordBatch.from_arrays([b[0], b[1], b[2], pa.array([x and x[0] for x in found], pa.string()), pa.array([x[1] if x else default for x in found], pa.string())], names)
+                found = []
 
     return parts.mapInArrow(run, f"{id_column} long, host string, path string, rule string, verdict string")
 
@@ -101,7 +125,7 @@ def judge_large(pages: DataFrame, rules: DataFrame, default: str = "allow", id_c
     matched once, by equality of the rule's host with one of the host's ancestors."""
     host, path = host_and_path(F.col(url_column))
     parts = pages.select(F.col(id_column).cast("long").alias(id_column), host.alias("host"), path.alias("path"))
-    r = rules.select("verdict", F.lower("host").alias("rule_host"), F.col("path").alias("rule_path")).distinct()
+    r = rules.select("verdict", F.translate("host", _UPPER, _LOWER).alias("rule_host"), F.col("path").alias("rule_path")).distinct()
     labels = F.split("host", r"\.")
     ancestors = F.transform(F.sequence(F.lit(1), F.size(labels)), lambda i: F.array_join(F.slice(labels, i, F.size(labels)), "."))
     each = parts.select("host", "path").distinct().where("host <> ''").withColumn("rule_host", F.explode(ancestors))
