@@ -11,7 +11,9 @@ tree per row of a matrix: the k-th merge of all of them is one pass of array ope
 once per chunk. A key packs rank and position, so that the minimum also is the leftmost.
 
 Defined cases: a null text is empty and has no ids; a piece that is itself in the vocabulary is one id; pieces of
-any length take the same path (long ones alone); ids decode to exactly the bytes of the text.
+any length take the same path (long ones alone); ids decode to exactly the bytes of the text; of pairs with one rank the
+leftmost merges first; repeated rows get equal ids; an empty table gives an empty result; other columns aren't read,
+whatever their names.
 """
 
 from __future__ import annotations

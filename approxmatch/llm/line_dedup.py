@@ -193,9 +193,10 @@ def maximal_runs(docs: DataFrame) -> DataFrame:
     return starts.select(named(F.col("d")).alias("doc_id"), F.col("p").alias("line"), F.col("k").alias("lines"), named(F.col("other.d")).alias("other_doc"), F.col("other.p").alias("other_line"))
 
 
-def deduplicated(docs: DataFrame, least_words: int = LEAST_WORDS, with_counts: bool = False) -> DataFrame:
+def deduplicated(docs: DataFrame, least_words: int = LEAST_WORDS, with_counts: bool = False, drop_emptied: bool = False) -> DataFrame:
     """docs without the later copies: the columns of docs, with text (and n_chars, if it is there) anew.
-    with_counts adds lines_deleted and words_deleted."""
+    with_counts adds lines_deleted and words_deleted; drop_emptied drops the documents that lose every line with a
+    word (not those that had none)."""
     names = docs.columns
     gone = later_copies(docs, least_words).distinct().groupBy("d", "t").agg(F.array_sort(F.collect_list("p")).alias("gone"), F.sum("w").alias("words_deleted"))
     d, t = _key(docs)
@@ -209,6 +210,8 @@ def deduplicated(docs: DataFrame, least_words: int = LEAST_WORDS, with_counts: b
 
     text = F.when(F.col("gone").isNull(), F.col("row.text")).otherwise(let(F.split("row.text", "\n", -1), without))
     rows = rows.withColumn("new_text", text)
+    if drop_emptied:
+        rows = rows.where(F.col("gone").isNull() | F.col("new_text").rlike(WORD))
     columns = [F.col("new_text").alias(n) if n == "text" else F.coalesce(F.length("new_text").cast("long"), F.col("row.n_chars")).alias(n) if n == "n_chars" else F.col(f"row.`{n}`").alias(n) for n in names]
     counts = [F.coalesce(F.size("gone"), F.lit(0)).cast("long").alias("lines_deleted"), F.coalesce("words_deleted", F.lit(0)).cast("long").alias("words_deleted")] if with_counts else []
     return rows.select(*columns, *counts)

@@ -19,8 +19,10 @@ Kinds are counted with the terms, within tasks. Pairs are made only of values an
 the test needs df(e) * -log p(e) >= L, its bound, and df(t) >= L / log N; the share needs
 df(t) <= df(e) ** DISCLOSE * N ** (1 - DISCLOSE), as n(t, e) <= df(e). None that passes is lost.
 
-Defined cases: a null text is empty and has no spans; repeated rows get equal results; offsets are code points, end
-exclusive; texts of any length; an empty table gives an empty result; other columns aren't read.
+Defined cases: a null text is empty and has no spans; repeated rows get equal results and count once; offsets are code
+points, end exclusive; texts of any length; ties in a term's share don't matter, the largest counts; without personal
+data, or with it in every text, nothing discloses; an empty table gives an empty result; other columns aren't read,
+whatever their names.
 """
 
 from __future__ import annotations

@@ -18,7 +18,9 @@ the document's stratum (its language). Cutoffs come from labelled documents that
 
 Defined cases: a null text has no words and fails the base rules; a null or unseen stratum has no cutoffs beyond the
 labels it has; labels without documents and null labels don't count; repeated labels count as often as they
-stand; an empty table or no labels give only the base verdict; other columns aren't read.
+stand, and so do rows that repeat a labelled document, each of which is judged alike; of cutoffs with equal gain the
+loosest is used; a text of any length is judged whole; an empty table or no labels give only the base verdict; other
+columns aren't read, whatever their names.
 """
 
 from __future__ import annotations
