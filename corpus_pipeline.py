@@ -1,5 +1,14 @@
 """A corpus from raw documents to token ids: five stages, each an operator of approxmatch.llm over all rows that its
-predecessor kept."""
+predecessor kept.
+
+Line dedup comes before near-dedup: an exact copy loses all its lines there and goes; a near copy loses the lines that
+it shares, and near-dedup compares what is left of it.
+
+Defined cases: a null or empty text isn't toxic, has no lines and no near copy, and isn't mixed, having no words; rows
+that repeat a document keep the same lines, and near-dedup keeps them together (its groups are of different doc_ids);
+ties are decided by doc_id, and where these agree by the text; a null doc_id is scored, deduplicated by lines, kept by
+near-dedup and mixed; a document may stand several times in the result, once per copy that the mix takes; empty tables
+give an empty result; documents may have further columns, whatever their names, up to the last stage."""
 
 from __future__ import annotations
 
@@ -14,7 +23,7 @@ def drop_toxic(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def drop_repeated_lines(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    return line_dedup.deduplicated(docs)
+    return line_dedup.deduplicated(docs, drop_emptied=True)
 
 
 def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
