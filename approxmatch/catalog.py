@@ -9,7 +9,7 @@ from pyspark.sql import functions as F
 
 from . import catalog_sql as q
 from .functions import minhash, strsim, text, weights
-from .operators import combo, edit, evaluate, ranking, scoring
+from .operators import combo, edit, evaluate, ranking, scoring, storage
 from .operators.index import TokenIndex, TokenSpec, sample_queries
 from .sources import tables
 
@@ -30,8 +30,17 @@ def rounded(scores: DataFrame, digits: int = 6) -> DataFrame:
     return scores.select("qid", "tid", F.round("score", digits).alias("score"))
 
 
-def part_index(spark: SparkSession, sf: str, kind: str = "qgram", size: int = 2, **options) -> TokenIndex:
-    return TokenIndex.build(tables.part_desc(spark, sf), TokenSpec(kind, size), **options)
+_indexes: dict[tuple, TokenIndex] = {}
+
+
+def part_index(spark: SparkSession, sf: str, kind: str = "qgram", size: int = 2, prune_rate: float = 0.0) -> TokenIndex:
+    """The stored index of the part strings: preprocessing is done once for a program's queries over one input."""
+    key = (spark.sparkContext.applicationId, storage.shared_dir(spark), sf, kind, size, prune_rate)
+    index = _indexes.get(key)
+    if index is None or not all(storage.exists(spark, f) for x in (index.rows, index.stats) for f in x.inputFiles()):
+        index = part_index(spark, sf, kind, size).pruned(prune_rate) if prune_rate else TokenIndex.build(tables.part_desc(spark, sf), TokenSpec(kind, size))
+        _indexes[key] = index
+    return index
 
 
 def flagship(spark: SparkSession, sf: str) -> DataFrame:

@@ -29,31 +29,34 @@ def normalize(col: Column, case: str = "none", strip_punct: bool = False) -> Col
     return F.trim(F.regexp_replace(out, r"\s+", " "))
 
 
+_NONE = "array<string>"
+
+
 def _slide(padded: Column, q: int) -> Column:
-    n = F.length(padded) - (q - 1)
-    grams = let(padded, lambda p: F.transform(F.sequence(F.lit(1), F.length(p) - (q - 1)), lambda i: F.substring(p, i, F.lit(q))))
-    return F.when(n >= 1, grams).otherwise(F.array().cast("array<string>"))
+    def grams(p: Column) -> Column:
+        n = F.length(p) - (q - 1)
+        return F.when(n >= 1, F.transform(F.sequence(F.lit(1), n), lambda i: F.substring(p, i, F.lit(q)))).otherwise(F.array().cast(_NONE))
+
+    return let(padded, grams)
 
 
 def qgrams(col: Column, q: int = 2, pad: str = PAD) -> Column:
     """Grams of the string with q - 1 pads in place of each whitespace run and at both ends."""
     if q < 1:
         raise ValueError("q must be positive")
-    s = F.coalesce(normalize(col), F.lit(""))
     pads = pad * (q - 1)
-    padded = F.concat(F.lit(pads), F.replace(s, F.lit(" "), F.lit(pads)), F.lit(pads))
-    return F.when(s == "", F.array().cast("array<string>")).otherwise(_slide(padded, q))
+    padded = lambda s: F.concat(F.lit(pads), F.replace(s, F.lit(" "), F.lit(pads)), F.lit(pads))
+    return let(F.coalesce(normalize(col), F.lit("")), lambda s: F.when(s == "", F.array().cast(_NONE)).otherwise(_slide(padded(s), q)))
 
 
 def edit_grams(col: Column, q: int = 2, pad: str = PAD) -> Column:
     """Grams of the string as it stands with q - 1 pads at both ends: length + q - 1 of them, for the edit filter."""
     pads = pad * (q - 1)
-    return F.when(F.coalesce(F.length(col), F.lit(0)) == 0, F.array().cast("array<string>")).otherwise(_slide(F.concat(F.lit(pads), col, F.lit(pads)), q))
+    return F.when(F.coalesce(F.length(col), F.lit(0)) == 0, F.array().cast(_NONE)).otherwise(_slide(F.concat(F.lit(pads), col, F.lit(pads)), q))
 
 
 def words(col: Column) -> Column:
-    s = F.coalesce(normalize(col), F.lit(""))
-    return F.when(s == "", F.array().cast("array<string>")).otherwise(F.split(s, " "))
+    return let(F.coalesce(normalize(col), F.lit("")), lambda s: F.when(s == "", F.array().cast(_NONE)).otherwise(F.split(s, " ")))
 
 
 def word_grams(col: Column, q: int = 2) -> Column:
@@ -68,7 +71,8 @@ def token_bag(tokens: Column) -> Column:
         starts = F.filter(F.sequence(F.lit(1), F.size(s)), lambda i: (i == 1) | (F.get(s, i - 1) != F.get(s, i - 2)))
         return let(starts, lambda st: F.zip_with(st, F.slice(st, 2, F.size(st)), lambda a, b: F.struct(F.get(s, a - 1).alias("token"), (F.coalesce(b, F.size(s) + 1) - a).alias("tf"))))
 
-    return F.when(F.size(tokens) > 0, let(F.array_sort(tokens), runs)).otherwise(F.array().cast("array<struct<token:string,tf:int>>"))
+    none = F.array().cast("array<struct<token:string,tf:int>>")
+    return let(F.sort_array(tokens), lambda s: F.when(F.size(s) > 0, runs(s)).otherwise(none))
 
 
 def tokens(col: Column, kind: str = "qgram", q: int = 2, pad: str = PAD, case: str = "none") -> Column:

@@ -17,7 +17,10 @@ from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from ..functions import text, weights
+from .storage import spread, stored
 
+#: Tokens up to which pruning looks for a tuple's tokens among the dropped ones in the row itself.
+FEW_DROPPED = 256
 #: Rows up to which a frame is broadcast. Query frames of known size and vocabularies are checked against it.
 MOST_BROADCAST = 200_000
 
@@ -66,10 +69,19 @@ class IndexMeta:
 
 @dataclass(frozen=True)
 class Queries:
-    """qid BIGINT, s STRING, and the number of rows where it is known."""
+    """qid BIGINT, s STRING, the number of rows where it is known, and a bound of their tokens where one is."""
 
     frame: DataFrame
     rows: int | None = None
+    chars: int | None = None
+
+    @cached_property
+    def tokens(self) -> int | None:
+        """No more tokens than this: what a broadcast of tokens is checked against."""
+        if self.chars is None and (self.rows is None or self.rows > MOST_BROADCAST):
+            return None
+        n = self.chars if self.chars is not None else self.frame.agg(F.coalesce(F.sum(F.length("s")), F.lit(0))).first()[0]
+        return n + 8 * (self.rows or 0)
 
     @classmethod
     def of(cls, spark: SparkSession, queries: str | Iterable[tuple[int, str]] | DataFrame | Queries) -> Queries:
@@ -78,7 +90,7 @@ class Queries:
         if isinstance(queries, DataFrame):
             return cls(queries.select(F.col("qid").cast("long").alias("qid"), "s"))
         rows = [(1, queries)] if isinstance(queries, str) else [(int(i), s) for i, s in queries]
-        return cls(spark.createDataFrame(rows, "qid long, s string"), len(rows))
+        return cls(spark.createDataFrame(rows, "qid long, s string"), len(rows), 2 * sum(len(s or "") for _, s in rows))
 
 
 def tokenized(rel: DataFrame, spec: TokenSpec) -> DataFrame:
@@ -114,9 +126,10 @@ class TokenIndex:
     dropped: DataFrame | None = None  # tokens that pruning took out
 
     @classmethod
-    def build(cls, rel: DataFrame, spec: TokenSpec = TokenSpec(), prune_rate: float = 0.0) -> TokenIndex:  # noqa: B008
-        rows = tokenized(rel, spec)
-        stats = term_stats(rows)
+    def build(cls, rel: DataFrame, spec: TokenSpec = TokenSpec(), prune_rate: float = 0.0, path: str | None = None) -> TokenIndex:  # noqa: B008
+        """Strings are tokenised once: rows and statistics are stored, and every scorer reads them."""
+        rows = stored(tokenized(spread(rel), spec), path and f"{path}/rows")
+        stats = stored(term_stats(rows), path and f"{path}/stats")
         index = cls(spec, rows, stats, collection_stats(rows, stats))
         return index.pruned(prune_rate) if prune_rate else index
 
@@ -124,15 +137,21 @@ class TokenIndex:
         """Without the tokens whose idf is below min + rate * (max - min); every weight follows from what stays.
 
         A dropped token stands in more than N * exp(-threshold) tuples, so at most avgdl * exp(threshold) of them
-        exist: far fewer than the vocabulary, and small enough to travel with the scan."""
+        exist. A few are looked for in the row; more by a hash join of the postings."""
         m = self.meta
         threshold = m.min_idf + rate * (m.max_idf - m.min_idf)
-        low = self.stats.where(weights.idf(F.lit(float(m.n or 1)), F.col("df")) < threshold - 1e-12)
-        gone = low.agg(F.collect_set("token").alias("gone"))
-        rows = self.rows.drop("len", "dl").crossJoin(F.broadcast(gone))
-        rows = sized(rows.withColumn("bag", F.filter("bag", lambda x: ~F.array_contains(F.col("gone"), x["token"]))).drop("gone"))
-        stats = term_stats(rows)
-        return TokenIndex(self.spec, rows, stats, replace(collection_stats(rows, stats), threshold=threshold), low.select("token"))
+        low = stored(self.stats.where(weights.idf(F.lit(float(m.n or 1)), F.col("df")) < threshold - 1e-12).select("token"))
+        n = low.count()
+        if n <= FEW_DROPPED:
+            gone = low.agg(F.collect_set("token").alias("gone"))
+            rows = self.rows.select("tid", "s", "bag").crossJoin(F.broadcast(gone)).withColumn("bag", F.filter("bag", lambda x: ~F.array_contains("gone", x["token"]))).drop("gone")
+        else:
+            kept = self.postings.select("tid", "token", "tf").join(broadcast_up_to(low, n), "token", "left_anti")
+            bags = kept.groupBy("tid").agg(F.array_sort(F.collect_list(F.struct("token", "tf"))).alias("bag"))
+            rows = self.rows.select("tid", "s").join(bags, "tid", "left").withColumn("bag", F.coalesce("bag", F.array().cast("array<struct<token:string,tf:int>>")))
+        rows = stored(sized(rows))
+        stats = stored(term_stats(rows))
+        return TokenIndex(self.spec, rows, stats, replace(collection_stats(rows, stats), threshold=threshold), low)
 
     def append(self, rel: DataFrame) -> TokenIndex:
         """With further tuples. Statistics are sums, so only the new tuples are tokenised."""
@@ -142,6 +161,18 @@ class TokenIndex:
         rows = self.rows.unionByName(new)
         return TokenIndex(self.spec, rows, stats, collection_stats(rows, stats))
 
+    @cached_property
+    def _sums(self) -> dict[str, DataFrame]:
+        return {}
+
+    def tuple_sums(self, **sums: Column) -> DataFrame:
+        """tid and sums over all tokens of a tuple, of expressions of tf, dl and the token's statistics: a weighting's
+        part of the preprocessing, stored when it is first asked for."""
+        key = str(sorted((name, str(c)) for name, c in sums.items()))
+        if key not in self._sums:
+            self._sums[key] = stored(self.with_stats().groupBy("tid").agg(*(F.sum(c).alias(name) for name, c in sums.items())))
+        return self._sums[key]
+
     @cached_property
     def postings(self) -> DataFrame:
         """tid, token, tf, dl, len: the exploded view."""
@@ -188,10 +219,10 @@ def query_tokens(index: TokenIndex, queries: Queries) -> DataFrame:
     that no tuple holds. After pruning, tokens below the threshold are dropped here as well."""
     rows = sized(queries.frame.withColumn("bag", text.token_bag(index.spec.tokens(F.col("s")))))
     terms = rows.select("qid", F.explode("bag").alias("x")).select("qid", "x.token", F.col("x.tf").alias("qtf"))
-    known = index.stats.join(broadcast_up_to(terms.select("token").distinct(), queries.rows), "token", "left_semi")
-    terms = terms.join(broadcast_up_to(known, queries.rows), "token", "left")
+    known = index.stats.join(broadcast_up_to(terms.select("token").distinct(), queries.tokens), "token", "left_semi")
+    terms = terms.join(broadcast_up_to(known, queries.tokens), "token", "left")
     if index.dropped is not None:
-        terms = terms.join(F.broadcast(index.dropped), "token", "left_anti")  # few: see TokenIndex.pruned
+        terms = terms.join(index.dropped, "token", "left_anti")
     own = Window.partitionBy("qid")
     return terms.withColumn("qlen", F.count(F.lit(1)).over(own)).withColumn("qdl", F.sum("qtf").over(own).cast("long"))
 

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from . import combo, edit, scoring
 from .index import Queries, TokenIndex
+from .storage import shared_dir
 
 PREDICATES = {
     "xect": scoring.score_xect, "jaccard": scoring.score_jaccard, "wm": scoring.score_wm, "wj": scoring.score_wj,
@@ -97,10 +98,8 @@ def connected(pairs: DataFrame, nodes: DataFrame) -> DataFrame:
     """tid, cluster (least tid reachable) of nodes (tid) under pairs (a, b): least labels of neighbours, with the
     label's own label looked up in each round, until nothing changes. Rounds are checkpointed to the shared folder."""
     spark = pairs.sparkSession
-    if not (spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir()):
-        import tempfile
-
-        spark.sparkContext.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoint-"))
+    if not spark.sparkContext.getCheckpointDir():
+        spark.sparkContext.setCheckpointDir(shared_dir(spark))
     edges = pairs.select("a", "b").unionByName(pairs.select(F.col("b").alias("a"), F.col("a").alias("b"))).where("a <> b").distinct().checkpoint()
     labels = edges.select(F.col("a").alias("tid")).distinct().withColumn("c", F.col("tid")).checkpoint()
     while True:

@@ -35,12 +35,12 @@ def _sums(index: TokenIndex, terms: DataFrame, queries: Queries, named: dict[str
         raise ValueError(f"unknown layout {layout!r}")
     seen = terms.where("df is not null")
     if layout == "posting":
-        met = index.postings.join(broadcast_up_to(seen, queries.rows), "token")
+        met = index.postings.join(broadcast_up_to(seen, queries.tokens), "token")
         sums = [F.sum(term(_columns())).alias(name) for name, term in named.items()]
         # max of a constant: carries query and tuple columns through the aggregate without widening its key
         return met.groupBy("qid", "tid").agg(*sums, F.count(F.lit(1)).alias("n_shared"), F.max("len").alias("len"), F.max("dl").alias("dl"), *(F.max(c).alias(c) for c in keep))
     per = seen.groupBy("qid").agg(F.map_from_entries(F.collect_list(F.struct("token", F.struct("qtf", "df", "cf", "sum_pml")))).alias("qmap"), *(F.max(c).alias(c) for c in keep))
-    rows = index.rows.crossJoin(broadcast_up_to(per, queries.rows))
+    rows = index.rows.crossJoin(broadcast_up_to(per, queries.tokens))
     start = F.struct(*(F.lit(0.0).alias(name) for name in named), F.lit(0).cast("long").alias("n_shared"))
 
     def add(acc: Column, x: Column) -> Column:
@@ -83,7 +83,7 @@ def _weight(index: TokenIndex, kind: str, floor: float | None = None) -> Callabl
 
 def tuple_sums(index: TokenIndex, **sums: Column) -> DataFrame:
     """tid and sums over all tokens of a tuple, of expressions of tf, dl and the token's statistics."""
-    return index.with_stats().groupBy("tid").agg(*(F.sum(c).alias(name) for name, c in sums.items()))
+    return index.tuple_sums(**sums)
 
 
 # ---- overlap --------------------------------------------------------------------------------------------

@@ -6,7 +6,6 @@ a declarative streaming plan. `available` runs a stream over what there is and e
 
 from __future__ import annotations
 
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -17,6 +16,7 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..operators import ranking
 from ..operators.index import Queries, TokenIndex
+from ..operators.storage import shared_dir
 
 
 def read_files(spark: SparkSession, path: str, schema, fmt: str = "parquet", files_a_trigger: int | None = None) -> DataFrame:
@@ -27,8 +27,7 @@ def read_files(spark: SparkSession, path: str, schema, fmt: str = "parquet", fil
 
 
 def _folder(spark: SparkSession) -> str:
-    base = spark.conf.get("spark.checkpoint.dir", None) or spark.sparkContext.getCheckpointDir() or tempfile.mkdtemp(prefix="stream-")
-    return f"{base.rstrip('/')}/streams/{uuid.uuid4().hex}"
+    return f"{shared_dir(spark)}/streams/{uuid.uuid4().hex}"
 
 
 def available(stream: DataFrame, mode: str = "append") -> DataFrame:

@@ -10,7 +10,7 @@ import pytest
 import __spark_entry__ as entry
 from approxmatch import catalog
 from approxmatch.operators import ranking, scoring
-from approxmatch.operators.index import TokenIndex
+from approxmatch.operators.index import TokenIndex, TokenSpec, tokenized
 from approxmatch.plans import planner
 from approxmatch.sources import tables
 
@@ -63,14 +63,16 @@ def test_without_the_corpus_operators(tmp_path):
 
 
 def plan(df):
-    return planner.explain(df)
+    return planner.explain(df).split("== Physical Plan ==")[1]
 
 
 def test_plans(spark, sf):
     index = TokenIndex.build(tables.part_desc(spark, sf))
     bm25 = plan(scoring.score_bm25(index, "hot gear"))
     assert "BroadcastHashJoin" in bm25 and "CartesianProduct" not in bm25 and "Python" not in bm25 and "ArrowEval" not in bm25
-    assert "ReadSchema: struct<p_partkey:bigint,p_name:string,p_brand:string,p_type:string>" in bm25
+    assert "p_name" not in bm25 and "ReadSchema: struct<tid:bigint,bag:" in bm25  # the stored index: strings aren't tokenised again
+    built = plan(tokenized(tables.part_desc(spark, sf), TokenSpec()))
+    assert built.count("regexp_replace") == 1 and "ReadSchema: struct<p_partkey:bigint,p_name:string,p_brand:string,p_type:string>" in built
     assert "TakeOrderedAndProject" in plan(ranking.approx_select(index, "hot gear", "bm25", k=5))
     assert "WindowGroupLimit" in plan(ranking.approx_select(index, [(1, "hot"), (2, "gear")], "bm25", k=5))
     row = plan(scoring.score_bm25(index, "hot gear", layout="row"))
