@@ -30,7 +30,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import WORD, keep, let
+from .shared import WORD, alone, keep, let
 
 LEAST_WORDS = 5
 #: A key with more than this share of all rows is hot: at most 1 / HOT of them, which are broadcast.
@@ -133,7 +133,7 @@ def lcp_intervals(levels: list[DataFrame], depth: int) -> DataFrame:
 
 def later_copies(docs: DataFrame, least_words: int = LEAST_WORDS) -> DataFrame:
     """d, t, p, w: the lines that go."""
-    lines = keep(repeated_lines(keep(line_table(docs))))
+    lines = alone(lambda: repeated_lines(keep(line_table(docs))))
     copied = lcp_intervals(suffix_names(lines, least_words), least_words).groupBy(*_AT).agg(F.collect_set("k").alias("ks"))
     along = Window.partitionBy("d", "t", "s").orderBy("i")
     longest, total = F.lit(0), F.lit(0)
@@ -171,7 +171,7 @@ def maximal_runs(docs: DataFrame) -> DataFrame:
 
     The longest run from a suffix is its longest common prefix with a neighbour in the suffix array: all of it, where
     another suffix has its name."""
-    lines = keep(repeated_lines(keep(line_table(docs))))
+    lines = alone(lambda: repeated_lines(keep(line_table(docs))))
     levels = suffix_names(lines)
     rest = F.count(F.lit(1)).over(Window.partitionBy("d", "t", "s").orderBy(F.desc("i"))).cast("int")
     place = F.struct("d", "t", "i", "p", "rest")
@@ -198,7 +198,7 @@ def deduplicated(docs: DataFrame, least_words: int = LEAST_WORDS, with_counts: b
     with_counts adds lines_deleted and words_deleted; drop_emptied drops the documents that lose every line with a
     word (not those that had none)."""
     names = docs.columns
-    gone = later_copies(docs, least_words).distinct().groupBy("d", "t").agg(F.array_sort(F.collect_list("p")).alias("gone"), F.sum("w").alias("words_deleted"))
+    gone = alone(lambda: later_copies(docs, least_words)).distinct().groupBy("d", "t").agg(F.array_sort(F.collect_list("p")).alias("gone"), F.sum("w").alias("words_deleted"))
     d, t = _key(docs)
     rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"), d, t).join(gone, ["d", "t"], "left")
 

@@ -30,7 +30,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import keep, let, word_count
+from .shared import alone, keep, let, word_count
 
 WEIGHTS = (5.0, 2.0, 1.0)
 MOST = 3
@@ -252,13 +252,13 @@ def mixed_documents(docs: DataFrame, levels: int | None = None, with_shards: boo
     names = docs.columns
     keys = ["doc_id", "source", "size", "own"]
     places = F.flatten(F.collect_list(F.arrays_zip("shards", "position_keys")))
-    copies = mix(docs, levels).where("copies > 0").groupBy(*keys).agg(F.count(F.lit(1)).alias("twins"), places.alias("places"))
+    copies = alone(lambda: mix(docs, levels).where("copies > 0").groupBy(*keys).agg(F.count(F.lit(1)).alias("twins"), places.alias("places")))
     rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in names)).alias("row"), F.col("doc_id").alias("k"), F.col("source").alias("so"), word_count(F.col("text")).alias("sz"), F.xxhash64("text").alias("ow"))
     # Rows alike in all of these share the copies of their group: the twin-th takes every twins-th.
     rows = rows.join(copies, rows["k"].eqNullSafe(copies["doc_id"]) & rows["so"].eqNullSafe(copies["source"]) & (rows["sz"] == copies["size"]) & (rows["ow"] == copies["own"]))
-    alone = rows.where("twins = 1").withColumn("twin", F.lit(1))
+    single = rows.where("twins = 1").withColumn("twin", F.lit(1))
     several = rows.where("twins > 1").withColumn("twin", F.row_number().over(Window.partitionBy("k", "so", "sz", "ow").orderBy(F.lit(0))))
-    rows = alone.unionByName(several)
+    rows = single.unionByName(several)
     out = rows.select("row", F.posexplode("places").alias("turn", "place"), "twin", "twins").where(F.col("turn") % F.col("twins") == F.col("twin") - 1)
     out = out.select("row", F.col("place.shards").alias("shard"), F.col("place.position_keys").alias("position_key"))
     out = out.repartitionByRange("shard", "position_key").sortWithinPartitions("shard", "position_key")

@@ -34,7 +34,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .shared import U, chunks, keep, lowered, mix, seeds, span_hashes, word_spans
+from .shared import U, alone, chunks, keep, lowered, mix, seeds, span_hashes, word_spans
 
 SHINGLE = 5
 BINS = 128
@@ -239,7 +239,7 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT, lea
     best = spokes.groupBy("node").agg(F.max(F.struct("cw", (-F.col("centre")).alias("m"))).alias("x")).select("node", (-F.col("x.m")).alias("centre"))
     tried = keep(best.select(F.least("node", "centre").alias("a"), F.greatest("node", "centre").alias("b")).distinct())
     links = keep(verified(tried, sets, percent))
-    own = keep(components(links))
+    own = alone(lambda: components(links))
 
     def placed(table: DataFrame, key: str, name: str) -> DataFrame:
         mine = own.select(F.col("node").alias(key), F.col("component").alias(name))
@@ -256,7 +256,7 @@ def class_links(classes: DataFrame, docs: DataFrame, percent: int = PERCENT, lea
     candidates = compared(stars.where("ca <> cb").select("a", "b"))
     links = keep(links.unionByName(verified(candidates, sets, percent)))
     tried = keep(tried.unionByName(candidates))
-    own = keep(components(links))
+    own = alone(lambda: components(links))
 
     with_own = keep(placed(members.select("band", "node"), "node", "component"))
     parts = with_own.groupBy("band", "component").agg(F.count(F.lit(1)).alias("n"))
@@ -300,12 +300,12 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, least_agreement: in
     heads = classes.select(F.col("node"), F.col("f1").alias("g1"), F.col("f2").alias("g2")).distinct()
     head = full.join(heads, (full["doc_id"] == heads["node"]) & (full["f1"] == heads["g1"]) & (full["f2"] == heads["g2"]), "left_semi")
     head = head.select(F.col("doc_id").alias("node"), F.col("n_shingles").alias("size"), "bands", "marks")
-    links = class_links(head, docs, percent, least_agreement)
+    links = alone(lambda: class_links(head, docs, percent, least_agreement))
     # A doc_id that stands on rows of several classes links them.
     again = full.groupBy("doc_id").agg(F.count(F.lit(1)).alias("n")).where("n > 1").select("doc_id")
     again = keep(full.select("doc_id", "f1", "f2", "n_shingles").join(again, "doc_id").distinct().join(classes, ["f1", "f2", "n_shingles"]).select("doc_id", "node"))
     least = again.groupBy("doc_id").agg(F.min("node").alias("b"))
-    own = keep(components(links.unionByName(again.join(least, "doc_id").select(F.col("node").alias("a"), "b"))))
+    own = alone(lambda: components(links.unionByName(again.join(least, "doc_id").select(F.col("node").alias("a"), "b"))))
     named = classes.join(own, "node", "left").select("f1", "f2", "n_shingles", F.coalesce("component", "node").alias("component"), (F.col("copies") > 1).alias("several"), "node")
     # Only classes of several documents or with links need a join; the others are their own component.
     told = named.where("several or component <> node").select("f1", "f2", "n_shingles", "component")
@@ -316,6 +316,6 @@ def near_duplicates(docs: DataFrame, percent: int = PERCENT, least_agreement: in
 
 def deduplicated(docs: DataFrame, percent: int = PERCENT) -> DataFrame:
     """docs without the documents whose component has a smaller doc_id."""
-    gone = near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("gone")).distinct()
+    gone = alone(lambda: near_duplicates(docs, percent).where("not kept").select(F.col("doc_id").alias("gone")).distinct())
     rows = docs.select(F.struct(*(F.col(f"`{n}`") for n in docs.columns)).alias("row"), F.col("doc_id").cast("long").alias("own"))
     return rows.join(gone, F.col("own") == F.col("gone"), "left_anti").select("row.*")

@@ -35,7 +35,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .shared import KeyTable, Tally, chunks, keep, lowered, mix, span_hashes
+from .shared import KeyTable, Tally, alone, chunks, keep, lowered, mix, span_hashes
 from .toxicity import letter_spans
 
 KINDS = ("email", "ip", "card", "phone")
@@ -249,7 +249,7 @@ def spans_of(docs: DataFrame, disclose: float = DISCLOSE, error: float = ERROR,
     """doc_id, text_id, counts of base spans, base, terms (array of (a, b, share), by place). Up to most_terms
     disclosing terms travel to the tasks; more are joined by hash to every term of the texts."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.coalesce("text", F.lit("")).alias("text"))
-    pairs = keep(disclosing(keep(found(docs)), docs, disclose, error))
+    pairs = alone(lambda: disclosing(keep(found(docs)), docs, disclose, error))
     few = pairs.count() <= most_terms
     known = pairs.toArrow() if few else None
     hashes, shares = (known["t"].to_numpy().view(np.uint64), known["share"].to_numpy()) if few and known.num_rows else (np.zeros(0, np.uint64), np.zeros(0))

@@ -10,6 +10,8 @@ import atexit
 import tempfile
 import uuid
 from collections.abc import Callable, Iterator
+from contextlib import contextmanager
+from contextvars import ContextVar
 
 import numpy as np
 import pyarrow as pa
@@ -40,6 +42,35 @@ def shared_dir(spark: SparkSession) -> str:
 
 
 _written: list[tuple[SparkSession, str]] = []
+#: Tables of the innermost `scratch`, in the order of writing.
+_scope: ContextVar[list[tuple[SparkSession, str]]] = ContextVar("tables", default=_written)
+
+
+def _delete(spark: SparkSession, path: str) -> None:
+    at = spark.sparkContext._jvm.org.apache.hadoop.fs.Path(path)
+    at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+
+
+@contextmanager
+def scratch() -> Iterator[None]:
+    """Tables that are kept within are deleted at the end: no frame that reads one may leave."""
+    own: list[tuple[SparkSession, str]] = []
+    token = _scope.set(own)
+    try:
+        yield
+    finally:
+        _scope.reset(token)
+        for spark, path in own:
+            _delete(spark, path)
+
+
+def alone(make: Callable[[], DataFrame]) -> DataFrame:
+    """make(), kept; what was kept on the way is deleted."""
+    with scratch():
+        out = keep(make())
+        done = _scope.get().pop()
+    _scope.get().append(done)
+    return out
 
 
 def keep(df: DataFrame) -> DataFrame:
@@ -48,7 +79,7 @@ def keep(df: DataFrame) -> DataFrame:
     spark = df.sparkSession
     path = f"{shared_dir(spark).rstrip('/')}/tables/{uuid.uuid4().hex}"
     df.write.parquet(path)
-    _written.append((spark, path))
+    _scope.get().append((spark, path))
     return spark.read.schema(df.schema).parquet(path)
 
 
@@ -56,9 +87,7 @@ def keep(df: DataFrame) -> DataFrame:
 def _clean() -> None:
     for spark, path in _written:
         try:
-            jvm = spark.sparkContext._jvm
-            at = jvm.org.apache.hadoop.fs.Path(path)
-            at.getFileSystem(spark.sparkContext._jsc.hadoopConfiguration()).delete(at, True)
+            _delete(spark, path)
         except Exception:  # noqa: BLE001  the session may be gone at exit; the folder is temporary anyway
             return
 

@@ -31,7 +31,7 @@ import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import U, chunks, keep, lowered, mix, seeds, span_hashes
+from .shared import U, chunks, keep, lowered, mix, scratch, seeds, span_hashes
 
 SAMPLE = 4000
 FOLDS = 4
@@ -203,6 +203,11 @@ def best_threshold(p: np.ndarray, y: np.ndarray, weight: np.ndarray) -> float:
 
 
 def train(docs: DataFrame, labels: DataFrame, categories=CATEGORIES, most: int = SAMPLE) -> Chain:
+    with scratch():
+        return _train(docs, labels, categories, most)
+
+
+def _train(docs: DataFrame, labels: DataFrame, categories, most: int) -> Chain:
     columns = sorted({c for _, c, _ in categories})
     _, last, value = categories[-1]
     names = tuple(name for name, _, _ in categories)
