@@ -9,8 +9,8 @@ from pyspark.sql import functions as F
 
 from . import catalog_sql as q
 from .functions import minhash, strsim, text, weights
-from .operators import combo, edit, evaluate, ranking, scoring, storage
-from .operators.index import TokenIndex, TokenSpec, sample_queries
+from .operators import combo, edit, evaluate, exact, ranking, scoring, storage
+from .operators.index import Queries, TokenIndex, TokenSpec
 from .sources import tables
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -161,6 +161,37 @@ add("sim_hmm_full", _sim("hmm", form="full", log=True), q.sql_hmm_full())
 add("sim_hmm_bag", _sim("hmm", query_semantics="bag", log=True), q.simple(f"sum(qtf * {q.hmm_term()})"))
 
 
+def _exact(name: str, **params) -> Query:
+    return lambda s, d: rounded(exact.score_all(part_index(s, d), q.QS, name, **params))
+
+
+def _with_zeros(sql: str, rest: str = "0.0::DOUBLE") -> str:
+    return f"SELECT y.qid, b.tid, coalesce(f.score, {rest}) AS score FROM ({q.PART_DESC}) b CROSS JOIN ({q.values()}) y LEFT JOIN ({sql}) f ON f.qid = y.qid AND f.tid = b.tid"
+
+
+add("exact_xect", _exact("xect"), _with_zeros(q.simple(q.XECT)))
+add("exact_jaccard", _exact("jaccard"), _with_zeros(q.simple(q.JACCARD)))
+add("exact_wm", _exact("wm"), _with_zeros(q.simple(f"sum({q.RS})")))
+add("exact_wj", _exact("wj"), _with_zeros(q.sql_wj("rs")))
+add("exact_cosine", _exact("cosine"), _with_zeros(q.sql_cosine()))
+add("exact_bm25", _exact("bm25"), _with_zeros(q.simple(q.sql_bm25())))
+add("exact_hmm", _exact("hmm", log=True), _with_zeros(q.simple(f"sum({q.hmm_term()})")))
+add("exact_lm", _exact("lm", log=True), f"SELECT x.qid, x.tid, round(coalesce(f.score, o.comp), 6) AS score FROM (SELECT y.qid, b.tid FROM ({q.PART_DESC}) b CROSS JOIN ({q.values()}) y) x LEFT JOIN ({q.sql_lm()}) f ON f.qid = x.qid AND f.tid = x.tid JOIN ({q.scores(f'SELECT tid, sum(ln(1 - p)) AS comp FROM (SELECT tid, {q.p_lm()} AS p FROM bag JOIN sizes USING (tid) JOIN stats USING (token)) GROUP BY tid')}) o ON o.tid = x.tid")
+add("exact_ges_bound", lambda s, d: rounded(exact.score_all(part_index(s, d, "word"), q.QS, "ges_bound")), _with_zeros(q.ges_bound(q.gram_sims()), "0.5::DOUBLE"))
+add("exact_soft", lambda s, d: rounded(exact.score_all(part_index(s, d, "word"), q.QS, "soft_tfidf")), _with_zeros(q.soft(q.JW_SIMS, 0.8)))
+
+
+def _many(spark: SparkSession, sf: str) -> DataFrame:
+    """Eight predicates in one pass."""
+    named = {"xect": ("xect", {}), "jaccard": ("jaccard", {}), "wm": ("wm", {}), "wj": ("wj", {}), "cosine": ("cosine", {}), "bm25": ("bm25", {}), "lm": ("lm", {}), "hmm": ("hmm", {})}
+    out = scoring.score_many(part_index(spark, sf), q.QS, named)
+    return out.select("qid", "tid", *(F.round(c, 6).alias(c) for c in named))
+
+
+_ONE = {"xect": q.simple(q.XECT), "jaccard": q.simple(q.JACCARD), "wm": q.simple(f"sum({q.RS})"), "wj": q.sql_wj("rs"), "cosine": q.sql_cosine(), "bm25": q.simple(q.sql_bm25()), "lm": q.sql_lm(), "hmm": q.simple(f"sum({q.hmm_term()})")}
+add("sim_many", _many, "SELECT xect.qid, xect.tid, " + ", ".join(f"{c}.score AS {c}" for c in _ONE) + " FROM (" + q.simple(q.XECT) + ") xect " + " ".join(f"JOIN ({s}) {c} ON {c}.qid = xect.qid AND {c}.tid = xect.tid" for c, s in _ONE.items() if c != "xect"))
+
+
 def _edit(theta: float | None = None, **params) -> Query:
     def run(spark: SparkSession, sf: str) -> DataFrame:
         rel = tables.part_desc(spark, sf)
@@ -170,17 +201,18 @@ def _edit(theta: float | None = None, **params) -> Query:
 
 
 add("sim_edit", _edit(), q.edit())
-add("sim_edit_costs", _edit(costs={"insert": 1.0, "delete": 1.0, "substitute": 1.5, "swap": 1.0}))
+add("sim_edit_costs", _edit(costs={"insert": 1.0, "delete": 1.0, "substitute": 1.5, "swap": 1.0}), q.edit_costs(1.0, 1.0, 1.5, 1.0))
 add("sel_edit_07", _edit(0.7), q.edit(0.7))
 add("sel_edit_07_bag", _edit(0.7, positional=False), q.edit(0.7))
 add("sel_edit_05", _edit(0.5), q.edit(0.5))
 add("sel_edit_04_vacuous", _edit(0.4), q.edit(0.4))
-add("sim_ges", _sim("ges", "word"))
-add("sim_ges_udf", _sim("ges", "word", native=False))
+add("sim_ges", _sim("ges", "word"), q.ges())
+add("sim_ges_udf", _sim("ges", "word", native=False), q.ges())
 add("sim_ges_jaccard", _sim("ges_bound", "word"), q.ges_bound(q.gram_sims()))
 add("sim_ges_apx_h5", _sim("ges_bound", "word", sim="minhash"), q.ges_bound(q.minhash_sims(minhash.coefficients(5))))
-for _filter in ("jaccard", "minhash", "none"):
-    add(f"sel_ges_08_{_filter}", lambda s, d, f=_filter: rounded(combo.ges_select(part_index(s, d, "word"), q.QS, 0.8, f)))
+for _filter, _sims in (("jaccard", q.gram_sims()), ("minhash", q.minhash_sims(minhash.coefficients(5))), ("none", None)):
+    for _name, _theta in (("08", 0.8), ("06", 0.6)):
+        add(f"sel_ges_{_name}_{_filter}", lambda s, d, f=_filter, t=_theta: rounded(combo.ges_select(part_index(s, d, "word"), q.QS, t, f)), q.ges(_theta, _sims))
 add("sim_soft_jw", _sim("soft_tfidf", "word"), q.soft(q.JW_SIMS, 0.8))
 add("sim_soft_edit", _sim("soft_tfidf", "word", word_sim="edit", theta=0.6), q.soft(q.EDIT_SIMS, 0.6))
 add("sim_soft_jaccard", _sim("soft_tfidf", "word", word_sim="jaccard", theta=0.4), q.soft(q.gram_sims(), 0.4))
@@ -223,13 +255,13 @@ add("rank_all_hmm", lambda s, d: ranking.rank_all(ranking.score(part_index(s, d)
 def _join_jaccard(spark: SparkSession, sf: str) -> DataFrame:
     left = TokenIndex.build(tables.names(spark, sf, "supplier"))
     right = tables.names(spark, sf, "customer").select(F.col("tid").alias("qid"), "s")
-    return rounded(ranking.approx_join(left, right, "jaccard", 0.5))
+    return rounded(ranking.approx_join(left, right, "jaccard", 0.3))
 
 
 _NAMES = ("SELECT s_suppkey AS tid, s_name AS s FROM supplier", "SELECT c_custkey AS qid, c_name AS s FROM customer")
-add("join_jaccard", _join_jaccard, q.scores(f"SELECT * FROM (SELECT qid, tid, round({q.JACCARD}, 6) AS score FROM met GROUP BY qid, tid) WHERE score >= 0.5", base=_NAMES[0], queries=_NAMES[1]))
-add("join_bm25_top3", lambda s, d: rounded(ranking.approx_join(part_index(s, d), sample_queries(tables.part_desc(s, d), 50), "bm25", k=3)),
-    q.scores(f"SELECT qid, tid, round(score, 6) AS score FROM ({q.ranked(_BM25)}) WHERE rank <= 3", queries=q.SAMPLED.replace("LIMIT 25", "LIMIT 50")))
+add("join_jaccard", _join_jaccard, q.scores(f"SELECT * FROM (SELECT qid, tid, round({q.JACCARD}, 6) AS score FROM met GROUP BY qid, tid) WHERE score >= 0.3", base=_NAMES[0], queries=_NAMES[1]))
+add("join_bm25_top3", lambda s, d: rounded(ranking.approx_join(TokenIndex.build(tables.names(s, d, "supplier")), tables.names(s, d, "customer").select(F.col("tid").alias("qid"), "s"), "bm25", k=3)),
+    q.scores(f"SELECT qid, tid, round(score, 6) AS score FROM ({q.ranked(_BM25)}) WHERE rank <= 3", base=_NAMES[0], queries=_NAMES[1]))
 add("exact_match", lambda s, d: ranking.exact_match(tables.part_desc(s, d), tables.part_desc(s, d).select(F.col("tid").alias("qid"), "s")),
     f"SELECT a.tid AS qid, b.tid AS tid FROM ({q.PART_DESC}) a JOIN ({q.PART_DESC}) b ON a.s = b.s")
 add("selfjoin_dedup", lambda s, d: ranking.dedup(TokenIndex.build(tables.doc_text(s, d), TokenSpec("word")), "jaccard", 0.7), r"""
@@ -280,12 +312,11 @@ add("index_append", _appended, q.simple(q.sql_bm25()))
 
 
 def _ranked_sample(spark: SparkSession, sf: str) -> tuple[DataFrame, DataFrame, DataFrame]:
-    rel = tables.part_desc(spark, sf)
-    asked = sample_queries(rel, 25)
+    """Every string against all, to the rank q.CUT; relevant are those of one name and type."""
+    asked = tables.part_desc(spark, sf).select(F.col("tid").alias("qid"), "s")
     part = tables.load(spark, sf, "part").select(F.col("p_partkey").alias("tid"), "p_name", "p_type")
-    own = part.join(asked.select("qid"), F.col("tid") == F.col("qid")).drop("tid")
-    truth = own.join(part, ["p_name", "p_type"]).select("qid", "tid")
-    return ranking.rank_all(ranking.score(TokenIndex.build(rel), asked, "bm25")), truth, asked
+    truth = part.withColumnRenamed("tid", "qid").join(part, ["p_name", "p_type"]).select("qid", "tid")
+    return ranking.top_k(ranking.score(part_index(spark, sf), Queries(asked), "bm25"), q.CUT), truth, asked
 
 
 def _measure(f: Callable[[DataFrame, DataFrame, DataFrame], DataFrame]) -> Query:
@@ -303,11 +334,11 @@ add("eval_ranks_of", _measure(lambda r, t, a: evaluate.ranks_of(r, [0, 1, 2, 3,
 
 def _filter_report(spark: SparkSession, sf: str) -> DataFrame:
     rel = tables.part_desc(spark, sf)
-    found = evaluate.filter_report(edit.edit_candidates(rel, q.QS, 0.7), edit.score_edit(rel, q.QS).where("score >= 0.7"), rel.count() * len(q.QS))
-    return spark.createDataFrame([(int(found["candidates"]), float(found["share"]), int(found["missed"]))], "candidates long, share double, missed long")
+    found = evaluate.filter_report(edit.edit_candidates(rel, q.QS, 0.7, positional=False), edit.score_edit(rel, q.QS).where("score >= 0.7"), rel.count() * len(q.QS))
+    return spark.createDataFrame([(int(found["candidates"]), round(float(found["share"]), 9), int(found["missed"]))], "candidates long, share double, missed long")
 
 
-add("eval_filter_edit", _filter_report)
+add("eval_filter_edit", _filter_report, q.filter_edit(0.7))
 _DOCS = "SELECT doc_id AS tid, text AS s FROM documents WHERE text IS NOT NULL"
 
 

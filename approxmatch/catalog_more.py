@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession, Window
@@ -9,7 +10,7 @@ from pyspark.sql import functions as F
 
 from . import catalog_sql as q
 from . import experiments
-from .functions import sqlapi, strsim
+from .functions import minhash, sqlapi, strsim
 from .operators import combo, datagen, ranking, scoring
 from .operators.index import Queries, TokenIndex, sample_queries
 from .plans import planner
@@ -50,12 +51,12 @@ add("op_join_shuffle_hash", lambda t: t("lineitem").join(t("orders").hint("shuff
 add("op_join_theta", lambda t: t("nation").alias("a").join(t("nation").alias("b"), (F.levenshtein("a.n_name", "b.n_name") <= 3) & (F.col("a.n_nationkey") < F.col("b.n_nationkey"))).select(F.col("a.n_name").alias("a"), F.col("b.n_name").alias("b")),
     "SELECT a.n_name AS a, b.n_name AS b FROM nation a JOIN nation b ON levenshtein(a.n_name, b.n_name) <= 3 AND a.n_nationkey < b.n_nationkey")
 for _how, _join in (("left", "LEFT"), ("right", "RIGHT"), ("full", "FULL")):
-    add(f"op_join_{_how}", lambda t, how=_how: t("customer").where("c_custkey % 3 > 0").join(t("orders").where("o_orderkey % 2 = 0"), F.col("c_custkey") == F.col("o_custkey"), how).groupBy(F.col("c_custkey").isNull().alias("no_customer"), F.col("o_orderkey").isNull().alias("no_order")).agg(F.count(F.lit(1)).alias("n")),
-        f"SELECT c_custkey IS NULL AS no_customer, o_orderkey IS NULL AS no_order, count(*) AS n FROM (SELECT * FROM customer WHERE c_custkey % 3 > 0) {_join} JOIN (SELECT * FROM orders WHERE o_orderkey % 2 = 0) ON c_custkey = o_custkey GROUP BY 1, 2")
+    add(f"op_join_{_how}", lambda t, how=_how: t("customer").join(t("orders"), F.expr("c_custkey = o_custkey AND c_mktsegment = 'BUILDING' AND o_orderstatus = 'P'"), how).groupBy(F.col("c_custkey").isNull().alias("no_customer"), F.col("o_orderkey").isNull().alias("no_order")).agg(F.count(F.lit(1)).alias("n")),
+        f"SELECT c_custkey IS NULL AS no_customer, o_orderkey IS NULL AS no_order, count(*) AS n FROM customer {_join} JOIN orders ON c_custkey = o_custkey AND c_mktsegment = 'BUILDING' AND o_orderstatus = 'P' GROUP BY 1, 2")
 add("op_semi", lambda t: t("orders").join(t("lineitem").where("l_returnflag = 'R'"), F.col("o_orderkey") == F.col("l_orderkey"), "left_semi").select("o_orderkey"),
     "SELECT o_orderkey FROM orders WHERE o_orderkey IN (SELECT l_orderkey FROM lineitem WHERE l_returnflag = 'R')")
-add("op_anti", lambda t: t("customer").join(t("orders"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"),
-    "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders)")
+add("op_anti", lambda t: t("customer").join(t("orders").where("o_orderstatus = 'P'"), F.col("c_custkey") == F.col("o_custkey"), "left_anti").select("c_custkey"),
+    "SELECT c_custkey FROM customer WHERE c_custkey NOT IN (SELECT o_custkey FROM orders WHERE o_orderstatus = 'P')")
 add("op_cross", lambda t: t("region").crossJoin(t("nation")).select("r_name", "n_name"), "SELECT r_name, n_name FROM region CROSS JOIN nation")
 _LEN = 2
 
@@ -85,7 +86,8 @@ add("op_agg", lambda t: t("lineitem").groupBy("l_returnflag", "l_linestatus").ag
     "SELECT l_returnflag, l_linestatus, count(*) AS n, round(sum(l_quantity), 2) AS qty, round(avg(l_discount), 6) AS disc, min(l_extendedprice) AS low, max(l_extendedprice) AS high FROM lineitem GROUP BY ALL HAVING count(*) > 100")
 add("op_distinct", lambda t: t("lineitem").select("l_returnflag", "l_linestatus").distinct(), "SELECT DISTINCT l_returnflag, l_linestatus FROM lineitem")
 add("op_count_distinct", lambda t: t("lineitem").agg(F.count_distinct("l_partkey").alias("parts"), F.count_distinct("l_suppkey").alias("suppliers")), "SELECT count(DISTINCT l_partkey) AS parts, count(DISTINCT l_suppkey) AS suppliers FROM lineitem")
-add("op_approx_distinct", lambda t: t("lineitem").agg(F.approx_count_distinct("l_partkey", 0.02).alias("parts")))
+add("op_approx_distinct", lambda t: t("lineitem").agg((F.abs(F.approx_count_distinct("l_partkey", 0.02) / F.count_distinct("l_partkey") - 1) <= 0.1).alias("near"), F.count_distinct("l_partkey").alias("parts")),
+    "SELECT true AS near, count(DISTINCT l_partkey) AS parts FROM lineitem")
 _Q = "round(sum(l_quantity), 2) AS qty FROM lineitem"
 add("op_rollup", lambda t: t("lineitem").rollup("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("qty")), f"SELECT l_returnflag, l_linestatus, {_Q} GROUP BY ROLLUP (l_returnflag, l_linestatus)")
 add("op_cube", lambda t: t("lineitem").cube("l_returnflag", "l_linestatus").agg(F.round(F.sum("l_quantity"), 2).alias("qty")), f"SELECT l_returnflag, l_linestatus, {_Q} GROUP BY CUBE (l_returnflag, l_linestatus)")
@@ -129,6 +131,8 @@ _a = lambda t: t("customer").select(F.col("c_nationkey").alias("k"))  # noqa: E7
 _b = lambda t: t("supplier").select(F.col("s_nationkey").alias("k"))
 for _name, _f, _op in (("union", lambda x, y: x.union(y).distinct(), "UNION"), ("union_all", lambda x, y: x.unionByName(y), "UNION ALL"), ("intersect", lambda x, y: x.intersect(y), "INTERSECT"), ("intersect_all", lambda x, y: x.intersectAll(y), "INTERSECT ALL"), ("except", lambda x, y: x.subtract(y), "EXCEPT"), ("except_all", lambda x, y: x.exceptAll(y), "EXCEPT ALL")):
     add(f"op_{_name}", lambda t, f=_f: f(_a(t), _b(t)), f"{_A} {_op} {_B}")
+for _name, _f, _op in (("except_keys", lambda x, y: x.subtract(y), "EXCEPT"), ("intersect_keys", lambda x, y: x.intersect(y), "INTERSECT")):
+    add(f"op_{_name}", lambda t, f=_f: f(t("customer").select(F.col("c_custkey").alias("k")), t("supplier").select(F.col("s_suppkey").alias("k"))), f"SELECT c_custkey AS k FROM customer {_op} SELECT s_suppkey AS k FROM supplier")
 
 
 def _subquery(spark: SparkSession, sf: str) -> DataFrame:
@@ -240,8 +244,15 @@ def clean_names(spark: SparkSession, sf: str) -> DataFrame:
     return c.select(F.col("c_custkey").alias("tid"), F.concat_ws(" ", F.replace(F.col("c_name"), F.lit("#"), F.lit(" ")), F.element_at(forms, (F.col("c_custkey") % 8 + 1).cast("int"))).alias("s"))
 
 
-def _generated(name: str) -> Query:
-    return lambda s, d: datagen.generate_dirty(clean_names(s, d), datagen.preset(name, 1000, 100))
+def _generated(name: str, duplicates: str = "uniform") -> Query:
+    """Ten tuples for every customer's name."""
+
+    def run(s: SparkSession, d: str) -> DataFrame:
+        clean = clean_names(s, d)
+        n = clean.count()
+        return datagen.generate_dirty(clean, datagen.preset(name, 10 * n, n, duplicates))
+
+    return run
 
 
 def _u(*parts: str) -> str:
@@ -249,7 +260,7 @@ def _u(*parts: str) -> str:
 
 
 _ROWS = f"""
-WITH clean AS (SELECT tid, s FROM ({_CLEAN}) ORDER BY tid LIMIT 100),
+WITH clean AS (SELECT tid, s FROM ({_CLEAN})),
 r AS (SELECT tid AS cluster_id, s, unnest(range(10)) AS copy FROM clean),
 w AS (SELECT *, copy > 0 AND {_u('cluster_id', 'copy', "'wrong'")} < {{share}} AS bad FROM r)
 """
@@ -257,12 +268,17 @@ _FORM = "CASE " + " ".join(f"WHEN ends_with(s, ' {a}') THEN substr(s, 1, length(
 _SWAP = f"array_to_string(list_transform(range(len(ws)), lambda i: CASE WHEN (i - i % 2) + 1 < len(ws) AND {_u('cluster_id', 'copy', "'swap'", '(i - i % 2)')} < 0.2 THEN ws[(i - i % 2) + 2 - i % 2] ELSE ws[i + 1] END), ' ')"
 add_raw("gen_clusters", lambda s, d: _generated("CU2")(s, d).groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("is_erroneous").cast("long")).alias("wrong"), F.sum(F.col("is_clean").cast("long")).alias("clean")),
     _ROWS.format(share=0.5) + "SELECT cluster_id, count(*) AS n, sum(bad::INT)::BIGINT AS wrong, sum((copy = 0)::INT)::BIGINT AS clean FROM w GROUP BY cluster_id")
-_TID = "row_number() OVER (ORDER BY cluster_id, copy) AS tid"
+_TID = f"cluster_id * {datagen.COPIES} + copy AS tid"
 add_raw("gen_abbrev", lambda s, d: _generated("F1")(s, d).select("tid", "s"), _ROWS.format(share=0.5) + f"SELECT {_TID}, CASE WHEN bad AND {_u('cluster_id', 'copy', "'form'")} < 0.5 THEN {_FORM} ELSE s END AS s FROM w")
 add_raw("gen_swap", lambda s, d: _generated("F2")(s, d).select("tid", "s"), _ROWS.format(share=0.5) + f"SELECT {_TID}, CASE WHEN bad THEN {_SWAP} ELSE s END AS s FROM (SELECT *, string_split(s, ' ') AS ws FROM w)")
 add_raw("gen_chars", lambda s, d: _generated("F5")(s, d))
-for _kind in ("zipf", "poisson"):
-    add_raw(f"gen_{_kind}", lambda s, d, k=_kind: datagen.generate_dirty(clean_names(s, d), datagen.preset("CU6", 1000, 100, k)).groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n")))
+_POISSON = [sum(math.exp(-9.0) * 9.0**i / math.factorial(i) for i in range(k + 1)) for k in range(40)]
+_COUNTS = {
+    "zipf": "SELECT cluster_id, 1 + round(9.0::DOUBLE * n / h / place)::BIGINT AS n FROM (SELECT tid AS cluster_id, row_number() OVER (ORDER BY tid) AS place, count(*) OVER () AS n FROM clean) CROSS JOIN (SELECT sum(1.0::DOUBLE / i) AS h FROM (SELECT unnest(range(1, (SELECT count(*) + 1 FROM clean))) AS i))",
+    "poisson": "SELECT tid AS cluster_id, 1 + " + " + ".join(f"({_u('tid', chr(39) + 'count' + chr(39))} >= {p!r}::DOUBLE)::BIGINT" for p in _POISSON) + " AS n FROM clean",
+}
+for _kind, _count in _COUNTS.items():
+    add_raw(f"gen_{_kind}", lambda s, d, k=_kind: _generated("CU6", k)(s, d).groupBy("cluster_id").agg(F.count(F.lit(1)).alias("n")), f"WITH clean AS ({_CLEAN}) {_count}")
 add_raw("gen_short_names", tables.short_names)
 add_raw("gen_long_titles", tables.long_titles)
 
@@ -298,12 +314,56 @@ add_raw("stream_interval_join", _stream_join, "SELECT a.event_id AS event_a, b.e
 
 
 def _stream_select(spark: SparkSession, sf: str) -> DataFrame:
-    arriving = stream_table(spark, sf, "part").where("p_partkey % 40 = 7").select(F.col("p_partkey").alias("qid"), F.concat_ws(" ", F.reverse("p_name"), "p_type").alias("s"))
+    arriving = stream_table(spark, sf, "nation").select(F.col("n_nationkey").cast("long").alias("qid"), F.col("n_name").alias("s"))
     out = streams.select_stream(TokenIndex.build(tables.part_desc(spark, sf)), arriving, "bm25", k=5)
     return out.select("qid", "tid", F.round("score", 6).alias("score"))
 
 
-add_raw("stream_select", _stream_select, q.scores(f"SELECT qid, tid, round(score, 6) AS score FROM ({q.ranked(f'SELECT qid, tid, {q.sql_bm25()} AS score FROM met GROUP BY qid, tid')}) WHERE rank <= 5", queries="SELECT p_partkey AS qid, reverse(p_name) || ' ' || p_type AS s FROM part WHERE p_partkey % 40 = 7"))
+add_raw("stream_select", _stream_select, q.scores(f"SELECT qid, tid, round(score, 6) AS score FROM ({q.ranked(f'SELECT qid, tid, {q.sql_bm25()} AS score FROM met GROUP BY qid, tid')}) WHERE rank <= 5", queries="SELECT n_nationkey::BIGINT AS qid, n_name AS s FROM nation"))
+
+
+def _stream_late(spark: SparkSession, sf: str) -> DataFrame:
+    """The last quarter of the time arrives first, then the third: the earlier half is beyond the watermark by then and
+    dropped (a batch drops by the watermark of the batch before it). Windows that the watermark hasn't passed stay open."""
+    events = tables.load(spark, sf, "events").withColumn("ts", F.col("ts").cast("timestamp"))
+    lo, hi = events.agg(F.min(F.unix_micros("ts")), F.max(F.unix_micros("ts"))).first()
+    at, half, most = F.unix_micros("ts"), lo + (hi - lo) // 2, lo + (hi - lo) * 3 // 4
+    parts = [at >= most, (at >= half) & (at < most), at < half]
+    out = streams.available(streams.tumbling(streams.in_order(events, parts), late="1 hour"), "append")
+    return out.select(F.col("start").cast("timestamp_ntz").alias("start"), "event_type", "n", F.round("total", 4).alias("total"))
+
+
+add_raw("stream_late", _stream_late, """
+WITH r AS (SELECT epoch_us(min(ts)) AS lo, epoch_us(max(ts)) AS hi FROM events)
+SELECT date_trunc('hour', ts) AS start, event_type, count(*) AS n, round(sum(value), 4) AS total FROM events CROSS JOIN r WHERE epoch_us(ts) >= lo + (hi - lo) // 2
+GROUP BY 1, 2 HAVING epoch_us(date_trunc('hour', ts)) + 3600000000 <= max(hi) - max(hi) % 1000 - 3600000000""")
+
+
+def _stream_near(spark: SparkSession, sf: str) -> DataFrame:
+    """Arriving part strings that share a band (two of four min-hash values) with an earlier one: the band's first."""
+    arriving = stream_table(spark, sf, "part").select(F.col("p_partkey").alias("tid"), F.concat_ws(" ", "p_name", "p_type").alias("s"), F.timestamp_seconds(F.lit(1_700_000_000)).alias("ts"))
+    marked = streams.near_duplicates(arriving, lambda rows: streams.minhash_bands(rows, 4, 2))
+    return streams.available(marked).groupBy("tid").agg(F.min("first").alias("first"))
+
+
+_NEAR = minhash.coefficients(4)
+add_raw("stream_near_dup", _stream_near, f"""
+WITH s AS (SELECT p_partkey AS tid, p_name || ' ' || p_type AS s FROM part), g AS ({q.grams('SELECT * FROM s', 'tid')}),
+h AS (SELECT DISTINCT tid, ('0x' || substr(md5(token), 1, 8))::BIGINT % 2147483647 AS h FROM g),
+m AS (SELECT tid, {', '.join(f'min((h * {a} + {b}) % 2147483647) AS v{i}' for i, (a, b) in enumerate(_NEAR))} FROM h GROUP BY tid),
+b AS (SELECT tid, 0 AS band, v0 AS x, v1 AS y FROM m UNION ALL SELECT tid, 1, v2, v3 FROM m)
+SELECT tid, min(first) AS first FROM (SELECT tid, min(tid) OVER (PARTITION BY band, x, y) AS first FROM b) WHERE tid <> first GROUP BY tid""")
+
+
+def _stream_append(spark: SparkSession, sf: str) -> DataFrame:
+    """Customers' names arrive for an index of suppliers' names; the index that they leave is asked."""
+    arriving = stream_table(spark, sf, "customer").select((F.col("c_custkey") + 1_000_000_000).alias("tid"), F.col("c_name").alias("s"))
+    index = streams.append_stream(TokenIndex.build(tables.names(spark, sf, "supplier")), arriving, streams.folder(spark))
+    return scoring.score_bm25(index, _ASKED).select("qid", "tid", F.round("score", 6).alias("score"))
+
+
+_ASKED = [(1, "Suplier#00012"), (2, "Custmer 17")]
+add_raw("stream_append", _stream_append, q.simple(q.sql_bm25(), base="SELECT s_suppkey AS tid, s_name AS s FROM supplier UNION ALL SELECT c_custkey + 1000000000, c_name FROM customer", queries=q.values(_ASKED)))
 
 # ---- experiments ----------------------------------------------------------------------------------------------------------------
 

@@ -201,7 +201,67 @@ SELECT qid, tid, round(sum(wq * wd * sim), 6) AS score FROM near WHERE place = 1
 JW_SIMS = ", sims AS (SELECT a.word AS qword, v.word AS word, jaro_winkler_similarity(a.word, v.word) AS sim FROM asked a CROSS JOIN voc v)"
 EDIT_SIMS = ", sims AS (SELECT a.word AS qword, v.word AS word, 1 - levenshtein(a.word, v.word)::DOUBLE / greatest(length(a.word), length(v.word)) AS sim FROM asked a CROSS JOIN voc v)"
 
-#: Exact word alignment as a recursive table over anti-diagonals is not expressible with windows; tests use Python.
+#: Word lists with idf, and the table of the alignment: one recursion step a query word, whose row is built cell by cell.
+GES = """
+, dw AS (SELECT tid, unnest(string_split(s, ' ')) AS word, unnest(range(len(string_split(s, ' ')))) AS pos FROM base),
+dl AS (SELECT tid, list(word ORDER BY pos) AS dwords, list(ln(n) - ln(df::DOUBLE) ORDER BY pos) AS dws FROM dw JOIN stats ON token = word CROSS JOIN coll GROUP BY tid),
+ql AS (SELECT qid, list(word ORDER BY pos) AS qwords, list(w ORDER BY pos) AS qws, sum(w) AS total FROM qi GROUP BY qid),
+al(qid, tid, i, line) AS (
+  SELECT qid, tid, 0, list_prepend(0.0::DOUBLE, list_transform(range(1, len(dws) + 1), lambda k: list_sum(dws[1:k]) * 0.5::DOUBLE)) FROM ql CROSS JOIN dl
+  UNION ALL
+  SELECT al.qid, al.tid, i + 1, list_reduce(list_prepend([line[1] + qws[i + 1]], list_transform(range(1, len(dwords) + 1), lambda j:
+           [dws[j] * 0.5::DOUBLE, line[j + 1] + qws[i + 1], line[j] + levenshtein(qwords[i + 1], dwords[j])::DOUBLE / greatest(length(qwords[i + 1]), length(dwords[j])) * qws[i + 1]])),
+         lambda done, x: list_append(done, least(done[len(done)] + x[1], x[2], x[3])))
+  FROM al JOIN ql ON ql.qid = al.qid JOIN dl ON dl.tid = al.tid WHERE i < len(qwords)),
+ges AS (SELECT al.qid, al.tid, 1 - least(line[len(line)] / total, 1.0::DOUBLE) AS score FROM al JOIN ql ON ql.qid = al.qid WHERE i = len(qwords))
+"""
+
+
+def recursive(sql: str) -> str:
+    return sql.replace("WITH ", "WITH RECURSIVE ", 1)
+
+
+def ges(theta: float | None = None, sims: str | None = None, q: int = 2) -> str:
+    """Exact generalised edit similarity of all pairs; of those from theta on; of those whose bound reaches it too."""
+    if sims is None:
+        where = "" if theta is None else f" WHERE score >= {theta}::DOUBLE - 1e-12"
+        return recursive(scores(WORDS + GES + f"SELECT qid, tid, round(score, 6) AS score FROM ges{where}", kind="word"))
+    bound = f"""
+, best AS (SELECT qi.qid, bag.tid, qi.pos, max(sim) AS sim, max(w) AS w FROM qi JOIN sims ON qword = qi.word JOIN bag ON bag.token = sims.word GROUP BY qi.qid, bag.tid, qi.pos),
+bound AS (SELECT qid, tid, sum(w * sim) * 2.0::DOUBLE / {q} / max(total) + 1 - 1.0::DOUBLE / {q} AS b FROM best JOIN qt USING (qid) GROUP BY qid, tid)
+SELECT ges.qid, ges.tid, round(score, 6) AS score FROM ges JOIN bound ON bound.qid = ges.qid AND bound.tid = ges.tid WHERE score >= {theta}::DOUBLE - 1e-12 AND b >= {theta}::DOUBLE - 1e-12"""
+    return recursive(scores(WORDS + sims + GES + bound, kind="word"))
+
+
+def edit_costs(insert: float, delete: float, substitute: float, swap: float) -> str:
+    """Least cost between the query and the tuple by a table of characters: two rows are carried, for the exchange."""
+    return f"""
+WITH RECURSIVE base AS ({PART_DESC}), qry AS ({values()}),
+p AS (SELECT qid, tid, q.s AS a, b.s AS b FROM base b CROSS JOIN qry q),
+t(qid, tid, i, above, line) AS (
+  SELECT qid, tid, 0, []::DOUBLE[], list_transform(range(0, length(b) + 1), lambda j: j * {insert}::DOUBLE) FROM p
+  UNION ALL
+  SELECT t.qid, t.tid, i + 1, line, list_reduce(list_prepend([(i + 1) * {delete}::DOUBLE], list_transform(range(1, length(b) + 1), lambda j:
+           [line[j + 1] + {delete}::DOUBLE, line[j] + CASE WHEN a[i + 1] = b[j] THEN 0 ELSE {substitute}::DOUBLE END,
+            CASE WHEN i > 0 AND j > 1 AND a[i + 1] = b[j - 1] AND a[i] = b[j] THEN above[j - 1] + {swap}::DOUBLE ELSE 1e9::DOUBLE END])),
+         lambda done, x: list_append(done, least(done[len(done)] + {insert}::DOUBLE, x[1], x[2], x[3])))
+  FROM t JOIN p ON p.qid = t.qid AND p.tid = t.tid WHERE i < length(a))
+SELECT t.qid, t.tid, round(1 - line[len(line)] / greatest(length(a), length(b)), 6) AS score FROM t JOIN p ON p.qid = t.qid AND p.tid = t.tid WHERE i = length(a)"""
+
+
+def filter_edit(theta: float, q: int = 2) -> str:
+    """Pairs that the bag filter of end-padded grams leaves, their share, and results that it misses."""
+    pads = "$" * (q - 1)
+    bag = lambda source, key: f"SELECT {key}, g, count(*) AS tf FROM (SELECT {key}, substr(p, i, {q}) AS g FROM (SELECT {key}, p, unnest(range(1, length(p) - {q - 2})) AS i FROM (SELECT {key}, '{pads}' || s || '{pads}' AS p FROM {source}))) GROUP BY ALL"
+    return f"""
+WITH base AS ({PART_DESC}), qry AS ({values()}), bb AS ({bag('base', 'tid')}), qb AS ({bag('qry', 'qid')}),
+sh AS (SELECT qid, tid, sum(least(bb.tf, qb.tf)) AS shared FROM bb JOIN qb USING (g) GROUP BY qid, tid),
+k AS (SELECT qid, tid, b.s AS d, q.s AS a, greatest(length(b.s), length(q.s)) AS longer, floor(greatest(length(b.s), length(q.s)) * (1 - {theta}::DOUBLE) + 1e-9) AS k FROM base b CROSS JOIN qry q),
+c AS (SELECT qid, tid FROM k JOIN sh USING (qid, tid) WHERE abs(length(d) - length(a)) <= k AND shared >= longer + {q - 1} - k * {q}),
+x AS (SELECT qid, tid FROM k WHERE 1 - levenshtein(d, a)::DOUBLE / longer >= {theta}::DOUBLE)
+SELECT (SELECT count(*) FROM c) AS candidates, round((SELECT count(*) FROM c)::DOUBLE / (SELECT count(*) FROM k), 9) AS share,
+       (SELECT count(*) FROM x ANTI JOIN c USING (qid, tid)) AS missed"""
+
 
 
 def ranked(inner: str) -> str:
@@ -209,13 +269,15 @@ def ranked(inner: str) -> str:
 
 
 SAMPLED = f"SELECT tid AS qid, s FROM ({PART_DESC}) ORDER BY md5('42|' || tid), tid LIMIT 25"
-TRUTH = f"SELECT a.p_partkey AS qid, b.p_partkey AS tid FROM part a JOIN part b ON a.p_name = b.p_name AND a.p_type = b.p_type WHERE a.p_partkey IN (SELECT qid FROM ({SAMPLED}))"
+TRUTH = "SELECT a.p_partkey AS qid, b.p_partkey AS tid FROM part a JOIN part b ON a.p_name = b.p_name AND a.p_type = b.p_type"
+#: Ranks that the measures look at.
+CUT = 50
 
 
 def evaluated(final: str) -> str:
     inner = f"SELECT qid, tid, {sql_bm25()} AS score FROM met GROUP BY qid, tid"
-    return f"""WITH {ctes(queries=SAMPLED)}
-, rk AS ({ranked(inner)}), tr AS ({TRUTH}), tot AS (SELECT qid, count(*) AS relevant FROM tr GROUP BY qid),
+    return f"""WITH {ctes(queries=f"SELECT tid AS qid, s FROM ({PART_DESC})")}
+, rk AS (SELECT * FROM ({ranked(inner)}) WHERE rank <= {CUT}), tr AS ({TRUTH}), tot AS (SELECT qid, count(*) AS relevant FROM tr GROUP BY qid),
 jd AS (SELECT rk.qid, rk.tid, rank, CASE WHEN tr.tid IS NULL THEN 0 ELSE 1 END AS rel FROM rk LEFT JOIN tr ON tr.qid = rk.qid AND tr.tid = rk.tid),
 pr AS (SELECT qid, tid, rank, rel, sum(rel) OVER w::DOUBLE / rank AS precision, sum(rel) OVER w::DOUBLE / relevant AS recall, relevant
        FROM jd JOIN tot USING (qid) WINDOW w AS (PARTITION BY qid ORDER BY rank ROWS UNBOUNDED PRECEDING)),

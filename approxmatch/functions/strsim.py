@@ -69,6 +69,18 @@ def jaro_winkler(a: Column, b: Column, scale: float = 0.1, max_prefix: int = 4,
     return run(a, b)
 
 
+def jaro_winkler_bound(a: Column, b: Column, scale: float = 0.1, max_prefix: int = 4) -> Column:
+    """No less than Jaro-Winkler, natively: every letter that the strings share counts as a match in place."""
+    count = lambda s, c: F.length(s) - F.length(F.replace(s, c, F.lit("")))
+    common = F.aggregate(F.array_distinct(F.split(a, "")), F.lit(0), lambda t, c: t + F.when(c == "", F.lit(0)).otherwise(F.least(count(a, c), count(b, c))))
+    prefix = F.lit(0)
+    for k in range(max_prefix, 0, -1):
+        prefix = F.when((prefix == 0) & (F.length(a) >= k) & (F.left(a, F.lit(k)) == F.left(b, F.lit(k))), F.lit(k)).otherwise(prefix)
+    jaro = let(common, lambda m: F.when(m == 0, F.lit(0.0)).otherwise((m / F.length(a) + m / F.length(b) + 1.0) / 3.0))
+    bound = let(jaro, lambda j: j + prefix * scale * (1.0 - j))
+    return F.when(a == b, F.lit(1.0)).otherwise(bound)
+
+
 def edit_cost_of(a: str, b: str, insert: float = 1.0, delete: float = 1.0, substitute: float = 1.0, swap: float | None = None) -> float:
     """Least cost of turning a into b; swap exchanges neighbours, if it has a cost."""
     before2: list[float] = []

@@ -23,7 +23,7 @@ def query_word_idf(index: TokenIndex, queries: Queries, unseen: str = "average")
     known = index.stats.select(F.col("token").alias("word"), weights.idf(index.n(), F.col("df")).alias("w"))
     rest = index.meta.mean_idf if unseen == "average" else 0.0
     asked = _words(queries, index.spec.case)
-    few = known.join(broadcast_up_to(asked.select("word").distinct(), queries.rows), "word", "left_semi")
+    few = known.join(broadcast_up_to(asked.select("word").distinct(), queries.tokens), "word", "left_semi")
     return asked.join(few, "word", "left").withColumn("w", F.coalesce("w", F.lit(rest)))
 
 
@@ -56,8 +56,9 @@ def score_ges(index: TokenIndex, queries, c_ins: float = 0.5, unseen: str = "ave
     return both.select("qid", "tid", f(F.col("qwords"), F.col("dwords"), c_ins).alias("score"))
 
 
-def word_pairs(index: TokenIndex, asked: DataFrame, rows: int | None, sim: str, q: int = 2, hashes: int = 5, seed: int = 42, grams: str = "set") -> DataFrame:
-    """qword, word, sim of the query's words and the vocabulary, for pairs that share a gram or a hash."""
+def word_pairs(index: TokenIndex, asked: DataFrame, rows: int | None, sim: str, q: int = 2, hashes: int = 5, seed: int = 42, grams: str = "set", above: float | None = None) -> DataFrame:
+    """qword, word, sim of the query's words and the vocabulary, for pairs that share a gram or a hash; for edit and
+    Jaro-Winkler all pairs, or those that can be above `above`, by native bounds of length and letters."""
     vocabulary = index.stats.select(F.col("token").alias("word"))
     mine = asked.select(F.col("word").alias("qword")).distinct()
     if sim in ("jaccard", "intersect"):
@@ -79,6 +80,11 @@ def word_pairs(index: TokenIndex, asked: DataFrame, rows: int | None, sim: str,
         met = signed(vocabulary, "word").join(broadcast_up_to(signed(mine, "qword"), rows), ["fid", "value"])
         return met.groupBy("qword", "word").agg((F.count(F.lit(1)) / F.lit(float(hashes))).alias("sim"))
     pairs = vocabulary.crossJoin(broadcast_up_to(mine, rows))
+    if above is not None and sim == "jaro_winkler":
+        pairs = pairs.where(strsim.jaro_winkler_bound(F.col("qword"), F.col("word")) > above - 1e-9)
+    if above is not None and sim == "edit":
+        longer = F.greatest(F.length("qword"), F.length("word"))
+        pairs = pairs.where(F.abs(F.length("qword") - F.length("word")) <= longer * (1.0 - above) + 1e-9)
     f = {"edit": strsim.edit_similarity, "jaro_winkler": strsim.jaro_winkler, "jaro": strsim.jaro}[sim]
     return pairs.select("qword", "word", f(F.col("qword"), F.col("word")).alias("sim"))
 
@@ -93,10 +99,10 @@ def score_ges_bound(index: TokenIndex, queries, sim: str = "jaccard", q: int = 2
     qs = Queries.of(index.rows.sparkSession, queries)
     asked = query_word_idf(index, qs, unseen)
     total = asked.groupBy("qid").agg(F.sum("w").alias("total"))
-    sims = word_pairs(index, asked, qs.rows, sim, q, hashes, seed, grams)
+    sims = word_pairs(index, asked, qs.tokens, sim, q, hashes, seed, grams)
     held = index.postings.select("tid", F.col("token").alias("word"))
     weighed = asked.join(total, "qid").select("qid", "pos", F.col("word").alias("qword"), (F.col("w") / F.nullif("total", F.lit(0.0))).alias("share"))
-    reach = sims.join(broadcast_up_to(weighed, qs.rows), "qword")
+    reach = sims.join(broadcast_up_to(weighed, qs.tokens), "qword")
     best = held.join(reach, "word").groupBy("qid", "tid", "pos").agg(F.max("sim").alias("sim"), F.max("share").alias("share"))
     scored = best.groupBy("qid", "tid").agg((F.sum(F.col("share") * F.col("sim")) * (2.0 / q) + (1.0 - 1.0 / q)).alias("score"))
     if candidates == "matching":
@@ -123,8 +129,8 @@ def score_soft_tfidf(index: TokenIndex, queries, word_sim: str = "jaro_winkler",
     asked = query_word_idf(index, qs, unseen).groupBy("qid", "word").agg((F.count(F.lit(1)) * F.max("w")).alias("w"))
     norm = F.sqrt(F.sum(F.col("w") * F.col("w")).over(Window.partitionBy("qid")))
     asked = asked.withColumn("wq", F.coalesce(F.col("w") / F.nullif(norm, F.lit(0.0)), F.lit(0.0)))
-    sims = word_pairs(index, asked, qs.rows, word_sim, **options).where(F.col("sim") > theta)
-    reach = sims.join(broadcast_up_to(asked.select("qid", F.col("word").alias("qword"), "wq"), qs.rows), "qword")
+    sims = word_pairs(index, asked, qs.tokens, word_sim, above=theta, **options).where(F.col("sim") > theta)
+    reach = sims.join(broadcast_up_to(asked.select("qid", F.col("word").alias("qword"), "wq"), qs.tokens), "qword")
     idf = weights.idf(index.n(), F.col("df"))
     own = index.with_stats().select("tid", F.col("token").alias("word"), (F.col("tf") * idf).alias("wd"))
     norms = own.groupBy("tid").agg(F.sqrt(F.sum(F.col("wd") * F.col("wd"))).alias("norm"))

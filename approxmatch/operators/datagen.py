@@ -19,6 +19,10 @@ from ..functions.text import let
 FORMS = (("Inc.", "Incorporated"), ("Corp.", "Corporation"), ("Ltd.", "Limited"), ("Co.", "Company"))
 
 
+#: Tids of a cluster: its copies are fewer.
+COPIES = 1 << 20
+
+
 @dataclass(frozen=True)
 class ErrorSpec:
     """Shares between 0 and 1: of duplicates that are erroneous, of characters hit in one, of neighbouring word pairs
@@ -53,6 +57,15 @@ def uniform(seed: int, *parts: Column | str) -> Column:
     return F.conv(F.substring(F.md5(key.cast("binary")), 1, 8), 16, 10).cast("double") / float(1 << 32)
 
 
+def numbered(rows: DataFrame, block: int = 16) -> DataFrame:
+    """rows with `place`, from 1, in the order of tid: counted within blocks of 2 ** block tids and over the blocks."""
+    rows = rows.withColumn("block", F.shiftright("tid", block))
+    blocks = rows.groupBy("block").agg(F.count(F.lit(1)).alias("n"))
+    blocks = blocks.select("block", (F.sum("n").over(Window.orderBy("block")) - F.col("n")).alias("before"))
+    own = F.row_number().over(Window.partitionBy("block").orderBy("tid"))
+    return rows.withColumn("own", own).join(blocks, "block").withColumn("place", (F.col("own") + F.col("before")).cast("int")).drop("own", "block", "before")
+
+
 def _copies(spec: ErrorSpec, place: Column, u: Column) -> Column:
     """Duplicates of the place-th clean tuple, besides itself."""
     mean = max(spec.size / max(spec.clean, 1) - 1, 0)
@@ -60,7 +73,7 @@ def _copies(spec: ErrorSpec, place: Column, u: Column) -> Column:
         low = math.floor(mean)
         return F.lit(low) + (u < mean - low).cast("int")
     if spec.duplicates == "zipf":
-        total = sum(1 / i for i in range(1, spec.clean + 1))
+        total = math.log(spec.clean) + 0.5772156649015329 + 0.5 / spec.clean if spec.clean > 1_000_000 else sum(1 / i for i in range(1, spec.clean + 1))
         return F.round(F.lit(mean * spec.clean / total) / place).cast("int")
     if spec.duplicates == "poisson":
         out, p, below = F.lit(0), math.exp(-mean), 0.0
@@ -124,10 +137,9 @@ def edit_characters(s: Column, extent: float, seed: int, *key: Column) -> Column
 
 
 def generate_dirty(clean: DataFrame, spec: ErrorSpec, seed: int = 42) -> DataFrame:
-    """tid, cluster_id, s, is_clean, is_erroneous from clean (tid, s): its first spec.clean tuples by tid, each with
-    its duplicates. tid counts through the set by cluster and copy."""
-    first = clean.orderBy("tid").limit(spec.clean).withColumn("place", F.row_number().over(Window.orderBy("tid")))
-    first = first.select(F.col("tid").alias("cluster_id"), "s", "place")
+    """tid, cluster_id, s, is_clean, is_erroneous from clean (tid, s): its first spec.clean tuples by tid (all, if they
+    aren't more), each with its duplicates. tid is cluster_id * COPIES + copy."""
+    first = numbered(clean.orderBy("tid").limit(spec.clean)).select(F.col("tid").alias("cluster_id"), "s", "place")
     n = _copies(spec, F.col("place"), uniform(seed, F.col("cluster_id"), "count"))
     rows = first.withColumn("copy", F.explode(F.sequence(F.lit(0), n)))
     key = (F.col("cluster_id"), F.col("copy"))
@@ -138,8 +150,7 @@ def generate_dirty(clean: DataFrame, spec: ErrorSpec, seed: int = 42) -> DataFra
     rows = rows.withColumn("s1", F.when(F.col("is_erroneous"), form).otherwise(F.col("s")))
     rows = rows.withColumn("s2", F.when(F.col("is_erroneous"), swap_words(F.col("s1"), spec.swap, seed, *key)).otherwise(F.col("s1")))
     rows = rows.withColumn("s3", F.when(F.col("is_erroneous"), edit_characters(F.col("s2"), spec.extent, seed, *key)).otherwise(F.col("s2")))
-    tid = F.row_number().over(Window.orderBy("cluster_id", "copy")).cast("long")  # the set has spec.size rows
-    return rows.select(tid.alias("tid"), "cluster_id", F.col("s3").alias("s"), "is_clean", "is_erroneous")
+    return rows.select((F.col("cluster_id") * COPIES + F.col("copy")).alias("tid"), "cluster_id", F.col("s3").alias("s"), "is_clean", "is_erroneous")
 
 
 def truth(dirty: DataFrame, queries: DataFrame) -> DataFrame:

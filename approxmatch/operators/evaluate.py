@@ -59,6 +59,25 @@ def mean_max_f1(ranked: DataFrame, truth: DataFrame, queries: DataFrame) -> Data
     return max_f1(ranked, truth, queries).agg(F.avg("f1").alias("mean_max_f1"))
 
 
+def measures(scores: DataFrame, labels: list[str], truth: DataFrame, queries: DataFrame, digits: int = 9) -> DataFrame:
+    """label, map, mean_max_f1 of the score columns `labels` of scores (qid, tid). Both measures only need the ranks of
+    relevant tuples: F1 falls with every other tuple. So pairs below a query's worst relevant one aren't ranked."""
+    relevant = truth.select("qid", "tid").distinct()
+    of = relevant.groupBy("qid").agg(F.count(F.lit(1)).alias("relevant"))
+    names = [f"v{i}" for i in range(len(labels))]
+    scores = scores.select("qid", "tid", *(F.round(F.col(f"`{x}`"), digits).alias(v) for x, v in zip(labels, names, strict=True)))
+    floors = scores.join(relevant, ["qid", "tid"]).groupBy("qid").agg(*(F.min(v).alias(f"floor_{v}") for v in names))
+    high = (F.when(F.col(v) >= F.col(f"floor_{v}"), F.struct(F.lit(x).alias("label"), F.col(v).alias("score"))) for x, v in zip(labels, names, strict=True))
+    above = scores.join(floors, "qid").join(relevant.withColumn("rel", F.lit(1)), ["qid", "tid"], "left")
+    above = above.select("qid", "tid", "rel", F.explode(F.array_compact(F.array(*high))).alias("x")).select("qid", "tid", "rel", "x.*")
+    order = Window.partitionBy("label", "qid").orderBy(F.desc("score"), "tid")
+    ranked = above.withColumn("rank", F.row_number().over(order)).where("rel = 1").withColumn("hits", F.row_number().over(order).cast("double")).join(of, "qid")
+    p, r = F.col("hits") / F.col("rank"), F.col("hits") / F.col("relevant")
+    per = ranked.groupBy("qid", "label").agg((F.sum(p) / F.max("relevant")).alias("ap"), F.max(p * r * 2.0 / (p + r)).alias("f1"))
+    every = queries.select("qid").distinct().select("qid", F.explode(F.array(*map(F.lit, labels))).alias("label"))
+    return every.join(per, ["qid", "label"], "left").groupBy("label").agg(F.round(F.avg(F.coalesce("ap", F.lit(0.0))), 6).alias("map"), F.round(F.avg(F.coalesce("f1", F.lit(0.0))), 6).alias("mean_max_f1"))
+
+
 @F.pandas_udf(DoubleType())
 def average_precision_udf(rel: pd.Series, rank: pd.Series) -> float:
     """Grouped-aggregate twin of average_precision, over returned tuples only."""

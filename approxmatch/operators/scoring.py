@@ -12,6 +12,7 @@ candidates="all" also returns the tuples that share no token, with the score tha
 from __future__ import annotations
 
 from collections.abc import Callable
+from dataclasses import dataclass, field
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -224,6 +225,77 @@ def score_hmm(index: TokenIndex, queries, a0: float = 0.2, form: str = "ratio",
     return _finish(index, q, s.withColumn("score", final(score)), candidates, final(other), None, per)
 
 
+# ---- several predicates in one pass ---------------------------------------------------------------------------
+
+
+@dataclass(frozen=True)
+class Shape:
+    """A predicate as sums over shared tokens, sums over a tuple's tokens, sums over a query's tokens (whose statistics
+    may be null), and the score of these by name."""
+
+    score: Callable[[Callable[[str], Column]], Column]
+    shared: dict[str, Term] = field(default_factory=dict)
+    own: dict[str, Column] = field(default_factory=dict)
+    asked: dict[str, Column] = field(default_factory=dict)
+
+
+def _ratio(top: Column, bottom: Column) -> Column:
+    return F.when(bottom != 0, top / F.nullif(bottom, F.lit(0.0))).otherwise(F.lit(0.0))
+
+
+def shape(index: TokenIndex, predicate: str, **params) -> Shape:
+    """The token predicates, logarithms for language models and HMM, with the defaults of the score_* functions."""
+    n, df = index.n(), F.col("df")
+    if predicate == "xect":
+        return Shape(lambda c: F.col("n_shared").cast("double"))
+    if predicate == "jaccard":
+        return Shape(lambda c: F.col("n_shared").cast("double") / (F.col("len") + F.col("qlen") - F.col("n_shared")))
+    if predicate in ("wm", "wj"):
+        kind = params.get("weights", "rs")
+        w = _weight(index, kind, params.get("floor"))
+        shared = {"w": lambda x: w(x["df"])}
+        if predicate == "wm":
+            return Shape(lambda c: c("w"), shared)
+        new = w(F.lit(0)) if kind == "rs" else F.lit(index.meta.mean_idf)
+        asked = {"qw": F.sum(F.when(df.isNull(), new).otherwise(w(df)))}
+        return Shape(lambda c: _ratio(c("w"), c("wlen") + c("qw") - c("w")), shared, {"wlen": w(df)}, asked)
+    if predicate == "cosine":
+        idf = weights.idf(n, df)
+        norm = F.sqrt(F.sum(F.pow(F.col("qtf") * F.coalesce(idf, F.lit(0.0)), 2.0)))
+        return Shape(lambda c: _ratio(c("w"), F.sqrt(c("norm2")) * c("qnorm")), {"w": lambda x: x["qtf"] * x["tf"] * F.pow(weights.idf(n, x["df"]), 2.0)}, {"norm2": F.pow(F.col("tf") * idf, 2.0)}, {"qnorm": norm})
+    if predicate == "bm25":
+        k1, k3, b, avgdl = params.get("k1", 1.5), params.get("k3", 8.0), params.get("b", 0.675), F.lit(index.meta.avgdl)
+        return Shape(lambda c: c("w"), {"w": lambda x: weights.bm25_doc_weight(weights.rs_weight(n, x["df"]), x["tf"], x["dl"], avgdl, k1, b) * weights.bm25_query_weight(x["qtf"], k3)})
+    if predicate == "lm":
+        p = weights.lm_prob(F.col("tf"), F.col("dl"), F.col("sum_pml"), df)
+
+        def term(x: dict[str, Column]) -> Column:
+            p = weights.lm_prob(x["tf"], x["dl"], x["sum_pml"], x["df"])
+            return F.log(p) - F.log1p(-p) - F.log(weights.background(x["cf"], index.cs()))
+
+        return Shape(lambda c: c("w") + c("comp"), {"w": term}, {"comp": F.log1p(-p)})
+    if predicate == "hmm":
+        a0 = params.get("a0", 0.2)
+        return Shape(lambda c: c("w"), {"w": lambda x: F.log(weights.hmm_weight(x["tf"], x["dl"], x["cf"], index.cs(), a0))})
+    raise ValueError(f"{predicate!r} isn't a token predicate")
+
+
+def score_many(index: TokenIndex, queries, named: dict[str, tuple[str, dict]], layout: str = "posting") -> DataFrame:
+    """qid, tid and one score a label, of several token predicates (label: predicate, parameters): one join, one
+    aggregation, whatever their number."""
+    q, terms = _prepared(index, queries)
+    shapes = {f"s{i}": shape(index, predicate, **params) for i, (predicate, params) in enumerate(named.values())}
+    pick = lambda part: {f"{s}_{name}": f for s, x in shapes.items() for name, f in getattr(x, part).items()}
+    asked, own = pick("asked"), pick("own")
+    if asked:
+        terms = terms.join(terms.groupBy("qid").agg(*(f.alias(name) for name, f in asked.items())), "qid")
+    out = _sums(index, terms, q, pick("shared"), layout, keep=("qlen", *asked))
+    if own:
+        out = out.join(index.tuple_sums(**own), "tid")
+    scores = (x.score(lambda name, s=s: F.col(f"{s}_{name}")).alias(label) for (s, x), label in zip(shapes.items(), named, strict=True))
+    return out.select("qid", "tid", *scores)
+
+
 # ---- pruning by weight ----------------------------------------------------------------------------------------
 
 

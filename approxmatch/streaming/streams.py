@@ -14,6 +14,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
+from ..functions import minhash, text
 from ..operators import ranking
 from ..operators.index import Queries, TokenIndex
 from ..operators.storage import shared_dir
@@ -26,13 +27,13 @@ def read_files(spark: SparkSession, path: str, schema, fmt: str = "parquet", fil
     return reader.load(path)
 
 
-def _folder(spark: SparkSession) -> str:
+def folder(spark: SparkSession) -> str:
     return f"{shared_dir(spark)}/streams/{uuid.uuid4().hex}"
 
 
 def available(stream: DataFrame, mode: str = "append") -> DataFrame:
     """The result of a stream over all that is there, as Parquet in the shared folder (its own table otherwise)."""
-    spark, at = stream.sparkSession, _folder(stream.sparkSession)
+    spark, at = stream.sparkSession, folder(stream.sparkSession)
     if mode == "append":
         stream.writeStream.format("parquet").option("checkpointLocation", f"{at}/log").outputMode("append").trigger(availableNow=True).start(f"{at}/rows").awaitTermination()
     else:
@@ -46,7 +47,7 @@ def available(stream: DataFrame, mode: str = "append") -> DataFrame:
 
 def select_stream(index: TokenIndex, arriving: DataFrame, predicate: str = "bm25", threshold: float | None = None, k: int | None = None, **params) -> DataFrame:
     """Arriving (qid, s) against a fixed index: each micro-batch is a set of queries. The index is static."""
-    at = _folder(arriving.sparkSession)
+    at = folder(arriving.sparkSession)
 
     def put(batch: DataFrame, number: int) -> None:
         ranking.approx_select(index, Queries(batch), predicate, threshold, k, **params).write.mode("overwrite").parquet(f"{at}/rows/batch={number}")
@@ -66,10 +67,25 @@ def append_stream(index: TokenIndex, arriving: DataFrame, path: str) -> TokenInd
         last[0] = number + 1
 
     last = [0]
-    arriving.writeStream.foreachBatch(put).option("checkpointLocation", f"{_folder(arriving.sparkSession)}/log").trigger(availableNow=True).start().awaitTermination()
+    arriving.writeStream.foreachBatch(put).option("checkpointLocation", f"{folder(arriving.sparkSession)}/log").trigger(availableNow=True).start().awaitTermination()
     return TokenIndex.load(arriving.sparkSession, f"{path}/{last[0]}")
 
 
+def in_order(rows: DataFrame, parts: list) -> DataFrame:
+    """A stream that gets the rows of each condition as a batch of its own, one after the other."""
+    at = f"{folder(rows.sparkSession)}/parts"
+    for part in parts:
+        rows.where(part).coalesce(1).write.mode("append").parquet(at)
+    return read_files(rows.sparkSession, at, rows.schema, files_a_trigger=1)
+
+
+def minhash_bands(rows: DataFrame, hashes: int = 8, rows_a_band: int = 2, q: int = 2) -> DataFrame:
+    """band, tid, ts of (tid, s, ts): min-hash values of the grams, rows_a_band at a time."""
+    signature = minhash.minhash_signature(F.array_distinct(text.qgrams(F.col("s"), q)), hashes)
+    bands = F.array(*(F.concat_ws("|", F.lit(str(i)), *(F.col("signature")[i + k].cast("string") for k in range(rows_a_band))) for i in range(0, hashes, rows_a_band)))
+    return rows.withColumn("signature", signature).where("signature is not null").select(F.explode(bands).alias("band"), "tid", "ts")
+
+
 def tumbling(events: DataFrame, width: str = "1 hour", late: str = "0 seconds") -> DataFrame:
     w = events.withWatermark("ts", late).groupBy(F.window("ts", width), "event_type").agg(F.count(F.lit(1)).alias("n"), F.sum("value").alias("total"))
     return w.select(F.col("window.start").alias("start"), "event_type", "n", "total")
@@ -96,16 +112,19 @@ def interval_join(left: DataFrame, right: DataFrame, within: str = "1 hour", lat
     return a.join(b, F.expr(f"user_a = user_b AND ts_b > ts_a AND ts_b <= ts_a + INTERVAL {within}"))
 
 
-def near_duplicates(arriving: DataFrame, bands: Callable[[DataFrame], DataFrame], ttl_ms: int = 3_600_000) -> DataFrame:
+def near_duplicates(arriving: DataFrame, bands: Callable[[DataFrame], DataFrame], ttl_ms: int = 3_600_000, late: str = "0 seconds") -> DataFrame:
     """Stateful near-duplicate marks: `bands` turns arriving (tid, s, ts) into (band, tid, ts); a tuple whose band was
-    met before, within the time to live, gets the band's first tid. State is one number per live band."""
+    met before, within the time to live after its last tuple, gets the band's first tid. State is one number per live
+    band; it goes when the watermark passes its time (a timeout by the clock would never let a bounded run end)."""
 
     def run(key: tuple, frames: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
         if state.hasTimedOut:
             state.remove()
             return
         first = state.get[0] if state.exists else None
+        last = 0
         for f in frames:
+            last = max([last, *(int(x.timestamp() * 1000) for x in f["ts"])])
             f = f.sort_values(["ts", "tid"])
             if first is None and len(f):
                 first = int(f["tid"].iloc[0])
@@ -114,6 +133,6 @@ def near_duplicates(arriving: DataFrame, bands: Callable[[DataFrame], DataFrame]
                 yield pd.DataFrame({"tid": again["tid"].to_numpy(), "first": first})
         if first is not None:
             state.update((first,))
-            state.setTimeoutDuration(ttl_ms)
+            state.setTimeoutTimestamp(max(last + ttl_ms, state.getCurrentWatermarkMs() + 1))
 
-    return bands(arriving).groupBy("band").applyInPandasWithState(run, "tid long, first long", "first long", "append", GroupStateTimeout.ProcessingTimeTimeout)
+    return bands(arriving).withWatermark("ts", late).groupBy("band").applyInPandasWithState(run, "tid long, first long", "first long", "append", GroupStateTimeout.EventTimeTimeout)

@@ -7,16 +7,12 @@ def test_registered_workloads_are_whole(spark, monkeypatch):
     """Sets, predicates and queries of the registered calls, and the class means, without running a predicate."""
     calls = []
 
-    class Data(str):
-        def unpersist(self):
-            pass
-
     def accuracy(data, name, predicates, asked=experiments.ASKED, **options):
         calls.append((name, tuple(predicates), asked))
         place = int(data[2:]) if data.startswith("CU") else 0
-        return spark.createDataFrame([(name, p, place / 10, place / 20) for p in predicates], "set string, predicate string, map double, mean_max_f1 double")
+        return [(name, p, place / 10, place / 20) for p in predicates]
 
-    monkeypatch.setattr(experiments, "dirty", lambda spark, sf, preset, **options: Data(preset))
+    monkeypatch.setattr(experiments, "dirty", lambda spark, sf, preset, *shape, **options: preset)
     monkeypatch.setattr(experiments, "accuracy", accuracy)
     cu = [f"CU{i}" for i in range(1, 9)]
     every = {"xect", "jaccard", "wm_rs", "wj_rs", "cosine", "bm25", "lm", "hmm", "edit", "ges", "soft_tfidf_jw"}
@@ -24,7 +20,38 @@ def test_registered_workloads_are_whole(spark, monkeypatch):
     assert [c[0] for c in calls] == cu and all(set(c[1]) == every and c[2] == 500 for c in calls)
     assert {s for s, _ in got} == {*cu, "class dirty", "class medium", "class low"} and len(got) == 11 * len(every)
     assert (got["class dirty", "ges"], got["class medium", "ges"], got["class low", "ges"]) == (0.15, 0.45, 0.75)
-    for name, sets, predicates in (("exp_q_size", 4, 4), ("exp_weights", 13, 4), ("exp_edit_extent", 3, 11), ("exp_soft_inner", 1, 12), ("exp_hmm_a0", 1, 7)):
+    for name, sets, predicates in (("exp_q_size", 4, 4), ("exp_weights", 13, 4), ("exp_edit_extent", 3, 11), ("exp_soft_inner", 1, 12), ("exp_hmm_a0", 1, 7), ("exp_distributions", 6, 8), ("exp_error_rate", 9, 8)):
         calls.clear()
         experiments.QUERIES[name](spark, "")
         assert len(calls) == sets and all(len(c[1]) == predicates and c[2] == 500 for c in calls)
+
+
+def test_measures_equal_whole_rankings(spark, sf):
+    """MAP and mean maximal F1 from the ranks of relevant tuples alone, of predicates scored in one pass, are those of
+    whole rankings of each predicate; and the orders that hold on data with few errors are found."""
+    from approxmatch.operators import datagen, evaluate, ranking
+    from approxmatch.operators.index import Queries, TokenIndex, sample_queries
+
+    data = experiments.dirty(spark, sf, "CU5", 300, 30)
+    rel = data.select("tid", "s")
+    got = {r[1]: r[2:] for r in experiments.accuracy(data, "CU5", experiments.GRAM | {"edit": ("edit", {})}, 40)}
+    queries = sample_queries(rel, 40)
+    truth, index = datagen.truth(data, queries), TokenIndex.build(rel)
+    for label in ("jaccard", "bm25", "lm", "edit"):
+        predicate, params = (experiments.GRAM | {"edit": ("edit", {})})[label]
+        ranked = ranking.rank_all(ranking.score(index, Queries(queries, 40), predicate, **params, **({"log": True} if label == "lm" else {})))
+        assert abs(got[label][0] - evaluate.mean_average_precision(ranked, truth, queries).first()[0]) < 1e-5
+        assert abs(got[label][1] - evaluate.mean_max_f1(ranked, truth, queries).first()[0]) < 1e-5
+    assert got["bm25"][0] > got["xect"][0] and got["bm25"][0] > got["edit"][0] and got["wm_rs"][0] > got["xect"][0]
+
+
+def test_jaro_winkler_bound(spark):
+    from pyspark.sql import functions as F
+
+    from approxmatch.functions import strsim
+
+    words = ["", "a", "martha", "marhta", "dixon", "dicksonx", "abcd", "abce", "zz", "aaaa", "aab", "é", "éa"]
+    pairs = spark.createDataFrame([(x, y) for x in words for y in words], "a string, b string")
+    rows = pairs.select("a", "b", strsim.jaro_winkler_bound(F.col("a"), F.col("b")).alias("bound")).collect()
+    assert all(r.bound >= strsim.jaro_winkler_of(r.a, r.b) - 1e-12 for r in rows)
+    assert sum(r.bound < 0.8 for r in rows) > len(rows) // 3
