@@ -172,3 +172,20 @@ def test_clusters(spark):
     index = TokenIndex.build(spark.createDataFrame([*B, (20, "acme gear inc")], "tid long, s string"))
     got = {r.tid: r.cluster for r in ranking.dedup(index, "jaccard", 0.7).collect()}
     assert got[20] == got[2] == got[3] == got[5] == 2 and got[6] == 6
+
+
+def test_clusters_of_sets(spark):
+    """Strings without words stay apart; equal sets of words are one; long sets link by brute force, whatever the order."""
+    words = [f"w{i}" for i in range(90)]
+    rows = [(1, ""), (2, "  "), (3, ""), (4, None), (5, "b a a"), (6, "a  b"), (7, "b c"), (8, "x"), (9, "x\u0001y")]
+    rows += [(100 + i, " ".join(words[i : i + 40 + i % 7])) for i in range(0, 45, 3)]
+    index = TokenIndex.build(spark.createDataFrame(rows, "tid long, s string"), TokenSpec("word"), strings=False)
+    got = {r.tid: r.cluster for r in ranking.dedup(index, "jaccard", 0.7).collect()}
+    sets = {t: set((s or "").split()) for t, s in rows}
+    want = {t: t for t in sets}
+    for _ in sets:
+        for a in sets:
+            for b in sets:
+                if sets[a] and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.7:
+                    want[a] = min(want[a], want[b])
+    assert got == want and len(set(want.values())) > 8
