@@ -63,3 +63,20 @@ def test_histogram_counts_everything(spark, sf):
     h = evaluate.idf_histogram(index, 5, 0.3).collect()
     assert sum(r.tokens for r in h) == index.meta.vocabulary
     assert sum(r.postings for r in h) == index.postings.count()
+
+
+def test_classes_as_truth(spark):
+    """Classes give what their listed pairs give; the function's mean counts the relevant tuples beyond the cut."""
+    from approxmatch import catalog
+
+    marks = spark.createDataFrame([(i, "ab"[i % 2]) for i in range(10)], "tid long, class string")
+    classes = evaluate.Classes(marks.withColumnRenamed("tid", "qid"), marks)
+    pairs = classes.queries.join(marks, "class").select("qid", "tid")
+    ranked = spark.createDataFrame([(i, (i + k) % 10, k + 1) for i in range(10) for k in range(3)], "qid long, tid long, rank int")
+    asked = marks.select(marks.tid.alias("qid"))
+    ap = lambda t: {r.qid: round(r.ap, 9) for r in evaluate.average_precision(ranked, t, asked).collect()}
+    assert ap(classes) == ap(pairs) == dict.fromkeys(range(10), round((1 + 2 / 3) / 5, 9))
+    assert {r.qid: r.ap for r in catalog._ap_by_udf(ranked, classes, asked).collect()} == dict.fromkeys(range(10), 0.333333)
+    copies = spark.createDataFrame([(0, 3), (1, 1)], "qid long, copies long")
+    half = ranked.where("qid <> 1")
+    assert evaluate.mean_average_precision(half, classes, copies.select("qid"), copies).first()[0] == pytest.approx(0.25)

@@ -4,7 +4,7 @@ import pytest
 from reference_impl import Reference, grams
 
 from approxmatch.operators import combo, edit, ranking, scoring
-from approxmatch.operators.index import TokenIndex, TokenSpec
+from approxmatch.operators.index import Queries, TokenIndex, TokenSpec
 
 A = [(1, "acme gear incorporated"), (2, "acme gear inc"), (3, "gear acme inc"), (4, "zenith labs inc"), (5, "acme geer inc")]
 B = [*A, (6, "orbit foods llc"), (7, "delta pumps ltd"), (8, "omega tools llp"), (9, "solid bolts ltd"), (10, "quick yolk plus"), (11, "tulip fish shop"), (12, "wild hobby kits")]
@@ -189,3 +189,17 @@ def test_clusters_of_sets(spark):
                 if sets[a] and len(sets[a] & sets[b]) / len(sets[a] | sets[b]) >= 0.7:
                     want[a] = min(want[a], want[b])
     assert got == want and len(set(want.values())) > 8
+
+
+def test_top_k_of_copies(spark):
+    """Equal strings are scored once, and the ranks are those of all rows: ties by tid, over the copies of several strings."""
+    rows = [(i, B[i % 7][1]) for i in range(40)] + [(50, ""), (51, None)]
+    index = TokenIndex.build(spark.createDataFrame(rows, "tid long, s string"))
+    asked = spark.createDataFrame([(100 + i, B[i % 5][1]) for i in range(15)] + [(200, Q), (201, None)], "qid long, s string")
+    want = ranking.top_k(scoring.score_bm25(index, Queries(asked)), 8)
+    for layout in ("query", "posting"):
+        members, best = ranking.top_k_copies(index, asked, 8, layout=layout)
+        assert members.select("head").distinct().count() == 6
+        got = best.withColumnRenamed("qid", "head").join(members, "head")
+        key = lambda df: sorted((r.qid, r.rank, r.tid, round(r.score, 9)) for r in df.collect())
+        assert key(got) == key(want) and got.count() == 16 * 8
