@@ -203,3 +203,5 @@ def test_top_k_of_copies(spark):
         got = best.withColumnRenamed("qid", "head").join(members, "head")
         key = lambda df: sorted((r.qid, r.rank, r.tid, round(r.score, 9)) for r in df.collect())
         assert key(got) == key(want) and got.count() == 16 * 8
+    joined = ranking.approx_join(index, asked, "bm25", k=3)
+    assert sorted((r.qid, r.tid) for r in joined.collect()) == sorted((r.qid, r.tid) for r in want.where("rank <= 3").collect())
