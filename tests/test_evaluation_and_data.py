@@ -80,3 +80,17 @@ def test_classes_as_truth(spark):
     copies = spark.createDataFrame([(0, 3), (1, 1)], "qid long, copies long")
     half = ranked.where("qid <> 1")
     assert evaluate.mean_average_precision(half, classes, copies.select("qid"), copies).first()[0] == pytest.approx(0.25)
+
+
+def test_near_duplicates_of_a_large_group(spark):
+    """A band's rows that come in several frames have one first tuple, the earliest of all."""
+    from approxmatch.streaming import streams
+
+    rows = spark.createDataFrame([(t,) for t in (9, 7, 8, 3, 5, 1, 2)], "tid long").coalesce(1)
+    arriving = streams.in_order(rows.select("tid", F.lit("x").alias("band"), F.timestamp_seconds(F.lit(1_700_000_000)).alias("ts")), [F.lit(True)])
+    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "2")
+    try:
+        got = streams.available(streams.near_duplicates(arriving, lambda r: r.select("band", "tid", "ts"))).collect()
+    finally:
+        spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
+    assert sorted((r.tid, r["first"]) for r in got) == [(t, 1) for t in (2, 3, 5, 7, 8, 9)]
