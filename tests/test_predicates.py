@@ -205,3 +205,15 @@ def test_top_k_of_copies(spark):
         assert key(got) == key(want) and got.count() == 16 * 8
     joined = ranking.approx_join(index, asked, "bm25", k=3)
     assert sorted((r.qid, r.tid) for r in joined.collect()) == sorted((r.qid, r.tid) for r in want.where("rank <= 3").collect())
+
+
+def test_jaccard_join_of_copies(spark, monkeypatch):
+    """Copies on either side are matched once, and every pair of them is in the result."""
+    rows = [(i, B[i % 6][1]) for i in range(24)] + [(50, ""), (51, None)]
+    index = TokenIndex.build(spark.createDataFrame(rows, "tid long, s string"))
+    asked = spark.createDataFrame([(100 + i, B[i % 4][1]) for i in range(12)] + [(200, ""), (201, None)], "qid long, s string")
+    key = lambda df: sorted((r.qid, r.tid, round(r.score, 9)) for r in df.collect())
+    want, plain, seen = key(ranking.jaccard_join(index, asked, 0.5)), ranking.jaccard_join, []
+    monkeypatch.setattr(ranking, "jaccard_join", lambda i, r, t: seen.append((i.rows.count(), r.where("s <> ''").count())) or plain(i, r, t))
+    assert key(ranking.approx_join(index, asked, "jaccard", 0.5)) == want and len(want) > 100
+    assert seen == [(5, 4)]  # two strings differ in the order of words only
