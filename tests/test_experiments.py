@@ -55,3 +55,42 @@ def test_jaro_winkler_bound(spark):
     rows = pairs.select("a", "b", strsim.jaro_winkler_bound(F.col("a"), F.col("b")).alias("bound")).collect()
     assert all(r.bound >= strsim.jaro_winkler_of(r.a, r.b) - 1e-12 for r in rows)
     assert sum(r.bound < 0.8 for r in rows) > len(rows) // 3
+
+
+def test_heavy_steps_are_spread(spark, sf):
+    """Few rows with much work each: generated strings, alignments and pairs of words stand in more than one task."""
+    from approxmatch.operators import combo
+    from approxmatch.operators.index import Queries, TokenIndex, TokenSpec, sample_queries
+
+    rel = experiments.dirty(spark, sf, "CU5", 300, 30).select("tid", "s")
+    assert rel.rdd.getNumPartitions() > 1
+    words = TokenIndex.build(rel, TokenSpec("word"))
+    queries = Queries(sample_queries(rel, 5), 5)
+    asked = combo.query_word_idf(words, queries)
+    found = combo.score_ges_bound(words, queries).where("score >= 0.8")
+    assert combo.score_ges(words, queries).rdd.getNumPartitions() > 1
+    assert combo.score_ges(words, queries, pairs=found).rdd.getNumPartitions() > 1
+    for sim in ("jaro_winkler", "edit"):
+        assert combo.word_pairs(words, asked, queries.tokens, sim, above=0.8).rdd.getNumPartitions() > 1
+
+
+def test_letter_mask_bound_loses_no_pair(spark):
+    """The bound by letter masks is never below Jaro-Winkler, and rules out most pairs of different words."""
+    from pyspark.sql import functions as F
+
+    from approxmatch.functions import strsim
+
+    words = ["", "a", "martha", "marhta", "dixon", "dicksonx", "abcd", "abce", "zz", "aaaa", "aab", "é", "éa", "Aa", "\U0001f600a", "x-1", "11", "mississippi", "misisipi"]
+    pairs = spark.createDataFrame([(x, y) for x in words for y in words], "a string, b string")
+    a, b = F.col("a"), F.col("b")
+    rows = pairs.select("a", "b", strsim.jaro_winkler_bound(a, b).alias("near"), strsim.jaro_winkler_mask_bound(a, b, strsim.letter_mask(a), strsim.letter_mask(b)).alias("bound")).collect()
+    assert all(r.bound >= strsim.jaro_winkler_of(r.a, r.b) - 1e-12 and r.bound >= r.near - 1e-12 for r in rows)
+    assert sum(r.bound < 0.8 for r in rows) > len(rows) // 3
+
+
+def test_scale_times_every_predicate_and_size(spark, sf):
+    """The whole table: each size and each predicate but edit similarity, timed after a run that isn't."""
+    rows = experiments.bench_scale(spark, sf, (60, 90), 5).collect()
+    names = {*experiments.GRAM, "ges_jaccard", "ges_minhash", "soft_tfidf_jw"}
+    assert [(r["size"], r["predicate"]) for r in rows] == [(s, p) for s in (60, 90) for p in experiments._timed_predicates(None, None) if p != "edit"]
+    assert {r["predicate"] for r in rows} == names and all(r["ms"] > 0 for r in rows)
