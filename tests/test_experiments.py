@@ -94,3 +94,23 @@ def test_scale_times_every_predicate_and_size(spark, sf):
     names = {*experiments.GRAM, "ges_jaccard", "ges_minhash", "soft_tfidf_jw"}
     assert [(r["size"], r["predicate"]) for r in rows] == [(s, p) for s in (60, 90) for p in experiments._timed_predicates(None, None) if p != "edit"]
     assert {r["predicate"] for r in rows} == names and all(r["ms"] > 0 for r in rows)
+
+
+def test_counted_ranks_are_those_of_sorting(spark, monkeypatch):
+    """Ties within the rounding, missing and infinite scores, unreturned relevant tuples: counted and sorted ranks agree,
+    and so do the measures where some queries are counted and others sorted. Counting sorts no pair."""
+    from approxmatch.operators import evaluate
+
+    inf, tiny = float("inf"), 1e-10
+    rows = [(q, t, (t * 7 % 11) / 4 + (t % 3) * tiny, None if t % 5 == 0 else float(t % 4), inf if t % 6 == 0 else -0.5) for q in (1, 2, 3) for t in range(40)]
+    scores = spark.createDataFrame(rows, "qid long, tid long, a double, `b c` double, d double")
+    truth = spark.createDataFrame([(1, 3), (1, 10), (1, 12), (1, 99), *((2, t) for t in range(0, 40, 3)), (4, 1)], "qid long, tid long")
+    queries = spark.createDataFrame([(q,) for q in (1, 2, 3, 4)], "qid long")
+    labels = ["a", "b c", "d"]
+    counted, ordered = (sorted(map(tuple, f(scores, labels, truth, 9).select("qid", "tid", "label", "rank").collect())) for f in (evaluate._counted_ranks, evaluate._sorted_ranks))
+    assert counted == ordered and len(counted) == 3 * 17 - 1 - 3
+    found = []
+    for most in (0, 5, 64):
+        monkeypatch.setattr(evaluate, "FEW_RELEVANT", most)
+        found.append(sorted(map(tuple, evaluate.measures(scores, labels, truth, queries).collect())))
+    assert found[0] == found[1] == found[2] and len(found[0]) == 3
