@@ -428,6 +428,41 @@ def test_bpe_equals_the_library(docs, rows, empty):
     assert byte_bpe.digests(empty, path, pattern).count() == 0
 
 
+def test_bpe_memory_is_bounded():
+    """Neither the strings of a text's pieces nor remembered ones grow with the text; long pieces aren't remembered."""
+    import tracemalloc
+
+    v = byte_bpe.Vocabulary({bytes([i]): i for i in range(256)} | {b"ab": 256}, r" ?[a-z]+")
+    e = byte_bpe.Encoder(v)
+    text = " ab c" * 800_000 + " " + "z" * 300
+    tracemalloc.start()
+    try:
+        ids = e.encode([text])[0]
+        held = tracemalloc.get_traced_memory()[1]
+        tracemalloc.reset_peak()
+        same = e.decode(ids).decode() == text
+        back = tracemalloc.get_traced_memory()[1] - tracemalloc.get_traced_memory()[0]
+    finally:
+        tracemalloc.stop()
+    assert same and len(ids) == 4 * (4 * 800_000 + 301)
+    assert held < 60_000_000 and back < 40_000_000
+    assert set(e.known) == {" ab", " c"}
+
+
+def test_bpe_remembers_pieces_in_use(monkeypatch):
+    """Forgetting changes no ids, and a piece that every chunk has is not encoded again."""
+    monkeypatch.setattr(byte_bpe, "REMEMBERED", 8)
+    v = byte_bpe.Vocabulary({bytes([i]): i for i in range(256)} | {b"ab": 256}, r" ?[a-z]+")
+    e, asked = byte_bpe.Encoder(v), Counter()
+    plain = byte_bpe.encode_pieces
+    monkeypatch.setattr(byte_bpe, "encode_pieces", lambda pieces, v: asked.update(pieces) or plain(pieces, v))
+    for i in range(20):
+        text = "abab " + " ".join(chr(97 + (i + k) % 26) * 3 for k in range(6))
+        assert e.decode(e.encode([text])[0]) == text.encode()
+        assert len(e.known) + len(e.older) <= 8 + 2 * 7
+    assert asked[b"abab"] == 1
+
+
 def test_a_piece_of_more_than_16_mib():
     """Only the last two bytes merge, at a position above 2 ** 24."""
     v = byte_bpe.Vocabulary({bytes([i]): i for i in range(256)} | {b"bc": 256}, r"[a-z]+")
