@@ -132,7 +132,7 @@ _powers: list[np.ndarray] = []
 
 def _power(n: int) -> tuple[np.ndarray, np.ndarray]:
     if not _powers or len(_powers[0]) < n:
-        size = 1 << max(21, (n - 1).bit_length())
+        size = 1 << max(16, (n - 1).bit_length())
         _powers[:] = [np.cumprod(np.concatenate([[U(1)], np.full(size - 1, b, U)]), dtype=U) for b in (_BASE, _BASE_INVERSE)]
     return _powers[0], _powers[1]
 

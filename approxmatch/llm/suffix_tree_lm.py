@@ -42,13 +42,14 @@ import pyarrow.compute as pc
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .shared import KeyTable, Tally, U, chunks, keep, lowered, mix, span_hashes, word_bytes, word_spans
+from .shared import KeyTable, Tally, U, chunks, keep, lowered, mix, span_hashes, string_parts, word_bytes, word_spans
 
 DEPTH = 6
 SHALLOW = 2
 LEAST = 4
 DIVERGENCE = 2.0
 CHUNK = 16_000_000
+SCAN = 500_000  # bytes whose windows a task holds at once, about 50 bytes of memory each
 PARTS = 512
 WORD_BITS = 8  # words are dealt by the highest bits of their hash
 SALTED = 256
@@ -67,6 +68,17 @@ def normal(data: np.ndarray) -> np.ndarray:
     return data
 
 
+def blocks(batch: pa.RecordBatch, held: bool | None = None) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
+    """(first row, end row, normal bytes, offsets) of the texts of batch (text, held), about SCAN bytes at once; where held
+    is given, the bytes of such rows only. The batch isn't copied as a whole."""
+    for start, end, data, at in chunks(batch["text"], SCAN):
+        if held is not None:
+            side = pc.equal(batch["held"].slice(start, end - start), held)
+            data, at = string_parts(batch["text"].slice(start, end - start).filter(side))
+        if len(at) > 1:
+            yield start, end, normal(data), at
+
+
 def byte_streams(data: np.ndarray, at: np.ndarray, depth: int = DEPTH) -> tuple[np.ndarray, np.ndarray]:
     """(stream, edges): for each row `depth` zeros, its words joined by single spaces, and a zero."""
     starts, ends, row = word_spans(data, at)
@@ -148,14 +160,13 @@ def gathered(docs: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         seen, words, ends, size = Tally(), Tally(), 0, 0
         for b in batches:
-            size += sum(len(data) for _, _, data, _ in chunks(b[0]))
-            for start, end, data, at in chunks(b[0].filter(pc.invert(b[1]))):
-                data = normal(data)
+            size += sum(len(data) for _, _, data, _ in chunks(b["text"]))
+            for _, _, data, at in blocks(b, False):
                 with np.errstate(over="ignore"):
                     seen.add(windows(*byte_streams(data, at, SHALLOW), SHALLOW)[0])
                     spans = word_spans(data, at)
                     words.add(span_hashes(data, *spans[:2]))
-                ends += end - start
+                ends += len(at) - 1
                 if len(words.keys) > _FLUSH:  # sums follow in any case: what a task holds stays bounded
                     yield from rows(1, *words.cleared())
         yield from rows(0, *seen.cleared())
@@ -248,12 +259,18 @@ def merged(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
 
 def chunk_windows(table: pa.Table) -> tuple[np.ndarray, np.ndarray]:
     """Different windows of a chunk's texts, sorted, and their counts in the training texts."""
-    seen = {False: Tally(), True: Tally()}
-    for held, tally in seen.items():
-        for _, _, data, at in chunks(table["text"].filter(pc.equal(table["held"], held))):
-            tally.add(windows(*byte_streams(normal(data), at))[0])
+    train, other = Tally(), Tally()
+    for held, tally in ((False, train), (True, other)):
+        for b in table.to_batches():
+            for _, _, data, at in blocks(b, held):
+                tally.add(windows(*byte_streams(data, at))[0])
         tally.settle()
-    return summed(np.concatenate([t.keys for t in seen.values()]), np.concatenate([seen[False].counts, seen[True].counts * 0]))
+    if not len(train.keys):
+        return other.keys, other.counts * 0
+    # Both are sorted: those that only held-out texts have are put between.
+    at = np.searchsorted(train.keys, other.keys)
+    new = train.keys[np.minimum(at, len(train.keys) - 1)] != other.keys
+    return np.insert(train.keys, at[new], other.keys[new]), np.insert(train.counts, at[new], 0)
 
 
 def in_parts(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -269,9 +286,9 @@ def in_parts(keys: np.ndarray, parts: int) -> tuple[np.ndarray, np.ndarray, np.n
 def chunk_words(table: pa.Table) -> np.ndarray:
     """Different words of a chunk's texts and the end, as sorted hashes."""
     seen = Tally()
-    for _, _, data, at in chunks(table["text"]):
-        data = normal(data)
-        seen.add(span_hashes(data, *word_spans(data, at)[:2]))
+    for b in table.to_batches():
+        for _, _, data, at in blocks(b):
+            seen.add(span_hashes(data, *word_spans(data, at)[:2]))
     seen.add(np.array([END], U))
     return seen.cleared()[0]
 
@@ -435,27 +452,26 @@ def scores(docs: DataFrame, least: int = LEAST, divergence: float = DIVERGENCE,
             with np.errstate(over="ignore"):
                 codes, _ = chunk_windows(texts)
                 order, part, _ = in_parts(codes, parts)
-                values = np.empty(len(codes))
+                values = np.empty(len(codes), np.float32)
                 values[order] = np.concatenate([np.frombuffer(mine[p], np.float32) for p in part.tolist()])
+                del order
                 table, words = KeyTable(codes), KeyTable(chunk_words(texts))
             times = np.concatenate([from_planes(mine[p]).view(np.int64) for p in sorted(p for p in mine if p >= parts)])
             gains, seen = np.log10(times + 1) - below, times > 0
             end_at = int(words.find(np.array([END], U))[0])
-        done = 0
-        for start, end, data, at in chunks(texts["text"]):
-            n = end - start
-            data = normal(data)
-            with np.errstate(over="ignore"):
-                code, of = windows(*byte_streams(data, at))
-                score = np.bincount(of, weights=values[table.find(code)], minlength=n)
-                starts, ends, row = word_spans(data, at)
-                found = words.find(span_hashes(data, starts, ends))
-            count = np.bincount(row, minlength=n) + 1
-            met = np.bincount(row, weights=seen[found], minlength=n).astype(np.int64) + int(seen[end_at])
-            base = np.bincount(row, weights=gains[found], minlength=n) + gains[end_at]
-            ids = texts["doc_id"].slice(done, n).combine_chunks()
-            out.append(pa.table([ids, *(pa.array(x, k) for x, k in zip((count, met, base, score), kinds[1:], strict=True))], names))
-            done += n
+        for b in texts.to_batches():
+            for start, end, data, at in blocks(b):
+                n = end - start
+                with np.errstate(over="ignore"):
+                    code, of = windows(*byte_streams(data, at))
+                    score = np.bincount(of, weights=values[table.find(code)], minlength=n)
+                    starts, ends, row = word_spans(data, at)
+                    found = words.find(span_hashes(data, starts, ends))
+                count = np.bincount(row, minlength=n) + 1
+                met = np.bincount(row, weights=seen[found], minlength=n).astype(np.int64) + int(seen[end_at])
+                base = np.bincount(row, weights=gains[found], minlength=n) + gains[end_at]
+                columns = zip((count, met, base, score), kinds[1:], strict=True)
+                out.append(pa.table([b["doc_id"].slice(start, n), *(pa.array(x, k) for x, k in columns)], names))
         return pa.concat_tables(out)
 
     scored = rows.groupBy("chunk").cogroup(back.groupBy("chunk")).applyInArrow(run, "doc_id long, n_tokens long, n_known long, base double, score double")

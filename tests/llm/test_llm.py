@@ -402,6 +402,36 @@ def test_tree_is_a_distribution():
     assert (suffix_tree_lm.unpacked(suffix_tree_lm.packed(raw)) == raw).all() and len(suffix_tree_lm.unpacked(b"")) == 0
 
 
+def test_chunk_memory_is_bounded():
+    """What a scan of a chunk holds doesn't grow with its bytes; several batches, either side alone."""
+    import tracemalloc
+
+    import pyarrow as pa
+
+    rnd = random.Random(3)
+    some = [" ".join(rnd.choices(["the", "of", "Gear", "plate", "é"], k=300)) for _ in range(40)]
+    some_held = [rnd.random() < 0.3 for _ in some]
+    half = pa.table({"text": some, "held": some_held})
+    for table in (pa.concat_tables([half, half]), half.filter(pa.array(some_held)), half.slice(0, 0)):
+        got = suffix_tree_lm.chunk_windows(table)
+        want = Counter()
+        for t, held in zip(table["text"].to_pylist(), table["held"].to_pylist(), strict=True):
+            padded = bytes(suffix_tree_lm.DEPTH) + t.translate(LOW).encode() + b"\0"
+            for i in range(suffix_tree_lm.DEPTH, len(padded)):
+                code = int.from_bytes(padded[i - suffix_tree_lm.DEPTH : i][::-1] + padded[i : i + 1], "big")
+                want[code] += not held
+        assert list(zip(*(x.tolist() for x in got), strict=True)) == sorted(want.items())
+    large = pa.table({"text": some * 150, "held": some_held * 150})
+    assert large["text"].nbytes > 6_000_000
+    tracemalloc.start()
+    try:
+        suffix_tree_lm.chunk_windows(large)
+        held = tracemalloc.get_traced_memory()[1]
+    finally:
+        tracemalloc.stop()
+    assert held < 55_000_000
+
+
 # ---- BPE -----------------------------------------------------------------------------------------------------------------------
 
 
