@@ -114,3 +114,20 @@ def test_counted_ranks_are_those_of_sorting(spark, monkeypatch):
         monkeypatch.setattr(evaluate, "FEW_RELEVANT", most)
         found.append(sorted(map(tuple, evaluate.measures(scores, labels, truth, queries).collect())))
     assert found[0] == found[1] == found[2] and len(found[0]) == 3
+
+
+def test_word_predicates_get_all_queries(spark, sf):
+    """Measures of word predicates are those of whole rankings for every query, with copies among tuples and queries."""
+    from approxmatch.operators import datagen, evaluate, ranking
+    from approxmatch.operators.index import Queries, TokenIndex, TokenSpec, sample_queries
+
+    data = experiments.dirty(spark, sf, "CU7", 140, 12).cache()
+    rel, n = data.select("tid", "s"), 110
+    assert rel.select("s").distinct().count() < 140
+    got = {r[1]: r[2:] for r in experiments.accuracy(data, "CU7", {"ges": ("ges", {}), "soft": ("soft_tfidf", {})}, n)}
+    queries = sample_queries(rel, n)
+    truth, index = datagen.truth(data, queries), TokenIndex.build(rel, TokenSpec("word"))
+    for label, predicate in (("ges", "ges"), ("soft", "soft_tfidf")):
+        ranked = ranking.rank_all(ranking.score(index, Queries(queries, n), predicate))
+        assert abs(got[label][0] - evaluate.mean_average_precision(ranked, truth, queries).first()[0]) < 1e-5
+        assert abs(got[label][1] - evaluate.mean_max_f1(ranked, truth, queries).first()[0]) < 1e-5
