@@ -217,3 +217,29 @@ def test_jaccard_join_of_copies(spark, monkeypatch):
     monkeypatch.setattr(ranking, "jaccard_join", lambda i, r, t: seen.append((i.rows.count(), r.where("s <> ''").count())) or plain(i, r, t))
     assert key(ranking.approx_join(index, asked, "jaccard", 0.5)) == want and len(want) > 100
     assert seen == [(5, 4)]  # two strings differ in the order of words only
+
+
+def test_jaccard_join_shuffles_no_pairs(spark, monkeypatch):
+    """Names that all share some grams: pairs are counted in tasks, over several blocks, parts, batches and chunks of
+    copies, and are those of brute force; the plan joins nothing."""
+    from approxmatch.operators import blocks
+
+    name = lambda kind, i: f"{kind}#{i * 7919 % 997:09d}"
+    left = [(i, name("Supplier", i % 60)) for i in range(90)] + [(500, ""), (501, None), (502, "é\n"), (503, "zz")]
+    right = [(1000 + i, name("Customer", i % 110)) for i in range(150)] + [(1500, ""), (1501, None), (1502, "é\n"), (1503, "zz")]
+    grams = lambda s: {f"${s}$"[i : i + 2] for i in range(len(s) + 1)} if s else set()
+    index = TokenIndex.build(spark.createDataFrame(left, "tid long, s string"))
+    asked = spark.createDataFrame(right, "qid long, s string")
+    assert "Join" not in ranking.jaccard_join(index, asked, 0.5)._jdf.queryExecution().optimizedPlan().toString()
+    monkeypatch.setattr(blocks, "BLOCK", 400)
+    monkeypatch.setattr(blocks, "ROWS", 50)
+    monkeypatch.setattr(ranking, "COPIES", 1)
+    for threshold in (0.3, 0.55, 1.0):
+        want = {}
+        for q, s in right:
+            for t, r in left:
+                a, b = grams(s), grams(r)
+                if a and b and round(len(a & b) / len(a | b), 9) >= threshold:
+                    want[q, t] = round(len(a & b) / len(a | b), 9)
+        got = [((r.qid, r.tid), round(r.score, 9)) for r in ranking.approx_join(index, asked, "jaccard", threshold).collect()]
+        assert len(got) == len(dict(got)) and dict(got) == want and len(want) > 1
