@@ -243,3 +243,23 @@ def test_jaccard_join_shuffles_no_pairs(spark, monkeypatch):
                     want[q, t] = round(len(a & b) / len(a | b), 9)
         got = [((r.qid, r.tid), round(r.score, 9)) for r in ranking.approx_join(index, asked, "jaccard", threshold).collect()]
         assert len(got) == len(dict(got)) and dict(got) == want and len(want) > 1
+
+
+def test_top_k_by_blocks(spark, monkeypatch):
+    """The k best of BM25 over several blocks are those of whole rankings, with frequent tokens of negative weight, ties and
+    tuples of which few match; tuples aren't sent to the queries by token."""
+    from approxmatch.operators import blocks
+
+    name = lambda kind, i: f"{kind}#{i * 7919 % 997:09d}"
+    left = [(i, name("Supplier", i % 75)) for i in range(90)] + [(500, ""), (501, None), (502, "zq z")] + [(600 + i, "aaa bbb") for i in range(4)]
+    right = [(1000 + i, name("Customer", i)) for i in range(70)] + [(1500, "zq"), (1501, None), (1502, "#q"), (1503, "bb aa"), (1504, "")]
+    index = TokenIndex.build(spark.createDataFrame(left, "tid long, s string"))
+    asked = spark.createDataFrame(right, "qid long, s string")
+    key = lambda df: sorted((r.qid, r.tid, round(r.score, 9)) for r in df.collect())
+    scored, seen = blocks.top_k_sums, []
+    monkeypatch.setattr(blocks, "top_k_sums", lambda *a: seen.append(a) or scored(*a))
+    for block, k, params in ((blocks.BLOCK, 3, {}), (300, 5, {"k1": 1.2, "k3": 2.0, "b": 0.3})):
+        monkeypatch.setattr(blocks, "BLOCK", block)
+        want = ranking.top_k(scoring.score_bm25(index, Queries(asked), **params), k).select("qid", "tid", "score")
+        assert key(ranking.approx_join(index, asked, "bm25", k=k, **params)) == key(want)
+    assert len(seen) == 2 and want.where("score < 0").count() > 0
